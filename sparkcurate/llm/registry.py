@@ -5,11 +5,14 @@ from __future__ import annotations
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 from sparkcurate.llm import oracles
 from sparkcurate.llm.decontaminate import decontaminate
+from sparkcurate.llm.jaccard_join import similar_documents
 from sparkcurate.llm.licenses import scan_licenses
 from sparkcurate.llm.native import read_table
+from sparkcurate.llm.parsing_dedup import remove_repeats
 from sparkcurate.llm.sharding import assign_shards
 
 
@@ -26,8 +29,17 @@ def op6_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
     return scan_licenses(read_table(spark, sf_dir, "documents"))
 
 
+def op8_prefix_free_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    found = remove_repeats(read_table(spark, sf_dir, "documents").select("doc_id", "text"))
+    return found.select("doc_id", "n_bytes", "n_removed", F.size("spans").cast("long").alias("n_spans"), F.sha2("kept", 256).alias("kept_sha256"))
+
+
+def op9_ngram_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return similar_documents(read_table(spark, sf_dir, "documents"))
+
+
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
-    f.__name__: f for f in (op4_winnowing_decontamination, op5_jump_hash_shards, op6_license_scan)
+    f.__name__: f for f in (op4_winnowing_decontamination, op5_jump_hash_shards, op6_license_scan, op8_prefix_free_dedup, op9_ngram_jaccard_join)
 }
 
 ORACLES: dict[str, str] = {
