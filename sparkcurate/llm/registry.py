@@ -19,6 +19,7 @@ from sparkcurate.llm.parsing_dedup import remove_repeats
 from sparkcurate.llm.sharding import assign_shards
 from sparkcurate.llm.spotsigs import fingerprint_neighbours
 from sparkcurate.llm.token_counts import section_tokens
+from sparkcurate.llm.toxicity import score_toxicity
 
 
 def op4_winnowing_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -51,6 +52,10 @@ def op3_section_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return section_tokens(read_table(spark, sf_dir, "documents"), public_tokenizers.path("byte_bpe_50k.tiktoken"), public_tokenizers.PATTERN)
 
 
+def op1_boosted_tree_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return score_toxicity(read_table(spark, sf_dir, "documents"), read_table(spark, sf_dir, "labels"))
+
+
 def op2_cross_parsing_language(spark: SparkSession, sf_dir: str) -> DataFrame:
     return identify_languages(read_table(spark, sf_dir, "documents"))
 
@@ -60,7 +65,7 @@ def op7_spotsigs_fingerprints(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
-    f.__name__: f for f in (op4_winnowing_decontamination, op5_jump_hash_shards, op6_license_scan, op8_prefix_free_dedup, op9_ngram_jaccard_join, op10_karmarkar_karp_packing, op3_section_token_counts, op2_cross_parsing_language, op7_spotsigs_fingerprints)
+    f.__name__: f for f in (op1_boosted_tree_toxicity, op4_winnowing_decontamination, op5_jump_hash_shards, op6_license_scan, op8_prefix_free_dedup, op9_ngram_jaccard_join, op10_karmarkar_karp_packing, op3_section_token_counts, op2_cross_parsing_language, op7_spotsigs_fingerprints)
 }
 
 ORACLES: dict[str, str] = {
