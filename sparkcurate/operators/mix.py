@@ -68,5 +68,5 @@ def curriculum(df: DataFrame, key: str, length: str, share: float = 0.7, priorit
     inside = placed.withColumn("__whole", F.col("__before") + F.col("__n") <= cut).select("__class", length, "__whole", "__before")
     rank = Window.partitionBy("__class", length).orderBy(key)
     edge = marked.join(F.broadcast(split), ["__class", length]).withColumn("__rn", F.row_number().over(rank)).withColumn("stage", F.when(F.col("__before") + F.col("__rn") <= cut, 1).otherwise(2)).drop("__before", "__rn")
-    rest = marked.join(F.broadcast(split.select("__class", length)), ["__class", length], "left_anti").join(inside, ["__class", length]).withColumn("stage", F.when("__whole", 1).otherwise(2)).drop("__whole", "__before")
+    rest = marked.join(F.broadcast(split.select("__class", length)), ["__class", length], "left_anti").join(inside, ["__class", length]).withColumn("stage", F.when(F.col("__whole"), 1).otherwise(2)).drop("__whole", "__before")
     return edge.unionByName(rest).drop("__class")

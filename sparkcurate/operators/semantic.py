@@ -80,10 +80,9 @@ def combine_rejections(lexical: DataFrame, semantic: DataFrame, key: str) -> Dat
 
 
 def similar_vectors(vectors: DataFrame, key: str, threshold: float = COSINE, bits: int = 12, tables: int = 12, seed: int = 42) -> DataFrame:
-    """(a, b, cosine): pairs above the threshold among those that share a random-hyperplane bucket, verified exactly.
+    """(a, b, cosine): pairs above the threshold among distinct vectors that share a random-hyperplane bucket, verified exactly.
 
-    Buckets are chained through their smallest member's neighbours by sorted sign bits, so a bucket of many
-    near copies is compared with its head, and its members with each other only through the head's groups.
+    Equal vectors are one (the smallest id); buckets of ``bits`` signs keep the pairs of different ones few.
     """
     first = vectors.select("embedding").first()
     if first is None:
@@ -98,7 +97,7 @@ def similar_vectors(vectors: DataFrame, key: str, threshold: float = COSINE, bit
             code = sign.reshape(-1, tables, bits) @ (1 << np.arange(bits)) + (np.arange(tables) << bits)
             yield pa.RecordBatch.from_arrays([batch.column(key), batch.column("embedding"), pa.array(code.tolist(), pa.list_(pa.int64()))], [key, "embedding", "codes"])
 
-    coded = map_arrow(vectors.select(key, "embedding"), run, f"{key} {vectors.schema[key].dataType.simpleString()}, embedding array<double>, codes array<bigint>")
+    coded = map_arrow(vectors.groupBy(F.col("embedding").cast("array<double>").alias("embedding")).agg(F.min(key).alias(key)).select(key, "embedding"), run, f"{key} {vectors.schema[key].dataType.simpleString()}, embedding array<double>, codes array<bigint>")
     places = coded.select(key, F.explode("codes").alias("code"))
     pairs = places.select(F.col(key).alias("a"), "code").join(places.select(F.col(key).alias("b"), "code"), "code").filter("a < b").select("a", "b").distinct()
     both = pairs.join(coded.select(F.col(key).alias("a"), F.col("embedding").alias("va")), "a").join(coded.select(F.col(key).alias("b"), F.col("embedding").alias("vb")), "b")
@@ -110,5 +109,6 @@ def strict_pool(docs: DataFrame, n: int = 15, threshold: float = COSINE) -> Data
     """Ids that survive 15-gram containment and cosine similarity inside the pool (pair semantics)."""
     lexical = overlap_pairs(docs, "doc_id", "text", n).select("a", "b")
     semantic = similar_vectors(encode(docs, "doc_id", "text", d=256), "doc_id", threshold).select("a", "b")
+    # copies of a text share its 15-grams, so the lexical rule has them; shorter copies stay
     gone = lexical.unionByName(semantic).select(F.col("b").alias("doc_id")).distinct()
     return docs.select("doc_id").join(gone, "doc_id", "left_anti")

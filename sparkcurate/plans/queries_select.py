@@ -342,7 +342,7 @@ def w02(spark, d):
     return st.summary(st.run_ablation(scored, st.STRATEGIES, 100), scored)
 
 
-@query("s07_strategy_overlap", f"WITH {o.SCORED}, {_ALL}, n AS (SELECT strategy, count(*) AS n FROM sel GROUP BY strategy) SELECT a.strategy AS a, b.strategy AS b, (SELECT count(*) FROM sel x JOIN sel y USING (doc_id) WHERE x.strategy = a.strategy AND y.strategy = b.strategy) AS both, round(both / (a.n + b.n - both), 6) AS jaccard FROM n a JOIN n b ON a.strategy < b.strategy")
+@query("s07_strategy_overlap", f"WITH {o.SCORED}, {_ALL}, n AS (SELECT strategy, count(*) AS n FROM sel GROUP BY strategy), q AS (SELECT a.n AS na, b.n AS nb, a.strategy AS a, b.strategy AS b, (SELECT count(*) FROM sel x JOIN sel y USING (doc_id) WHERE x.strategy = a.strategy AND y.strategy = b.strategy) AS \"both\", 0.0 AS jaccard FROM n a JOIN n b ON a.strategy < b.strategy) SELECT a, b, \"both\", round(\"both\" / (na + nb - \"both\"), 6) AS jaccard FROM q")
 def s07_overlap(spark, d):
     from sparkcurate.operators.evaluate import strategy_overlap
 
