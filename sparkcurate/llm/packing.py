@@ -33,6 +33,8 @@ WINDOW = 4096
 END_ID = 2
 GROUP = 2000
 REMEMBERED = 400_000
+# marks that are split off behind a letter
+MARKS = b".,;:!?"
 _SEQUENCES_BITS = 32
 
 
@@ -93,21 +95,64 @@ class WordEncoder:
         self.tokenizer = Tokenizer.from_file(path)
         self.tokenizer.encode_special_tokens = True
         self.known: dict[bytes, bytes] = {}
+        vocabulary = self.tokenizer.get_vocab()
+        self.closes = np.zeros(max(vocabulary.values()) + 1, bool)
+        for token, i in vocabulary.items():
+            self.closes[i] = token.endswith("</w>")
+        self.marks = {bytes([m]): np.array(self.tokenizer.encode(chr(m), add_special_tokens=False).ids, "<u4").tobytes() for m in MARKS}
+
+    def _encode(self, words: list[str]) -> Iterator[bytes]:
+        encode = getattr(self.tokenizer, "encode_batch_fast", self.tokenizer.encode_batch)
+        for found in encode(words, add_special_tokens=False):
+            yield np.array(found.ids, "<u4").tobytes()
+
+    def _learn(self, words: list[bytes]) -> None:
+        """Words of plain letters are encoded in one text and told apart by their closing tokens, others alone."""
+        plain: dict[bytes, str] = {}
+        alone: dict[bytes, str] = {}
+        marked: list[tuple[bytes, bytes]] = []
+        for word in words:
+            core, mark = (word[:-1], word[-1:]) if word[-1:] in self.marks else (word, b"")
+            text = core.decode()
+            # a mark is a pre-token of its own behind a letter only
+            if not (text and text[-1].isalpha()):
+                core, mark, text = word, b"", word.decode()
+            if mark:
+                marked.append((word, core))
+                if core in self.known:
+                    continue
+            if text.isalpha() and max(text) < "\u0250" and "\u0130" not in text:
+                plain[core] = text
+            else:
+                alone[core] = text
+        cores = list(plain)
+        for x in range(0, len(cores), 5000):
+            some = cores[x : x + 5000]
+            ids = np.array(self.tokenizer.encode(" ".join(plain[c] for c in some), add_special_tokens=False).ids, "<u4")
+            ends = np.flatnonzero(self.closes[ids]) + 1
+            if len(ends) == len(some):
+                data, at = ids.tobytes(), [0, *(4 * ends).tolist()]
+                for c, a, b in zip(some, at, at[1:], strict=False):
+                    self.known[c] = data[a:b]
+            else:
+                alone.update((c, plain[c]) for c in some)
+        for core, ids in zip(alone, self._encode(list(alone.values())), strict=True):
+            self.known[core] = ids
+        for word, core in marked:
+            self.known[word] = self.known[core] + self.marks[word[-1:]]
 
     def __call__(self, texts: list[bytes]) -> Iterator[bytes]:
-        parts = [t.split() for t in texts]
-        new = list(set().union(*parts) - self.known.keys())
+        # the tokenizer lower-cases, so ASCII capitals need no entry of their own
+        parts = [t.lower().split() for t in texts]
+        words = set().union(*parts)
+        new = words - self.known.keys()
         if len(self.known) + len(new) > REMEMBERED:
             self.known.clear()
-            new = list(set().union(*parts))
-        encode = getattr(self.tokenizer, "encode_batch_fast", self.tokenizer.encode_batch)
-        for x in range(0, len(new), 10_000):
-            some = new[x : x + 10_000]
-            for word, found in zip(some, encode([w.decode() for w in some], add_special_tokens=False), strict=True):
-                self.known[word] = np.array(found.ids, "<u4").tobytes()
+            new = words
+        self._learn(list(new))
         get = self.known.__getitem__
-        for words in parts:
-            yield b"".join(map(get, words))
+        for own in parts:
+            yield b"".join(map(get, own))
 
 
 _encoders: dict[str, WordEncoder] = {}
