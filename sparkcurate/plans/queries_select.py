@@ -4,19 +4,18 @@ from __future__ import annotations
 
 from pyspark.sql import functions as F
 
-from sparkcurate.functions.text import domain_of_source, hex_number, seeded
+from sparkcurate.functions.text import grams, hex_number, seeded
 from sparkcurate.operators import difficulty as di
 from sparkcurate.operators import mix as mx
 from sparkcurate.operators import prefs as pr
 from sparkcurate.operators import select as se
 from sparkcurate.operators.decontam import contaminated_any
 from sparkcurate.operators.evaluate import events_as_runs
-from sparkcurate.operators.rules import annotate_domain, filter_complete, filter_keywords
+from sparkcurate.operators.rules import annotate_domain, filter_keywords
 from sparkcurate.plans import oracle_text as o
 from sparkcurate.plans import strategies as st
 from sparkcurate.plans.pipeline import Config, ingest, run_pipeline
 from sparkcurate.plans.registry import query
-from sparkcurate.functions.text import grams
 from sparkcurate.sources.tables import documents_as_qa, table
 
 _DOCS = f"docs AS (SELECT doc_id, {o.DOMAIN} AS domain, source AS category, n_chars, {o.RND} AS rnd FROM documents)"
@@ -27,9 +26,6 @@ def _docs(spark, d):
     return docs.withColumn("rnd", seeded("doc_id"))
 
 
-RND = ["rnd", "doc_id"]
-
-
 def _rnd():
     return [F.col("rnd"), F.col("doc_id")]
 
@@ -419,5 +415,3 @@ def flagship_slice(spark, d):
 
     return minimum_slice(spark, d)
 
-
-_ = (domain_of_source, filter_complete)

@@ -45,9 +45,6 @@ def scored_documents(docs: DataFrame, seed: int = 42) -> DataFrame:
     return cut(joined.withColumn("complexity", F.coalesce("complexity", F.lit(0.0))).withColumn("ifd", F.coalesce("ifd", F.lit(0.0))).withColumn("rnd", seeded("doc_id", seed)))
 
 
-RANDOM: list[Column] = ["rnd", "doc_id"]
-
-
 def _orders() -> dict[str, list[Column]]:
     return {
         "random": [F.col("rnd"), F.col("doc_id")],
