@@ -8,14 +8,15 @@ remainder, so that no span is without one. Steps:
 1. triggers: (trigger hash, document) of the smallest document of each distinct text; only triggers that
    two texts share go on;
 2. parse: the phrases of those triggers, each with its place; the dictionary is the distinct phrases
-   with the smallest document of each (combined before they move);
+   with the smallest document of each (for triggers of more than ``HOT`` documents it is combined before
+   it moves, and the places are joined to it; the others' places meet by trigger);
 3. suffix order: the spans of the dictionary's phrases of a trigger are brought into order, equal ones
    verified byte by byte, which gives each span's smallest document;
 4. a phrase is removed whole in all but its smallest document; there only spans with a smaller
    document go. Documents whose whole text is that of a smaller one go whole.
 
-Texts move once, by doc_id, and serve all steps; besides them 8-byte trigger rows and the phrases
-of shared triggers move. A task of step 3 holds the distinct phrases of one trigger.
+Texts move once, compressed, by doc_id, and serve all steps; besides them 8-byte trigger rows and the
+phrases of shared triggers move. A task of step 3 holds the distinct phrases of one trigger.
 
 Defined cases: null text is empty; a null doc_id counts as smaller than all others; rows of one doc_id
 never remove each other's bytes, so repeated rows have the same result; texts below ``SPAN`` bytes stay
@@ -28,15 +29,18 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import zstandard
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from sparkcurate.functions.arrow import map_arrow
-from sparkcurate.llm.textscan import U, mix, prefix_hash, powers, slices, text_bytes, _INVERSE
+from sparkcurate.llm.textscan import _INVERSE, SLICE_BYTES, distinct_by_row, mix, powers, prefix_hash, slices, span_hash
 
 SPAN = 50
 GRAM = 20
 SMALLEST = -(1 << 63)
+# documents of a trigger from which its phrases are combined before they meet
+HOT = 50_000
 # windows whose trigger place is looked up at once; dictionary rows that are ordered at once
 _ROWS = 100_000
 
@@ -64,35 +68,59 @@ def _window_minima(data: np.ndarray, offsets: np.ndarray, span: int, gram: int):
     return hashes, starts, rows, low[starts]
 
 
-def _triggers(span: int, gram: int):
+def _zip(columns: list[str]):
+    """Texts compressed one by one for the way to their partition."""
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        packer = zstandard.ZstdCompressor(level=3)
         for batch in slices(batches):
-            _, _, rows, low = _window_minima(*text_bytes(batch.column("text")), span, gram)
+            texts = batch.column("text").cast(pa.binary()).to_pylist()
+            yield pa.RecordBatch.from_arrays([*(batch.column(c) for c in columns), pa.array([packer.compress(t) for t in texts], pa.binary()), pa.array([len(t) for t in texts], pa.int64())], [*columns, "packed", "n_bytes"])
+
+    return run
+
+
+def _unzipped(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[pa.RecordBatch, list[bytes]]]:
+    """Rows with their texts, some megabytes at a time."""
+    opener = zstandard.ZstdDecompressor()
+    for batch in batches:
+        group = np.cumsum(np.asarray(batch.column("n_bytes"))) // SLICE_BYTES
+        cuts = [0, *(np.flatnonzero(np.diff(group)) + 1).tolist(), batch.num_rows]
+        for a, b in zip(cuts, cuts[1:], strict=False):
+            if b > a:
+                part = batch.slice(a, b - a)
+                yield part, [opener.decompress(t) for t in part.column("packed").to_pylist()]
+
+
+def _joined(texts: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
+    return np.frombuffer(b"".join(texts), np.uint8), np.concatenate([[0], np.cumsum([len(t) for t in texts])])
+
+
+def _triggers(span: int, gram: int):
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch, texts in _unzipped(batches):
+            _, _, rows, low = _window_minima(*_joined(texts), span, gram)
             change = np.ones(len(low), bool)
             change[1:] = (low[1:] != low[:-1]) | (rows[1:] != rows[:-1])
-            low, rows = low[change], rows[change]
-            order = np.lexsort((low, rows))
-            low, rows = low[order], rows[order]
-            once = np.ones(len(low), bool)
-            once[1:] = (low[1:] != low[:-1]) | (rows[1:] != rows[:-1])
-            yield pa.RecordBatch.from_arrays([pa.array(low[once].view(np.int64)), batch.column("id").take(pa.array(rows[once]))], ["trigger", "id"])
+            low, rows = distinct_by_row(low[change], rows[change])
+            yield pa.RecordBatch.from_arrays([pa.array(low.view(np.int64)), batch.column("id").take(pa.array(rows))], ["trigger", "id"])
 
     return run
 
 
 def _phrases(span: int, gram: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in slices(batches):
-            data, offsets = text_bytes(batch.column("text"))
+        for batch, texts in _unzipped(batches):
+            data, offsets = _joined(texts)
             hashes, starts, rows, low = _window_minima(data, offsets, span, gram)
             shared = np.unique(np.asarray(batch.column("triggers").flatten())).view(np.uint64)
             shared.sort()
+            if not len(shared) or not len(low):
+                continue
             change = np.ones(len(low), bool)
             change[1:] = low[1:] != low[:-1]
-            runs = np.cumsum(change) - 1
             firsts = low[change]
-            at = np.minimum(np.searchsorted(shared, firsts), max(len(shared) - 1, 0))
-            good = (shared[at] == firsts)[runs] if len(shared) and len(firsts) else np.zeros(len(low), bool)
+            good = (shared[np.minimum(np.searchsorted(shared, firsts), len(shared) - 1)] == firsts)[np.cumsum(change) - 1]
             starts, rows, low = starts[good], rows[good], low[good]
             if not len(starts):
                 continue
@@ -105,65 +133,131 @@ def _phrases(span: int, gram: int):
             begin = np.flatnonzero(first)
             end = np.append(begin[1:], len(starts)) - 1
             a, b, row = starts[begin], starts[end] + span, rows[begin]
-            sizes = b - a
+            # the trigger's own gram is left out: its hash stands for it, and every span holds it whole
+            before = place[begin] - a
+            sizes = b - a - gram
             cuts = np.concatenate([[0], np.cumsum(sizes)])
-            content = data[np.arange(cuts[-1]) + np.repeat(a - cuts[:-1], sizes)]
-            for x in range(0, len(a), _ROWS):
-                y = min(len(a), x + _ROWS)
-                phrase = pa.Array.from_buffers(pa.binary(), y - x, [None, pa.py_buffer((cuts[x : y + 1] - cuts[x]).astype(np.int32).tobytes()), pa.py_buffer(content[cuts[x] : cuts[y]].tobytes())])
-                r = pa.array(row[x:y])
+            inside = np.arange(cuts[-1]) - np.repeat(cuts[:-1], sizes)
+            content = data[np.repeat(a, sizes) + inside + gram * (inside >= np.repeat(before, sizes))]
+            # one row for all places of a phrase in a text: periodic text repeats few phrases very often
+            name = span_hash(prefix_hash(content), cuts[:-1], cuts[1:])
+            order = np.lexsort((a, before, name, low[begin], row))
+            new = np.ones(len(order), bool)
+            for v in (before, name, low[begin], row):
+                new[1:] &= v[order][1:] == v[order][:-1]
+            new[1:] = ~new[1:]
+            heads, at = order[new], np.append(np.flatnonzero(new), len(order))
+            starts = (a - offsets[row])[order]
+            for x in range(0, len(heads), _ROWS):
+                y = min(len(heads), x + _ROWS)
+                some = heads[x:y]
+                size = sizes[some]
+                ends = np.concatenate([[0], np.cumsum(size)])
+                part = content[np.arange(ends[-1]) + np.repeat(cuts[some] - ends[:-1], size)]
+                phrase = pa.Array.from_buffers(pa.binary(), y - x, [None, pa.py_buffer(ends.astype(np.int32).tobytes()), pa.py_buffer(part.tobytes())])
+                places = pa.ListArray.from_arrays(pa.array((at[x : y + 1] - at[x]).astype(np.int32)), pa.array(starts[at[x] : at[y]]))
+                r = pa.array(row[some])
                 yield pa.RecordBatch.from_arrays(
-                    [pa.array(low[begin][x:y].view(np.int64)), phrase, pa.array((place[begin] - a)[x:y].astype(np.int32)), batch.column("id").take(r), batch.column("told").take(r), pa.array((a - offsets[row])[x:y])],
-                    ["trigger", "phrase", "before", "id", "told", "start"],
+                    [pa.array(low[begin][some].view(np.int64)), phrase, pa.array(before[some].astype(np.int32)), batch.column("id").take(r), batch.column("twin").take(r), places],
+                    ["trigger", "phrase", "before", "id", "twin", "starts"],
                 )
 
     return run
 
 
-def _ordered(table: pa.Table, span: int) -> pa.RecordBatch:
-    """For each phrase, the spans (from, to) that a smaller document has, in suffix order of the dictionary."""
-    table = table.combine_chunks()
-    data, cuts = _binary(table.column("phrase"))
-    sizes = np.diff(cuts)
-    trigger, before, low = (np.asarray(table.column(c)) for c in ("trigger", "before", "low"))
-    windows = sizes - span + 1
-    owner = np.repeat(np.arange(len(sizes)), windows)
+def _order(trigger: np.ndarray, before: np.ndarray, low: np.ndarray, data: np.ndarray, cuts: np.ndarray, span: int, gram: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(phrase, from, to) of the runs of spans that a smaller document has, in suffix order of the dictionary."""
+    rest = span - gram
+    windows = np.diff(cuts) - rest + 1
+    owner = np.repeat(np.arange(len(windows)), windows)
     inside = np.arange(len(owner)) - np.repeat(np.cumsum(windows) - windows, windows)
     at = cuts[owner] + inside
+    shift = before[owner] - inside
     prefix = prefix_hash(data)
-    name = (prefix[at + span] - prefix[at]) * powers(_INVERSE, len(prefix))[at]
-    name = mix(mix(name + mix(trigger.view(np.uint64))[owner]) + (before[owner] - inside).astype(np.uint64))
+    name = mix((prefix[at + rest] - prefix[at]) * powers(_INVERSE, len(prefix))[at] + mix(trigger.view(np.uint64))[owner] + shift.astype(np.uint64))
     order = np.argsort(name, kind="stable")
-    sorted_name = name[order]
+    equal = name[order][1:] == name[order][:-1]
     again = np.zeros(len(name), bool)
-    again[1:] = sorted_name[1:] == sorted_name[:-1]
-    again[:-1] |= again[1:].copy() if len(again) > 1 else False
+    again[1:], again[:-1] = equal, again[:-1] | equal
+    again[1:] |= equal
     picked = order[again]
     gone = np.zeros(len(owner), bool)
     if len(picked):
         # suffixes cut at the span's length, compared as big-endian words: equal runs are equal spans
-        padded = -(-span // 8) * 8
-        block = np.zeros((len(picked), padded), np.uint8)
-        block[:, :span] = data[at[picked][:, None] + np.arange(span)]
-        cols = block.view(">u8").astype(np.uint64)
-        group = trigger.view(np.uint64)[owner[picked]]
-        suffix = np.lexsort((*cols.T[::-1], (before[owner] - inside)[picked], group))
-        picked, cols = picked[suffix], cols[suffix]
-        offset, group = (before[owner] - inside)[picked], group[suffix]
+        block = np.zeros((len(picked), -(-rest // 8) * 8), np.uint8)
+        block[:, :rest] = data[at[picked][:, None] + np.arange(rest)]
+        columns = block.view(">u8").astype(np.uint64)
+        suffix = np.lexsort((*columns.T[::-1], shift[picked], trigger[owner[picked]]))
+        picked, columns = picked[suffix], columns[suffix]
+        offset, group = shift[picked], trigger[owner[picked]]
         new = np.ones(len(picked), bool)
-        new[1:] = (cols[1:] != cols[:-1]).any(axis=1) | (offset[1:] != offset[:-1]) | (group[1:] != group[:-1])
-        heads = np.flatnonzero(new)
-        least = np.minimum.reduceat(low[owner[picked]], heads)[np.cumsum(new) - 1]
+        new[1:] = (columns[1:] != columns[:-1]).any(axis=1) | (offset[1:] != offset[:-1]) | (group[1:] != group[:-1])
+        least = np.minimum.reduceat(low[owner[picked]], np.flatnonzero(new))[np.cumsum(new) - 1]
         gone[picked] = least < low[owner[picked]]
-    turn = gone.copy()
+    turn, stop = gone.copy(), gone.copy()
     turn[1:] &= ~(gone[:-1] & (owner[1:] == owner[:-1]))
-    stop = gone.copy()
     stop[:-1] &= ~(gone[1:] & (owner[1:] == owner[:-1]))
     a, b = np.flatnonzero(turn), np.flatnonzero(stop)
-    per = np.zeros(len(sizes) + 1, np.int32)
-    per[1:] = np.cumsum(np.bincount(owner[a], minlength=len(sizes)))
-    pairs = pa.StructArray.from_arrays([pa.array(inside[a].astype(np.int64)), pa.array(inside[b].astype(np.int64) + span)], ["a", "b"])
-    return pa.RecordBatch.from_arrays([table.column("trigger").combine_chunks(), table.column("name").combine_chunks(), table.column("low").combine_chunks(), pa.ListArray.from_arrays(pa.array(per), pairs)], ["trigger", "name", "low", "spans"])
+    return owner[a], inside[a], inside[b] + span
+
+
+def _ordered(table: pa.Table, span: int, gram: int) -> pa.RecordBatch:
+    """For each phrase of a dictionary, the spans (from, to) that a smaller document has."""
+    data, cuts = _binary(table.column("phrase"))
+    owner, a, b = _order(*(np.asarray(table.column(c)) for c in ("trigger", "before", "low")), data, cuts, span, gram)
+    per = np.zeros(table.num_rows + 1, np.int32)
+    per[1:] = np.cumsum(np.bincount(owner, minlength=table.num_rows))
+    pairs = pa.StructArray.from_arrays([pa.array(a), pa.array(b)], ["a", "b"])
+    return pa.RecordBatch.from_arrays([*(table.column(c).combine_chunks() for c in ("trigger", "name", "low")), pa.ListArray.from_arrays(pa.array(per), pairs)], ["trigger", "name", "low", "spans"])
+
+
+def _resolved(table: pa.Table, span: int, gram: int) -> pa.RecordBatch:
+    """For the phrases of whole triggers at their places: the bytes (from, to) that go there."""
+    data, cuts = _binary(table.column("phrase"))
+    trigger, before, ids, twin = (np.asarray(table.column(c)) for c in ("trigger", "before", "id", "twin"))
+    places = table.column("starts").combine_chunks()
+    many = np.asarray(places.value_lengths())
+    start, at = np.asarray(places.flatten()), np.cumsum(many) - many
+    prefix = prefix_hash(data)
+    name = span_hash(prefix, cuts[:-1], cuts[1:])
+    order = np.lexsort((ids, before, name, trigger))
+    new = np.ones(len(order), bool)
+    for v in (before, name, trigger):
+        new[1:] &= v[order][1:] == v[order][:-1]
+    new[1:] = ~new[1:]
+    entry = np.empty(len(order), np.int64)
+    entry[order] = np.cumsum(new) - 1
+    heads = order[new]
+    sizes = np.diff(cuts)
+    own = np.concatenate([[0], np.cumsum(sizes[heads])])
+    content = data[np.arange(own[-1]) + np.repeat(cuts[heads] - own[:-1], sizes[heads])]
+    owner, a, b = _order(trigger[heads], before[heads], ids[heads], content, own, span, gram)
+    whole = np.flatnonzero(ids > ids[heads][entry])
+    # the smallest document's places of a phrase (there may be several) take over its runs
+    first = np.flatnonzero(ids == ids[heads][entry])
+    first = first[np.argsort(entry[first], kind="stable")]
+    lo, hi = np.searchsorted(entry[first], owner), np.searchsorted(entry[first], owner, "right")
+    times = hi - lo
+    row = first[np.arange(times.sum()) - np.repeat(np.cumsum(times) - times, times) + np.repeat(lo, times)]
+    row, a, b = np.concatenate([whole, row]), np.concatenate([np.zeros(len(whole), np.int64), np.repeat(a, times)]), np.concatenate([sizes[whole] + gram, np.repeat(b, times)])
+    # every run at every place of its phrase, joined where they touch
+    times = many[row]
+    shift = start[np.repeat(at[row], times) + np.arange(times.sum()) - np.repeat(np.cumsum(times) - times, times)]
+    row, a, b = np.repeat(row, times), np.repeat(a, times) + shift, np.repeat(b, times) + shift
+    order = np.lexsort((a, twin[row], ids[row]))
+    row, a, b = row[order], a[order], b[order]
+    if not len(row):
+        return pa.RecordBatch.from_arrays([pa.array(v) for v in (ids[row], twin[row], a, b)], ["id", "twin", "a", "b"])
+    text = np.ones(len(row), bool)
+    text[1:] = (ids[row][1:] != ids[row][:-1]) | (twin[row][1:] != twin[row][:-1])
+    # ends so far inside a text: lifted by the text's number, so one running maximum serves all
+    lift = (np.cumsum(text) - 1) * (int(b.max()) + 1)
+    reach = np.maximum.accumulate(b + lift)
+    new = text.copy()
+    new[1:] |= a[1:] + lift[1:] > reach[:-1]
+    first = np.flatnonzero(new)
+    b = (reach - lift)[np.append(first[1:], len(row)) - 1]
+    return pa.RecordBatch.from_arrays([pa.array(v) for v in (ids[row[first]], twin[row[first]], a[first], b)], ["id", "twin", "a", "b"])
 
 
 def _binary(column) -> tuple[np.ndarray, np.ndarray]:
@@ -176,8 +270,8 @@ def _binary(column) -> tuple[np.ndarray, np.ndarray]:
     return data[cuts[0] : cuts[-1]], cuts - cuts[0]
 
 
-def _suffix_order(span: int):
-    """Rows arrive sorted by trigger; whole triggers are ordered together, some at a time."""
+def _by_trigger(span: int, gram: int, work):
+    """Rows arrive sorted by trigger; the rows of whole triggers are worked on together, some at a time."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held: list[pa.RecordBatch] = []
@@ -190,19 +284,18 @@ def _suffix_order(span: int):
                 trigger = np.asarray(table.column("trigger"))
                 last = int(np.searchsorted(trigger, trigger[-1]))
                 if last:
-                    yield _ordered(table.slice(0, last), span)
+                    yield work(table.slice(0, last), span, gram)
                     rest = table.slice(last)
                     held, rows = rest.to_batches(), rest.num_rows
         if rows:
-            yield _ordered(pa.Table.from_batches(held), span)
+            yield work(pa.Table.from_batches(held), span, gram)
 
     return run
 
 
-def _cut_out(span: int, columns: list[str]):
+def _cut_out(span: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in slices(batches):
-            texts = pa.compute.fill_null(batch.column("text"), "").cast(pa.binary()).to_pylist()
+        for batch, texts in _unzipped(batches):
             alone, spans = batch.column("alone").to_pylist(), batch.column("spans").to_pylist()
             kept, removed = [], []
             for text, own, runs in zip(texts, alone, spans, strict=True):
@@ -217,34 +310,48 @@ def _cut_out(span: int, columns: list[str]):
                 cuts = [0, *(x for pair in merged for x in pair), len(text)]
                 kept.append(b"".join(text[cuts[i] : cuts[i + 1]] for i in range(0, len(cuts), 2)))
                 removed.append([{"a": a, "b": b} for a, b in merged])
-            size = pa.array([len(t) for t in texts], pa.int64())
             less = pa.array([sum(p["b"] - p["a"] for p in m) for m in removed], pa.int64())
             shape = pa.list_(pa.struct([("a", pa.int64()), ("b", pa.int64())]))
-            yield pa.RecordBatch.from_arrays([*(batch.column(c) for c in columns), size, less, pa.array(removed, shape), pa.array(kept, pa.binary())], [*columns, "n_bytes", "n_removed", "spans", "kept"])
+            yield pa.RecordBatch.from_arrays([batch.column("rest"), batch.column("n_bytes"), less, pa.array(removed, shape), pa.array(kept, pa.binary())], ["rest", "n_bytes", "n_removed", "spans", "kept"])
 
     return run
 
 
-def remove_repeats(docs: DataFrame, span: int = SPAN, gram: int = GRAM) -> DataFrame:
+def remove_repeats(docs: DataFrame, span: int = SPAN, gram: int = GRAM, hot: int = HOT) -> DataFrame:
     """The documents' columns without text, and n_bytes, n_removed, spans (removed, from-to) and kept (bytes)."""
     others = [c for c in docs.columns if c != "text"]
     text = F.coalesce(F.col("text").cast("string"), F.lit(""))
-    base = docs.select(F.coalesce(F.col("doc_id").cast("long"), F.lit(SMALLEST)).alias("id"), F.xxhash64(text).alias("told"), text.alias("text"), F.struct(*others).alias("rest"))
-    owners = docs.select(F.coalesce(F.col("doc_id").cast("long"), F.lit(SMALLEST)).alias("id"), F.xxhash64(text).alias("told"), F.md5(text).alias("digest"))
-    owners = owners.groupBy("told", "digest").agg(F.min("id").alias("id")).select("id", "told", F.lit(True).alias("alone")).hint("shuffle_hash")
-    own = base.join(owners, ["id", "told"])
+    named = docs.select(F.coalesce(F.col("doc_id").cast("long"), F.lit(SMALLEST)).alias("id"), F.xxhash64(text).alias("told"), text.alias("text"), F.struct(*others).alias("rest"))
+    rest = f"rest {named.schema['rest'].dataType.simpleString()}"
+    base = map_arrow(named, _zip(["id", "told", "rest"]), f"id long, told long, {rest}, packed binary, n_bytes long")
+    # inner joins would add this filter to their copy of the plan only, and the texts would move twice
+    base = base.filter(F.col("id").isNotNull() & F.col("told").isNotNull())
+    owners = named.select("id", "told", F.md5("text").alias("digest")).groupBy("told", "digest").agg(F.min("id").alias("id"))
+    # texts that share a doc_id are numbered; the number is 0 nearly everywhere
+    owners = owners.select(F.col("id").alias("own_id"), F.col("told").alias("own_told"), (F.row_number().over(Window.partitionBy("id").orderBy("told", "digest")) - 1).alias("twin"))
+    # every join is by id alone (other conditions are no equalities), so that one move of the texts serves all
+    mine = (F.col("id") == F.col("own_id")) & (F.col("told") >= F.col("own_told")) & (F.col("told") <= F.col("own_told"))
+    own = base.join(owners.hint("shuffle_hash"), mine).drop("own_id", "own_told")
     group = Window.partitionBy("trigger")
     triggers = map_arrow(own, _triggers(span, gram), "trigger long, id long")
-    met = triggers.withColumn("least", F.min("id").over(group)).withColumn("most", F.max("id").over(group)).filter("least < most")
-    shared = met.groupBy("id").agg(F.collect_list("trigger").alias("triggers")).hint("shuffle_hash")
-    parse = map_arrow(own.join(shared, "id"), _phrases(span, gram), "trigger long, phrase binary, before int, id long, told long, start long")
-    parse = parse.withColumn("name", F.xxhash64("before", "phrase"))
-    dictionary = parse.groupBy("trigger", "name", "before", "phrase").agg(F.min("id").alias("low"))
-    ordered = map_arrow(dictionary.repartition("trigger").sortWithinPartitions("trigger"), _suffix_order(span), "trigger long, name long, low long, spans array<struct<a:bigint,b:bigint>>")
-    places = parse.select("trigger", "name", "id", "told", "start", F.octet_length("phrase").cast("long").alias("size")).join(ordered, ["trigger", "name"])
+    met = triggers.withColumn("least", F.min("id").over(group)).withColumn("most", F.max("id").over(group)).withColumn("n", F.count(F.lit(1)).over(group)).filter("least < most")
+    shared = met.groupBy("id").agg(F.collect_list(F.when(F.col("n") <= hot, F.col("trigger"))).alias("cold"), F.collect_list(F.when(F.col("n") > hot, F.col("trigger"))).alias("hot")).hint("shuffle_hash")
+    marked = own.join(shared, "id")
+    parsed = "trigger long, phrase binary, before int, id long, twin int, starts array<bigint>"
+    cold = map_arrow(marked.filter(F.size("cold") > 0).withColumn("triggers", F.col("cold")).drop("cold", "hot"), _phrases(span, gram), parsed)
+    runs = map_arrow(cold.repartition("trigger").sortWithinPartitions("trigger"), _by_trigger(span, gram, _resolved), "id long, twin int, a long, b long")
+    runs = runs.select("id", "twin", F.array(F.struct("a", "b")).alias("spans"))
+    often = map_arrow(marked.filter(F.size("hot") > 0).withColumn("triggers", F.col("hot")).drop("cold", "hot"), _phrases(span, gram), parsed).withColumn("name", F.xxhash64("before", "phrase"))
+    dictionary = often.groupBy("trigger", "name", "before", "phrase").agg(F.min("id").alias("low"))
+    ordered = map_arrow(dictionary.repartition("trigger").sortWithinPartitions("trigger"), _by_trigger(span, gram, _ordered), "trigger long, name long, low long, spans array<struct<a:bigint,b:bigint>>")
+    places = often.select("trigger", "name", "id", "twin", "starts", (F.octet_length("phrase") + gram).cast("long").alias("size")).join(ordered, ["trigger", "name"])
     whole = F.array(F.struct(F.lit(0).cast("long").alias("a"), F.col("size").alias("b")))
-    runs = places.select("id", "told", F.transform(F.when(F.col("id") > F.col("low"), whole).otherwise(F.col("spans")), lambda p: F.struct((p["a"] + F.col("start")).alias("a"), (p["b"] + F.col("start")).alias("b"))).alias("spans"))
-    runs = runs.filter(F.size("spans") > 0).groupBy("id", "told").agg(F.flatten(F.collect_list("spans")).alias("spans")).hint("shuffle_hash")
-    joined = base.join(owners, ["id", "told"], "left").join(runs, ["id", "told"], "left").select("text", "rest", F.coalesce("alone", F.lit(False)).alias("alone"), "spans")
-    schema = f"rest {joined.schema['rest'].dataType.simpleString()}, n_bytes long, n_removed long, spans array<struct<a:bigint,b:bigint>>, kept binary"
-    return map_arrow(joined, _cut_out(span, ["rest"]), schema).select("rest.*", "n_bytes", "n_removed", "spans", "kept")
+    inside = F.when(F.col("id") > F.col("low"), whole).otherwise(F.col("spans"))
+    placed = places.withColumn("inside", inside).filter(F.size("inside") > 0)
+    placed = placed.select("id", "twin", F.flatten(F.transform("starts", lambda s: F.transform("inside", lambda p: F.struct((p["a"] + s).alias("a"), (p["b"] + s).alias("b"))))).alias("spans"))
+    runs = runs.unionByName(placed).groupBy("id", "twin").agg(F.flatten(F.collect_list("spans")).alias("spans"))
+    runs = runs.groupBy("id").agg(F.collect_list(F.struct("twin", "spans")).alias("by_twin")).hint("shuffle_hash")
+    joined = base.join(owners.hint("shuffle_hash"), mine, "left").join(runs, "id", "left")
+    spans = F.get(F.filter("by_twin", lambda t: t["twin"] == F.col("twin"))["spans"], F.lit(0))
+    joined = joined.select("packed", "n_bytes", "rest", F.col("own_id").isNotNull().alias("alone"), spans.alias("spans"))
+    return map_arrow(joined, _cut_out(span), f"{rest}, n_bytes long, n_removed long, spans array<struct<a:bigint,b:bigint>>, kept binary").select("rest.*", "n_bytes", "n_removed", "spans", "kept")
