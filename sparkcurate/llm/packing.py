@@ -32,7 +32,7 @@ from sparkcurate.llm.textscan import slices
 WINDOW = 4096
 END_ID = 2
 GROUP = 2000
-REMEMBERED = 400_000
+REMEMBERED = 1_000_000
 # marks that are split off behind a letter
 MARKS = b".,;:!?"
 _SEQUENCES_BITS = 32
