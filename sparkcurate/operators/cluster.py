@@ -7,7 +7,7 @@ from collections.abc import Iterator
 import numpy as np
 import pandas as pd
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from sparkcurate.functions.arrow import map_arrow, ship_package
@@ -17,15 +17,17 @@ DIMENSIONS = 1024
 FIT_SAMPLE = 1_000_000
 
 
-def encode_md5(text: Column, d: int) -> Column:
-    """Signed token counts over d buckets of the tokens' MD5; whole numbers, equal in every engine."""
-    def add(acc: Column, token: Column) -> Column:
-        digest = F.md5(token)
-        slot = hex_number(digest, 1, 7) % d
-        sign = F.when(hex_number(digest, 8, 1) % 2 == 0, 1).otherwise(-1)
-        return F.transform(acc, lambda v, i: v + F.when(i == slot, sign).otherwise(0))
+def encode_md5(df: DataFrame, key: str, text_col: str, d: int) -> DataFrame:
+    """(id, v): signed token counts over d buckets of the tokens' MD5; whole numbers, equal in every engine.
 
-    return F.aggregate(tokens(text), F.array(*[F.lit(0)] * d), add)
+    One aggregate over distinct tokens, one over buckets; records without tokens have zeros.
+    """
+    each = df.select(key, F.explode(tokens(F.col(text_col))).alias("w")).groupBy(key, "w").agg(F.count(F.lit(1)).alias("c"))
+    digest = F.md5("w")
+    sign = F.when(hex_number(digest, 8, 1) % 2 == 0, 1).otherwise(-1)
+    placed = each.select(key, (hex_number(digest, 1, 7) % d).alias("slot"), (sign * F.col("c")).alias("x"))
+    sums = placed.groupBy(key).agg(F.array(*[F.coalesce(F.sum(F.when(F.col("slot") == i, F.col("x"))), F.lit(0)) for i in range(d)]).alias("v"))
+    return df.select(key).join(sums, key, "left").select(key, F.coalesce("v", F.array(*[F.lit(0).cast("long")] * d)).alias("v"))
 
 
 def _encode(key: str, d: int, n: int, seed: int):

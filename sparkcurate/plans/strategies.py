@@ -18,7 +18,7 @@ DIMENSIONS = 16
 
 def md5_clusters(docs: DataFrame, key: str = "doc_id", text_col: str = "text", k: int = CLUSTERS, d: int = DIMENSIONS) -> DataFrame:
     """(id, cluster): most similar of the vectors of the k smallest ids with tokens; whole-number vectors, ties to the first."""
-    vectors = docs.select(key, encode_md5(F.col(text_col), d).alias("v"))
+    vectors = cut(encode_md5(docs, key, text_col, d))
     square = lambda v: F.aggregate(v, F.lit(0).cast("long"), lambda s, x: s + x * x)
     heads = vectors.filter(square(F.col("v")) > 0).orderBy(key).limit(k).collect()
     if not heads:
