@@ -10,6 +10,8 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from sparkcurate.functions.lineage import cut
+
 SALTS = 64
 
 
@@ -79,9 +81,9 @@ def merge_selections(a: DataFrame, b: DataFrame, key: str) -> DataFrame:
 
 
 def dual(df: DataFrame, key: str, category: str, cluster: str, budget: int, order: list[Column], split: float = 0.5, top_up: bool = True) -> DataFrame:
-    """Ids of both draws merged; with ``top_up``, filled to the budget from the domain draw's order."""
+    """Ids of both draws merged; with ``top_up``, filled to the budget from the domain draw's order. The merged draw is cut: it is counted and read again."""
     first = int(budget * split)
-    merged = merge_selections(sample_balanced(df, category, first, order), sample_balanced(df, cluster, budget - first, order), key)
+    merged = cut(merge_selections(sample_balanced(df, category, first, order), sample_balanced(df, cluster, budget - first, order), key))
     if not top_up:
         return merged
     missing = min(budget, df.count()) - merged.count()

@@ -48,7 +48,7 @@ vv AS (SELECT doc_id, list_transform(v, lambda x: coalesce(x, 0)) AS v FROM v),
 heads AS (SELECT row_number() OVER (ORDER BY doc_id) - 1 AS cluster, v AS c FROM (SELECT * FROM vv WHERE list_sum(list_transform(v, lambda x: x * x)) > 0 ORDER BY doc_id LIMIT 8)),
 near AS (SELECT doc_id, cluster, CAST(list_sum(list_transform(list_zip(v, c), lambda p: p[1] * p[2])) AS DOUBLE) / sqrt(CAST(list_sum(list_transform(c, lambda x: x * x)) AS DOUBLE)) AS s FROM vv, heads),
 clu AS (SELECT doc_id, CAST(cluster AS INTEGER) AS cluster FROM (SELECT doc_id, cluster, row_number() OVER (PARTITION BY doc_id ORDER BY s DESC, cluster) AS k FROM near) WHERE k = 1),
-scored AS (SELECT rec.doc_id, domain, category, n_chars, len(t) AS n_tokens, coalesce(complexity, 0) AS complexity, coalesce(ifd, 0) AS ifd, cluster, md5(concat_ws(':', '42', CAST(rec.doc_id AS VARCHAR))) AS rnd
+scored AS MATERIALIZED (SELECT rec.doc_id, domain, category, n_chars, len(t) AS n_tokens, coalesce(complexity, 0) AS complexity, coalesce(ifd, 0) AS ifd, cluster, md5(concat_ws(':', '42', CAST(rec.doc_id AS VARCHAR))) AS rnd
   FROM rec LEFT JOIN ent USING (doc_id) LEFT JOIN ifd USING (doc_id) JOIN clu USING (doc_id))"""
 
 STRATEGY = {

@@ -4,6 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import functions as F
 
+from sparkcurate.functions.lineage import cut
 from sparkcurate.functions.text import grams, hex_number, seeded
 from sparkcurate.operators import difficulty as di
 from sparkcurate.operators import mix as mx
@@ -198,7 +199,7 @@ r AS (SELECT *, row_number() OVER (PARTITION BY domain ORDER BY rc, category) AS
 def _run_preference(spark, d, counts):
     """Candidates, longest strong solutions, false answers, balanced by category in each domain's count."""
     longest = pr.select_longest(_candidates(spark, d), ["domain", "category"], 20, "n_chars", "doc_id")
-    false = _false(longest)
+    false = cut(_false(longest))
     out = None
     for domain, budget in counts.items():
         rows = se.sample_balanced(false.filter(F.col("domain") == domain), "category", budget, _longest()).select("doc_id", "domain", "category")
@@ -363,7 +364,7 @@ def w04(spark, d):
     scored = st.scored_documents(table(spark, d, "documents"))
     out = None
     for name, (where, order) in _MATH.items():
-        rows = st.select(scored.filter(where), "length+dual", 20, ascending="DESC" not in order).select(F.lit(name).alias("strategy"), "doc_id")
+        rows = cut(st.select(scored.filter(where), "length+dual", 20, ascending="DESC" not in order)).select(F.lit(name).alias("strategy"), "doc_id")
         out = rows if out is None else out.unionByName(rows)
     return st.summary(out, scored)
 
@@ -374,10 +375,10 @@ def w05(spark, d):
 
     docs = table(spark, d, "documents")
     scored = st.scored_documents(docs.join(strict_pool(docs), "doc_id", "left_semi"))
-    out = st.select(scored, "length+dual", 20).select(F.lit("length+dual").alias("strategy"), "doc_id")
+    out = cut(st.select(scored, "length+dual", 20)).select(F.lit("length+dual").alias("strategy"), "doc_id")
     for seed in (42, 43, 44):
         again = scored.withColumn("rnd", seeded("doc_id", seed))
-        out = out.unionByName(st.select(again, "random", 20).select(F.lit(f"random-{seed}").alias("strategy"), "doc_id"))
+        out = out.unionByName(cut(st.select(again, "random", 20)).select(F.lit(f"random-{seed}").alias("strategy"), "doc_id"))
     return st.summary(out, scored)
 
 
