@@ -22,7 +22,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from sparkcurate.functions.arrow import group_arrow, map_arrow
@@ -85,7 +85,7 @@ def _sign(k: int, trees: int, depth: int):
             offsets = np.zeros(n + 1, np.int32)
             offsets[1:] = np.cumsum((count > 0) * trees)
             listed = pa.ListArray.from_arrays(pa.array(offsets), pa.array(labels.reshape(-1).view(np.int64)))
-            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(_class_hash(hashes, rows, n)), listed], ["doc_id", "node", "labels"])
+            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), batch.column("digest"), pa.array(_class_hash(hashes, rows, n)), listed], ["doc_id", "digest", "node", "labels"])
 
     return run
 
@@ -182,17 +182,20 @@ def _verify(threshold: tuple[int, int]):
     return run
 
 
-def similar_documents(docs: DataFrame, k: int = SHINGLE, threshold: tuple[int, int] = THRESHOLD, trees: int = TREES, recall: float = TARGET_RECALL, block: int = BLOCK) -> DataFrame:
-    """One row a document: doc_id, class_id, n_links, set_class.
+def _digest() -> Column:
+    return F.xxhash64(F.coalesce(F.col("text").cast("string"), F.lit("")))
 
-    class_id: smallest doc_id of the documents it is linked to, directly or through others;
-    n_links: other documents whose similarity reaches the threshold, copies included;
-    set_class: smallest doc_id among the documents with the same shingle set.
+
+def _linked(docs: DataFrame, k: int = SHINGLE, threshold: tuple[int, int] = THRESHOLD, trees: int = TREES, recall: float = TARGET_RECALL, block: int = BLOCK) -> tuple[DataFrame, DataFrame]:
+    """(doc_id, node of each document; node, set_class, size, links, component, lead of each class of equal shingle sets).
+
+    lead: the first (has no id, doc_id, digest of the text) of the class's documents.
     """
     depth = forest_depth(threshold[0] / threshold[1], trees, recall)
     texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
-    signed = cut(map_arrow(texts, _sign(k, trees, depth), "doc_id long, node long, labels array<bigint>"))
-    classes = signed.groupBy("node").agg(F.min("doc_id").alias("set_class"), F.count(F.lit(1)).alias("size"), F.first("labels").alias("labels"))
+    signed = cut(map_arrow(texts.withColumn("digest", _digest()), _sign(k, trees, depth), "doc_id long, digest long, node long, labels array<bigint>"))
+    lead = F.min(F.struct(F.col("doc_id").isNull().alias("unnamed"), "doc_id", "digest"))
+    classes = signed.groupBy("node").agg(F.min("doc_id").alias("set_class"), F.count(F.lit(1)).alias("size"), F.first("labels").alias("labels"), lead.alias("lead"))
     places = classes.select("node", F.explode("labels").alias("prefix"))
     shared = places.groupBy("prefix").agg(F.count(F.lit(1)).alias("n"), F.min("node").alias("head")).filter("n > 1")
     chains = places.join(shared.select("prefix", "head"), "prefix").filter("node <> head").select("node", "head")
@@ -214,14 +217,30 @@ def similar_documents(docs: DataFrame, k: int = SHINGLE, threshold: tuple[int, i
     )
     parts = connected_components(found.filter("node <> top").select("node", "top"), "node", "top")
     links = found.groupBy("node").agg(F.sum("links").alias("links"))
-    told = classes.select("node", "set_class", "size").join(links, "node", "left").join(parts, "node", "left").withColumn("component", F.coalesce("component", "node"))
+    told = classes.select("node", "set_class", "size", "lead").join(links, "node", "left").join(parts, "node", "left").withColumn("component", F.coalesce("component", "node"))
+    return signed.select("doc_id", "node"), told
+
+
+def similar_documents(docs: DataFrame, **options) -> DataFrame:
+    """One row a document: doc_id, class_id, n_links, set_class.
+
+    class_id: smallest doc_id of the documents it is linked to, directly or through others;
+    n_links: other documents whose similarity reaches the threshold, copies included;
+    set_class: smallest doc_id among the documents with the same shingle set.
+    """
+    signed, told = _linked(docs, **options)
     names = told.groupBy("component").agg(F.min("set_class").alias("class_id"))
     named = told.join(names, "component").select("node", "class_id", "set_class", (F.coalesce("links", F.lit(0)) + F.col("size") - 1).alias("n_links"))
-    return signed.select("doc_id", "node").join(named, "node").select("doc_id", "class_id", F.col("n_links").cast("long").alias("n_links"), "set_class")
+    return signed.join(named, "node").select("doc_id", "class_id", F.col("n_links").cast("long").alias("n_links"), "set_class")
 
 
 def keep_one_of_each(docs: DataFrame, **options) -> DataFrame:
-    """The documents with one kept of every near-duplicate class: that with the smallest doc_id."""
-    found = similar_documents(docs, **options)
-    kept = found.filter(F.col("doc_id").eqNullSafe(F.col("class_id"))).select(F.col("doc_id").alias("__kept")).distinct()
-    return docs.join(kept, docs["doc_id"].eqNullSafe(kept["__kept"]), "left_semi").dropDuplicates(["doc_id"])
+    """The documents with one kept of every near-duplicate class: that with the smallest doc_id, named ones first.
+
+    Documents are told apart by doc_id and text, so a doc_id that is null or given twice loses no other text.
+    """
+    _, told = _linked(docs, **options)
+    kept = told.groupBy("component").agg(F.min("lead").alias("lead")).select(F.col("lead.doc_id").alias("__kept"), F.col("lead.digest").alias("__lead"))
+    texts = docs.withColumn("__digest", _digest())
+    found = texts.join(kept, texts["doc_id"].cast("long").eqNullSafe(kept["__kept"]) & (texts["__digest"] == kept["__lead"]), "left_semi")
+    return found.dropDuplicates(["doc_id", "__digest"]).drop("__digest")

@@ -57,6 +57,13 @@ def test_join_cases(spark):
     assert 1 - (1 - 0.8 ** forest_depth(0.8)) ** 32 >= 0.9999
 
 
+def test_one_kept_of_every_class(spark):
+    rows = [(1, "a b c d e f g h"), (1, "a b c d e f g h"), (4, "zz foo"), (None, "foo bar"), (None, "zz foo"), (None, "bar bar"), (None, "Foo BAR"), (7, "one two"), (7, "three four"), (8, "THREE four"), (9, None), (None, "")]
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    got = collections.Counter((r.doc_id, (r.text or "").lower()) for r in keep_one_of_each(docs).collect())
+    assert got == collections.Counter([(1, "a b c d e f g h"), (4, "zz foo"), (None, "foo bar"), (None, "bar bar"), (7, "one two"), (7, "three four"), (9, "")])
+
+
 def brute_repeats(rows, span=50):
     first, texts = {}, [((SMALLEST if d is None else d), (t or "").encode()) for d, t in rows]
     for d, t in texts:
