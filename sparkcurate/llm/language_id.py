@@ -4,7 +4,9 @@ Each language has a suffix automaton of a bounded labelled sample (at most ``SAM
 ``SAMPLE_LETTERS`` letters). A text is parsed from left to right into phrases, each the longest match in the
 automaton; the language whose phrases, times the logarithm of its sample's length, are fewest wins. Texts are
 reduced to lower-case letters with single spaces and parsed in blocks of ``BLOCK`` letters, all blocks of a
-batch at once and one letter a step; a phrase ends with its block.
+batch at once and one letter a step; a phrase ends with its block. Every letter of the samples has its number,
+in any script; letters that no sample has share one. An automaton of at most ``DENSE_CELLS`` states times letters
+is a table, a larger one (thousands of letters) a sorted list of its transitions.
 
 Defined cases: null texts and texts without a letter are ``und`` with score 0; ties go to the language first
 in order; with no labelled text every document is ``und``; repeated rows are answered each; an empty
@@ -28,7 +30,8 @@ SAMPLE_DOCUMENTS = 64
 SAMPLE_LETTERS = 20_000
 BLOCK = 128
 UNKNOWN = "und"
-# code points above are looked up one by one
+DENSE_CELLS = 1 << 24
+# code points above are looked up once for each distinct one
 _TABLE = 0x3000
 _SPACE, _OTHER = 1, 2
 
@@ -49,8 +52,11 @@ def letters(text: str) -> np.ndarray:
     points = np.frombuffer(text.encode("utf-32-le"), np.int32)
     table = _lower_table()
     low = table[np.minimum(points, _TABLE - 1)]
-    for i in np.flatnonzero(points >= _TABLE).tolist():
-        low[i] = points[i] if chr(points[i]).isalpha() else 32
+    high = np.flatnonzero(points >= _TABLE)
+    if len(high):
+        distinct, at = np.unique(points[high], return_inverse=True)
+        lowered = [chr(c).lower() if chr(c).isalpha() else " " for c in distinct.tolist()]
+        low[high] = np.array([ord(x) if len(x) == 1 else c for c, x in zip(distinct.tolist(), lowered, strict=True)], np.int32)[at]
     space = low == 32
     keep = ~space
     keep[1:] |= ~space[:-1]
@@ -58,7 +64,21 @@ def letters(text: str) -> np.ndarray:
     return low[int(low[0] == 32) : len(low) - int(low[-1] == 32)] if len(low) and (low != 32).any() else low[:0]
 
 
-def suffix_automaton(sequence: list[int], symbols: int) -> np.ndarray:
+class Transitions:
+    """Sorted transitions, read like a table: state * symbols + symbol -> state * symbols, or -1."""
+
+    def __init__(self, keys: np.ndarray, values: np.ndarray):
+        order = np.argsort(keys)
+        self.keys, self.values = keys[order], values[order]
+
+    def __getitem__(self, asked: np.ndarray) -> np.ndarray:
+        if not len(self.keys):
+            return np.full(len(asked), -1, np.int64)
+        at = np.minimum(np.searchsorted(self.keys, asked), len(self.keys) - 1)
+        return np.where(self.keys[at] == asked, self.values[at], -1)
+
+
+def suffix_automaton(sequence: list[int], symbols: int, dense_cells: int = DENSE_CELLS) -> np.ndarray | Transitions:
     """Transitions (state * symbols + symbol -> state * symbols, or -1) of the sequence's suffix automaton."""
     follow: list[dict[int, int]] = [{}]
     link, length, last = [-1], [0], 0
@@ -85,6 +105,9 @@ def suffix_automaton(sequence: list[int], symbols: int) -> np.ndarray:
                     at = link[at]
                 link[to] = link[now] = copy
         last = now
+    if len(follow) * symbols > dense_cells:
+        made = np.array([(s * symbols + c, to * symbols) for s, row in enumerate(follow) for c, to in row.items()], np.int64).reshape(-1, 2)
+        return Transitions(made[:, 0], made[:, 1])
     table = np.full(len(follow) * symbols, -1, np.int32)
     for s, row in enumerate(follow):
         for c, to in row.items():
@@ -93,36 +116,39 @@ def suffix_automaton(sequence: list[int], symbols: int) -> np.ndarray:
 
 
 class CrossParser:
-    def __init__(self, samples: tuple[tuple[str, str], ...]):
+    def __init__(self, samples: tuple[tuple[str, str], ...], dense_cells: int = DENSE_CELLS):
         self.languages = [name for name, _ in samples]
         texts = [letters(t)[:SAMPLE_LETTERS] for _, t in samples]
         alphabet = np.unique(np.concatenate([*texts, [32]]))
         # 0 pads, 1 is the space, 2 any letter that no sample has
         self.symbols = len(alphabet) + 2
-        self.code = {int(c): i + 2 for i, c in enumerate(alphabet)}
-        self.code[32] = _SPACE
-        self.numbers = np.full(_TABLE, _OTHER, np.uint8)
-        rank = 3
-        for c in alphabet.tolist():
-            if c == 32:
-                self.numbers[32] = _SPACE
-            elif c < _TABLE:
-                self.numbers[c] = rank
-                rank += 1
-        self.symbols = rank
-        self.tables = [suffix_automaton(self.encode(t).tolist(), self.symbols) for t in texts]
+        self.kind = np.uint8 if self.symbols <= 256 else np.int32
+        # the space is the least of the alphabet
+        ranks = np.where(alphabet == 32, _SPACE, np.arange(len(alphabet)) + 2).astype(self.kind)
+        below = alphabet < _TABLE
+        self.numbers = np.full(_TABLE, _OTHER, self.kind)
+        self.numbers[alphabet[below]] = ranks[below]
+        self.high, self.high_numbers = alphabet[~below], ranks[~below]
+        self.tables = [suffix_automaton(self.encode(t).tolist(), self.symbols, dense_cells) for t in texts]
         self.weight = np.array([np.log2(max(len(t), 2)) for t in texts])
 
     def encode(self, low: np.ndarray) -> np.ndarray:
-        return np.where(low < _TABLE, self.numbers[np.minimum(low, _TABLE - 1)], _OTHER).astype(np.uint8)
+        out = self.numbers[np.minimum(low, _TABLE - 1)]
+        above = np.flatnonzero(low >= _TABLE)
+        if len(above):
+            out[above] = _OTHER
+        if len(above) and len(self.high):
+            at = np.minimum(np.searchsorted(self.high, low[above]), len(self.high) - 1)
+            out[above] = np.where(self.high[at] == low[above], self.high_numbers[at], _OTHER)
+        return out
 
     def phrases(self, blocks: np.ndarray) -> np.ndarray:
         """Phrases of each block (a column of letters, 0 behind the end) in each language."""
         out = np.zeros((blocks.shape[1], len(self.tables)), np.int32)
         for k, table in enumerate(self.tables):
-            state = np.zeros(blocks.shape[1], np.int32)
             count = np.zeros(blocks.shape[1], np.int32)
-            root = table[: self.symbols].copy()
+            root = table[np.arange(self.symbols)]
+            state = np.zeros(blocks.shape[1], root.dtype)
             alone = root < 0
             alone[0] = False
             root[root < 0] = 0
@@ -137,10 +163,10 @@ class CrossParser:
         return out
 
     def predict(self, texts: list[str | None]) -> tuple[list[str], list[float]]:
-        coded = [self.encode(letters(t)) if t else np.zeros(0, np.uint8) for t in texts]
+        coded = [self.encode(letters(t)) if t else np.zeros(0, self.kind) for t in texts]
         sizes = np.array([len(c) for c in coded], np.int64)
         per = -(-sizes // BLOCK)
-        flat = np.zeros(int(per.sum()) * BLOCK, np.uint8)
+        flat = np.zeros(int(per.sum()) * BLOCK, self.kind)
         at = 0
         for c, p in zip(coded, per.tolist(), strict=True):
             flat[at : at + len(c)] = c

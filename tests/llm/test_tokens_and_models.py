@@ -1,4 +1,5 @@
 import base64
+import random
 import zlib
 
 import numpy as np
@@ -90,6 +91,23 @@ def test_language(spark, sf):
     assert li.keep_identified(odd).columns == odd.columns
 
 
+def test_languages_of_large_alphabets(spark):
+    rng = random.Random(5)
+    spans = {"ja": (0x3041, 0x3090), "zh": (0x4E00, 0x4E00 + 2500), "ko": (0xAC00, 0xAC00 + 2000), "am": (0x1200, 0x1240), "el": (0x3B1, 0x3C9)}
+    words = {lang: ["".join(chr(rng.randrange(*span)) for _ in range(3)) for _ in range(300)] for lang, span in spans.items()}
+    rows = [(i, " ".join(rng.choice(words[lang]) for _ in range(60)), lang) for i, lang in enumerate(sorted(spans) * 40)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, lang string")
+    told = {r.doc_id: r.lang_pred for r in li.identify_languages(docs).filter("held_out").collect()}
+    assert len(told) > 20 and all(told[i] == lang for i, _, lang in rows if i in told)
+
+
+def test_sparse_automaton_equals_table(spark, sf):
+    docs = spark.read.parquet(f"{sf}/documents.parquet")
+    samples, texts = li.learn_samples(docs.limit(40)), [r.text for r in docs.limit(20).collect()]
+    assert li.CrossParser(samples, dense_cells=0).predict(texts) == li.CrossParser(samples).predict(texts)
+    assert li.letters("Ａｂ　日").tolist() == [ord("ａ"), ord("ｂ"), 32, ord("日")]
+
+
 def test_cross_parse_equals_brute_force(spark, sf):
     docs = spark.read.parquet(f"{sf}/documents.parquet")
     samples = li.learn_samples(docs.limit(40))
