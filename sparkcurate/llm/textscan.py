@@ -106,12 +106,12 @@ class Words:
 
 def shingles(words: Words, k: int) -> tuple[np.ndarray, np.ndarray]:
     """Hash and row of each k-word shingle; a row of fewer words, but not none, has one of all its words."""
-    n = len(words.hash)
-    total = np.zeros(max(n - k + 1, 0), np.uint64)
+    m = max(len(words.hash) - k + 1, 0)
+    total = np.zeros(m, np.uint64)
     for j in range(k):
-        total = total * U(_BASE) + words.hash[j : n - k + 1 + j]
-    whole = words.row[: max(n - k + 1, 0)] == words.row[k - 1 :]
-    hashes, rows = mix(total[whole]), words.row[: max(n - k + 1, 0)][whole]
+        total = total * U(_BASE) + words.hash[j : j + m]
+    whole = words.row[:m] == words.row[k - 1 : k - 1 + m]
+    hashes, rows = mix(total[whole]), words.row[:m][whole]
     short = np.flatnonzero((words.count > 0) & (words.count < k))
     if len(short):
         extra = np.zeros(len(short), np.uint64)

@@ -57,6 +57,12 @@ def test_join_cases(spark):
     assert 1 - (1 - 0.8 ** forest_depth(0.8)) ** 32 >= 0.9999
 
 
+@pytest.mark.parametrize("n", range(8))
+def test_join_of_one_short_text(spark, n):
+    docs = spark.createDataFrame([(1, " ".join("abcdefgh"[:n]))], "doc_id long, text string").coalesce(1)
+    assert [tuple(r) for r in similar_documents(docs).collect()] == [(1, 1, 0, 1)]
+
+
 def test_one_kept_of_every_class(spark):
     rows = [(1, "a b c d e f g h"), (1, "a b c d e f g h"), (4, "zz foo"), (None, "foo bar"), (None, "zz foo"), (None, "bar bar"), (None, "Foo BAR"), (7, "one two"), (7, "three four"), (8, "THREE four"), (9, None), (None, "")]
     docs = spark.createDataFrame(rows, "doc_id long, text string")
