@@ -10,11 +10,15 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from sparkcurate.functions.arrow import map_arrow
+from sparkcurate.functions.lineage import cut
 from sparkcurate.operators.cluster import encode
-from sparkcurate.operators.decontam import BROADCAST_ITEMS, COSINE
+from sparkcurate.operators.decontam import BLOCK_ITEMS, BROADCAST_ITEMS, COSINE
 from sparkcurate.operators.dedup import overlap_pairs
 
 CHUNK_DIMENSIONS = 1024
+# numbers of a vector that are multiplied before the rest, and rows in one product
+HEAD = 64
+PRODUCT_ROWS = 512
 
 
 def _term_vectors(words: list[str], n: int, d: int):
@@ -79,36 +83,74 @@ def combine_rejections(lexical: DataFrame, semantic: DataFrame, key: str) -> Dat
     return both.groupBy(key).agg(F.bool_or("l").alias("lexical"), F.bool_or("s").alias("semantic"))
 
 
-def similar_vectors(vectors: DataFrame, key: str, threshold: float = COSINE, bits: int = 12, tables: int = 12, seed: int = 42) -> DataFrame:
-    """(a, b, cosine): pairs above the threshold among distinct vectors that share a random-hyperplane bucket, verified exactly.
+def _rows(column: pa.Array) -> np.ndarray:
+    return np.asarray(column.flatten(), np.float64).reshape(len(column), -1)
 
-    Equal vectors are one (the smallest id); buckets of ``bits`` signs keep the pairs of different ones few.
-    """
-    first = vectors.select("embedding").first()
-    if first is None:
-        return vectors.select(F.col(key).alias("a"), F.col(key).alias("b"), F.lit(0.0).alias("cosine"))
-    d = len(first[0])
-    planes = np.random.default_rng(seed).standard_normal((tables * bits, d))
 
+def _units(x: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Unit vectors, and their first ``HEAD`` numbers with the length of the rest, whose products bound the cosines from above."""
+    size = np.linalg.norm(x, axis=1)
+    unit = x / np.where(size > 0, size, 1)[:, None]
+    return unit, np.column_stack([unit[:, :HEAD], np.linalg.norm(unit[:, HEAD:], axis=1)]).astype(np.float32)
+
+
+def _above(ids: pa.Array, units: np.ndarray, key: str, own: int, threshold: float):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        _, heads = _units(units)
+        names = np.asarray(ids.to_numpy(zero_copy_only=False))
         for batch in batches:
-            x = np.array(batch.column("embedding").to_pylist(), np.float64).reshape(batch.num_rows, -1)
-            sign = (x @ planes.T > 0) if batch.num_rows else np.zeros((0, tables * bits), bool)
-            code = sign.reshape(-1, tables, bits) @ (1 << np.arange(bits)) + (np.arange(tables) << bits)
-            yield pa.RecordBatch.from_arrays([batch.column(key), batch.column("embedding"), pa.array(code.tolist(), pa.list_(pa.int64()))], [key, "embedding", "codes"])
+            if not batch.num_rows:
+                continue
+            mine, part = batch.column(key).to_numpy(zero_copy_only=False), np.asarray(batch.column("__part"))
+            x, bounds = _units(_rows(batch.column("embedding")))
+            a, b, cosine = [], [], []
+            for at in range(0, len(x), PRODUCT_ROWS):
+                r, c = np.nonzero(bounds[at : at + PRODUCT_ROWS] @ heads.T > threshold - 1e-4)
+                r = r + at
+                # the pairs inside the block once
+                once = (part[r] != own) | (mine[r] > names[c])
+                r, c = r[once], c[once]
+                for k in range(0, len(r), PRODUCT_ROWS * 16):
+                    p, q = r[k : k + PRODUCT_ROWS * 16], c[k : k + PRODUCT_ROWS * 16]
+                    dots = np.einsum("ij,ij->i", x[p], units[q])
+                    p, q, dots = p[dots > threshold], q[dots > threshold], dots[dots > threshold]
+                    a.append(np.minimum(mine[p], names[q]))
+                    b.append(np.maximum(mine[p], names[q]))
+                    cosine.append(dots)
+            if a:
+                kind = batch.schema.field(key).type
+                yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(a), kind), pa.array(np.concatenate(b), kind), pa.array(np.concatenate(cosine))], ["a", "b", "cosine"])
+
+    return run
+
 
-    coded = map_arrow(vectors.groupBy(F.col("embedding").cast("array<double>").alias("embedding")).agg(F.min(key).alias(key)).select(key, "embedding"), run, f"{key} {vectors.schema[key].dataType.simpleString()}, embedding array<double>, codes array<bigint>")
-    places = coded.select(key, F.explode("codes").alias("code"))
-    pairs = places.select(F.col(key).alias("a"), "code").join(places.select(F.col(key).alias("b"), "code"), "code").filter("a < b").select("a", "b").distinct()
-    both = pairs.join(coded.select(F.col(key).alias("a"), F.col("embedding").alias("va")), "a").join(coded.select(F.col(key).alias("b"), F.col("embedding").alias("vb")), "b")
-    dot = lambda p, q: F.aggregate(F.zip_with(p, q, lambda u, v: u * v), F.lit(0.0), lambda s, t: s + t)
-    return both.withColumn("cosine", dot("va", "vb") / F.sqrt(dot("va", "va") * dot("vb", "vb"))).filter(F.col("cosine") > threshold).select("a", "b", "cosine")
+def similar_vectors(vectors: DataFrame, key: str, threshold: float = COSINE, block: int = BLOCK_ITEMS) -> DataFrame:
+    """(a, b, cosine): all pairs of distinct vectors above the threshold, and each vector's smallest id with its copies.
+
+    Compared exactly, one block of vectors after another with all rows of its own and the later blocks; the work is
+    the square of the distinct vectors. Vectors of zeros have no cosine and no pair.
+    """
+    kind = vectors.schema[key].dataType.simpleString()
+    some = cut(vectors.select(key, "embedding").filter(F.exists("embedding", lambda x: x != 0)))
+    coded = some.select(key, F.xxhash64("embedding").alias("h"), F.xxhash64(F.lit(1), "embedding").alias("g"))
+    first = coded.groupBy("h", "g").agg(F.min(key).alias("a"))
+    told = cut(coded.join(first, ["h", "g"]).select("a", F.col(key).alias("b")))
+    out = told.filter("a <> b").select("a", "b", F.lit(1.0).alias("cosine"))
+    heads = told.filter("a = b")
+    blocks = max(1, -(-heads.count() // block))
+    shaped = cut(some.join(heads.select(F.col("a").alias(key)), key, "left_semi").withColumn("__part", F.pmod(F.xxhash64(key), F.lit(blocks)).cast("int")))
+    for own in range(blocks):
+        held = shaped.filter(F.col("__part") == own).select(key, "embedding").toArrow().combine_chunks()
+        if held.num_rows:
+            column = held.column("embedding").combine_chunks()
+            run = _above(held.column(key).combine_chunks(), _units(_rows(column))[0], key, own, threshold)
+            out = out.unionByName(cut(map_arrow(shaped.filter(F.col("__part") >= own), run, f"a {kind}, b {kind}, cosine double")))
+    return out
 
 
 def strict_pool(docs: DataFrame, n: int = 15, threshold: float = COSINE) -> DataFrame:
-    """Ids that survive 15-gram containment and cosine similarity inside the pool (pair semantics)."""
+    """Ids that survive 15-gram containment and cosine similarity inside the pool (pair semantics); texts without words stay."""
     lexical = overlap_pairs(docs, "doc_id", "text", n).select("a", "b")
     semantic = similar_vectors(encode(docs, "doc_id", "text", d=256), "doc_id", threshold).select("a", "b")
-    # copies of a text share its 15-grams, so the lexical rule has them; shorter copies stay
     gone = lexical.unionByName(semantic).select(F.col("b").alias("doc_id")).distinct()
     return docs.select("doc_id").join(gone, "doc_id", "left_anti")

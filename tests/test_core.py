@@ -1,5 +1,6 @@
 import math
 
+import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
@@ -12,6 +13,7 @@ from sparkcurate.operators.mix import apportion, curriculum
 from sparkcurate.operators.prefs import build_pairs, preference_loss
 from sparkcurate.operators.quality import boxed_answer, normal_number
 from sparkcurate.operators.select import quotas, sample_balanced
+from sparkcurate.operators.semantic import similar_vectors, strict_pool
 from sparkcurate.sources.tables import read_files, write_files
 
 
@@ -56,6 +58,26 @@ def test_templates_survive_the_frequency_cap(spark):
     assert [(r.a, r.b) for r in overlap_pairs(docs, "doc_id", "text", 20, 0.8, max_df=20).collect()] == [(3, 99)]
 
 
+@pytest.mark.parametrize("block", [20_000, 40])
+def test_similar_vectors_equal_brute_force(spark, block):
+    rng = np.random.default_rng(4)
+    base = rng.standard_normal((30, 100))
+    x = np.concatenate([base + scale * rng.standard_normal(base.shape) for scale in (0, 0, 0.3, 0.45, 0.5, 0.7)]).astype(np.float32)
+    x[-1] = 0
+    rows = [(i, v.tolist()) for i, v in enumerate(x)]
+    got = {(r.a, r.b) for r in similar_vectors(spark.createDataFrame(rows, "doc_id long, embedding array<float>"), "doc_id", block=block).collect()}
+    unit = x.astype(float) / np.maximum(np.linalg.norm(x.astype(float), axis=1), 1e-9)[:, None]
+    close = {(i, j) for i, j in zip(*np.nonzero(unit @ unit.T > 0.9), strict=True) if i < j}
+    # ids 30 to 59 are copies of 0 to 29 and meet others through them
+    assert got == {(i, j) for i, j in close if (i not in range(30, 60) and j not in range(30, 60)) or j == i + 30 and i < 30} and len(got) > 80
+    assert similar_vectors(spark.createDataFrame([], "doc_id long, embedding array<float>"), "doc_id").count() == 0
+
+
+def test_strict_pool_drops_short_copies(spark):
+    docs = spark.createDataFrame([(1, "a short text"), (2, "A short text!"), (3, "another one here"), (4, None), (5, "")], "doc_id long, text string")
+    assert sorted(r.doc_id for r in strict_pool(docs).collect()) == [1, 3, 4, 5]
+
+
 def test_components(spark):
     edges = spark.createDataFrame([(i, i + 1) for i in range(50)] + [(100, 101), (102, 101)], "src long, dst long")
     got = {r.node: r.component for r in connected_components(edges).collect()}
