@@ -1,11 +1,12 @@
-"""Overlap removal inside a pool: exact, n-gram and MinHash variants, pair and group semantics."""
+"""Overlap removal inside a pool: exact, n-gram and sketch variants, pair and group semantics."""
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from sparkcurate.functions.text import grams
+from sparkcurate.functions.lineage import cut
+from sparkcurate.functions.text import gram_hashes, grams, tokens
 from sparkcurate.operators.components import connected_components
 
 N = 20
@@ -61,19 +62,26 @@ def duplicate_groups(df: DataFrame, key: str, pairs: DataFrame) -> DataFrame:
     return df.select(key).join(parts.select(F.col("node").alias(key), "component"), key, "left").select(key, F.coalesce("component", key).alias("grp"))
 
 
-def dedup_minhash(df: DataFrame, key: str, text_col: str, n: int = N, bands: int = 16, rows: int = 4, tau: float = 0.8) -> DataFrame:
-    """Candidate pairs by banded MinHash (hash aggregates over grams), verified by exact containment of the gram sets.
+def dedup_minhash(df: DataFrame, key: str, text_col: str, n: int = N, tau: float = 0.8) -> DataFrame:
+    """(a, b, containment): the pairs of ``overlap_pairs``, found by sketches and verified by the gram sets.
 
-    Records of a band are chained to its smallest member, so rows grow with the records and not with pairs.
+    A record's sketch is its rarest grams (equally rare ones by hash), one more than a partner may lack at ``tau``:
+    a record at least as large that contains a share of tau has one of them, whatever its size. No pair is lost, and
+    only grams of sketches are joined.
     """
-    each = grams(df, key, text_col, n)
-    signed = each.groupBy(key).agg(F.count(F.lit(1)).alias("size"), *[F.min(F.xxhash64("gram", F.lit(i))).alias(f"__m{i}") for i in range(bands * rows)])
-    codes = F.array(*[F.xxhash64(F.lit(b), *[F.col(f"__m{b * rows + r}") for r in range(rows)]) for b in range(bands)])
-    places = signed.select(key, F.explode(codes).alias("band"))
-    heads = places.groupBy("band").agg(F.min(key).alias("a"), F.count(F.lit(1)).alias("n")).filter("n > 1").select("band", "a")
-    pairs = places.join(heads, "band").filter(F.col(key) > F.col("a")).select("a", F.col(key).alias("b")).distinct()
-    left = pairs.join(each.select(F.col(key).alias("a"), "gram"), "a")
-    shared = left.join(each.select(F.col(key).alias("b"), "gram"), ["b", "gram"]).groupBy("a", "b").agg(F.count(F.lit(1)).alias("shared"))
-    sizes = signed.select(F.col(key).alias("k"), "size")
-    sized = shared.join(sizes.select(F.col("k").alias("a"), F.col("size").alias("sa")), "a").join(sizes.select(F.col("k").alias("b"), F.col("size").alias("sb")), "b")
-    return sized.withColumn("containment", F.col("shared") / F.least("sa", "sb")).filter(F.col("containment") >= tau).select("a", "b", "containment")
+    words = df.select(key, tokens(F.col(text_col)).alias("__t"))
+    # cut before the filter, which would else make the grams twice
+    sets = cut(words.select(key, F.array_distinct(gram_hashes(F.col("__t"), n)).alias("grams"))).filter(F.size("grams") > 0)
+    each = sets.select(key, F.size("grams").alias("size"), F.explode("grams").alias("gram"))
+    shared = each.groupBy("gram").agg(F.count(F.lit(1)).alias("df")).filter("df > 1")
+    met = cut(each.join(shared, "gram"))
+    mine = Window.partitionBy(key)
+    # the grams of no other record come first in every sketch
+    place = F.col("size") - F.count(F.lit(1)).over(mine) + F.row_number().over(mine.orderBy("df", "gram"))
+    sketch = met.withColumn("place", place).filter(F.col("place") <= F.col("size") - F.ceil(F.col("size") * tau - 1e-9) + 1)
+    small = sketch.select(F.col(key).alias("s"), F.col("size").alias("ss"), "gram")
+    large = met.select(F.col(key).alias("t"), F.col("size").alias("st"), "gram")
+    pairs = small.join(large, "gram").filter("st >= ss AND s <> t").select(F.least("s", "t").alias("a"), F.greatest("s", "t").alias("b")).distinct()
+    both = pairs.join(sets.select(F.col(key).alias("a"), F.col("grams").alias("ga")), "a").join(sets.select(F.col(key).alias("b"), F.col("grams").alias("gb")), "b")
+    shares = F.size(F.array_intersect("ga", "gb")) / F.least(F.size("ga"), F.size("gb"))
+    return both.select("a", "b", shares.alias("containment")).filter(F.col("containment") >= tau)

@@ -6,7 +6,7 @@ from pyspark.sql import functions as F
 
 import __spark_entry__
 from sparkcurate.operators.components import connected_components
-from sparkcurate.operators.dedup import drop_by_pairs, duplicate_groups, overlap_pairs
+from sparkcurate.operators.dedup import dedup_minhash, drop_by_pairs, duplicate_groups, overlap_pairs
 from sparkcurate.operators.difficulty import pass_at_k
 from sparkcurate.operators.evaluate import table_check
 from sparkcurate.operators.mix import apportion, curriculum
@@ -58,6 +58,17 @@ def test_templates_survive_the_frequency_cap(spark):
     assert [(r.a, r.b) for r in overlap_pairs(docs, "doc_id", "text", 20, 0.8, max_df=20).collect()] == [(3, 99)]
 
 
+def test_sketches_find_all_containment_pairs(spark, sf):
+    words = lambda name, n: [f"{name}{i}" for i in range(n)]
+    body = words("w", 150)
+    texts = [body, [*body[:140], *words("x", 12)], [*words("y", 12), *body[15:]], [*words("z", 200), *words("s", 40), *words("v", 200)], words("s", 40), ["a"] * 60, ["a"] * 70, words("q", 5), words("q", 5), []]
+    docs = spark.createDataFrame([(i, " ".join(t)) for i, t in enumerate(texts)], "doc_id long, text string")
+    for rows in (docs, spark.read.parquet(f"{sf}/documents.parquet").select("doc_id", "text")):
+        got = sorted(tuple(r) for r in dedup_minhash(rows, "doc_id", "text").collect())
+        assert got == sorted(tuple(r) for r in overlap_pairs(rows, "doc_id", "text").select("a", "b", "containment").collect())
+        assert rows is not docs or {(0, 1), (0, 2), (3, 4), (5, 6)} <= {r[:2] for r in got}
+
+
 @pytest.mark.parametrize("block", [20_000, 40])
 def test_similar_vectors_equal_brute_force(spark, block):
     rng = np.random.default_rng(4)
