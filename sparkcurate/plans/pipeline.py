@@ -61,7 +61,7 @@ def run_pipeline(spark: SparkSession, sf_dir: str, config: Config = Config()) ->
     pool = docs.join(clean, "doc_id", "left_semi")
     if config.order == "early":
         pool = docs.join(count("overlap", _overlap_free(pool.select("doc_id", "text"), benchmark, config).select("doc_id")), "doc_id", "left_semi")
-    scored = scored_documents(pool)
+    scored = scored_documents(pool, fitted=True)
     longest = [F.desc("n_chars"), F.col("doc_id")]
     picked = count("sampled", dual(scored, "doc_id", "category", "cluster", config.budget, longest).select("doc_id"))
     text = docs.join(picked, "doc_id", "left_semi").select("doc_id", "text")

@@ -374,7 +374,7 @@ def w05(spark, d):
     from sparkcurate.operators.semantic import strict_pool
 
     docs = table(spark, d, "documents")
-    scored = st.scored_documents(docs.join(strict_pool(docs), "doc_id", "left_semi"))
+    scored = st.scored_documents(docs.join(strict_pool(docs), "doc_id", "left_semi"), fitted=True)
     out = cut(st.select(scored, "length+dual", 20)).select(F.lit("length+dual").alias("strategy"), "doc_id")
     for seed in (42, 43, 44):
         again = scored.withColumn("rnd", seeded("doc_id", seed))

@@ -7,13 +7,14 @@ from pyspark.sql import functions as F
 
 from sparkcurate.functions.lineage import cut
 from sparkcurate.functions.text import seeded
-from sparkcurate.operators.cluster import encode_md5
+from sparkcurate.operators.cluster import cluster, encode, encode_md5
 from sparkcurate.operators.difficulty import score_ifd, token_entropy
 from sparkcurate.operators.select import dual, first_rows, sample_balanced
 from sparkcurate.sources.tables import documents_as_qa
 
 CLUSTERS = 8
 DIMENSIONS = 16
+ENCODED = 256
 
 
 def md5_clusters(docs: DataFrame, key: str = "doc_id", text_col: str = "text", k: int = CLUSTERS, d: int = DIMENSIONS) -> DataFrame:
@@ -35,13 +36,24 @@ def md5_clusters(docs: DataFrame, key: str = "doc_id", text_col: str = "text", k
     return vectors.select(key, out.alias("cluster"))
 
 
-def scored_documents(docs: DataFrame, seed: int = 42) -> DataFrame:
-    """One row a record with every score a strategy needs; without text, checkpointed, read by all strategies."""
+def fitted_clusters(records: DataFrame, key: str = "doc_id", k: int = CLUSTERS, d: int = ENCODED) -> DataFrame:
+    """(id, cluster): k-means over the vectors of the questions of all records."""
+    vectors = cut(encode(records, key, "question", d))
+    if vectors.isEmpty():
+        return vectors.select(key, F.lit(0).alias("cluster"))
+    return cluster(vectors, key, k)[0].select(key, "cluster")
+
+
+def scored_documents(docs: DataFrame, seed: int = 42, fitted: bool = False) -> DataFrame:
+    """One row a record with every score a strategy needs; without text, checkpointed, read by all strategies.
+
+    Clusters are ``fitted``, or those of ``md5_clusters``, which SQL can repeat.
+    """
     records = documents_as_qa(docs).withColumnRenamed("qid", "doc_id")
     entropy = token_entropy(records, "doc_id", "question")
     ifd = score_ifd(records, "doc_id", "question", "response")
     base = records.select("doc_id", "domain", "category", "n_chars", "n_tokens")
-    joined = base.join(entropy, "doc_id", "left").join(ifd, "doc_id", "left").join(md5_clusters(docs), "doc_id")
+    joined = base.join(entropy, "doc_id", "left").join(ifd, "doc_id", "left").join(fitted_clusters(records) if fitted else md5_clusters(docs), "doc_id")
     return cut(joined.withColumn("complexity", F.coalesce("complexity", F.lit(0.0))).withColumn("ifd", F.coalesce("ifd", F.lit(0.0))).withColumn("rnd", seeded("doc_id", seed)))
 
 

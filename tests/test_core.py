@@ -14,6 +14,7 @@ from sparkcurate.operators.prefs import build_pairs, preference_loss
 from sparkcurate.operators.quality import boxed_answer, normal_number
 from sparkcurate.operators.select import quotas, sample_balanced
 from sparkcurate.operators.semantic import similar_vectors, strict_pool
+from sparkcurate.plans.strategies import fitted_clusters
 from sparkcurate.sources.tables import read_files, write_files
 
 
@@ -89,6 +90,12 @@ def test_strict_pool_drops_short_copies(spark):
     assert sorted(r.doc_id for r in strict_pool(docs).collect()) == [1, 3, 4, 5]
 
 
+def test_fitted_clusters_of_copied_heads(spark):
+    texts = ["red apples and green pears"] * 20 + ["fast cars on long roads"] * 20 + ["cold rain in dark woods"] * 20
+    rows = spark.createDataFrame(list(enumerate(texts)), "doc_id long, question string")
+    assert len({(r.cluster, texts[r.doc_id]) for r in fitted_clusters(rows, k=3).collect()}) == 3 == len({r.cluster for r in fitted_clusters(rows, k=3).collect()})
+
+
 def test_components(spark):
     edges = spark.createDataFrame([(i, i + 1) for i in range(50)] + [(100, 101), (102, 101)], "src long, dst long")
     got = {r.node: r.component for r in connected_components(edges).collect()}
