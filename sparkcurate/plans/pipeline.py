@@ -9,24 +9,33 @@ from pyspark.sql import functions as F
 
 from sparkcurate.functions.lineage import cut
 from sparkcurate.functions.text import grams
-from sparkcurate.operators.decontam import contaminated_any
+from sparkcurate.operators.cluster import encode
+from sparkcurate.operators.decontam import COSINE, contaminated_any, max_cosine
 from sparkcurate.operators.dedup import drop_by_pairs, overlap_pairs
 from sparkcurate.operators.mix import curriculum, mix
-from sparkcurate.operators.rules import filter_complete, filter_judged, filter_language
+from sparkcurate.operators.quality import route, verify_regenerate_stub
+from sparkcurate.operators.rules import filter_complete, filter_judged, filter_language, format_reasons
 from sparkcurate.operators.select import dual, sample_balanced
+from sparkcurate.operators.semantic import combine_rejections
 from sparkcurate.plans.strategies import scored_documents
 from sparkcurate.sources.tables import table
 
 
 @dataclass(frozen=True)
 class Config:
-    """``order`` "late" removes overlap after sampling, "early" before; they select different sets."""
+    """``order`` "late" removes overlap after sampling, "early" before; they select different sets.
 
-    budget: int = 150
+    ``share`` of the eligible records is sampled. ``waived`` format reasons do not reject: the stand-in documents
+    are prose, which holds neither boxed answers nor programs.
+    """
+
+    share: float = 0.15
     languages: tuple[str, ...] = ("en",)
     dedup_n: int = 20
     tau: float = 0.8
     decontam_n: int = 15
+    cosine: float = COSINE
+    waived: tuple[str, ...] = ("no_boxed_answer", "no_program")
     order: str = "late"
     weights: tuple[tuple[str, int], ...] = (("code", 4), ("math", 4), ("science", 3))
     stage_share: float = 0.7
@@ -39,8 +48,22 @@ def minimum_slice(spark: SparkSession, sf_dir: str, budget: int = 60) -> DataFra
     return picked.join(contaminated_any(text, table(spark, sf_dir, "benchmark"), "doc_id"), "doc_id", "left_anti").select("doc_id", "category", "n_chars")
 
 
+def contaminated(docs: DataFrame, benchmark: DataFrame, config: Config) -> DataFrame:
+    """Ids that share an n-gram with the benchmark or lie above the cosine to one of its items."""
+    semantic = max_cosine(encode(docs, "doc_id", "text"), encode(benchmark, "item_id", "text"), "doc_id").filter(F.col("cosine") > config.cosine)
+    return combine_rejections(contaminated_any(docs, benchmark, "doc_id", n=config.decontam_n), semantic, "doc_id").select("doc_id")
+
+
+def routed(rows: DataFrame, config: Config) -> tuple[DataFrame, DataFrame]:
+    """Ids of (doc_id, text, domain) that pass the format checks, and of those that then pass their route's verifier or judge."""
+    reasons = F.array_except(format_reasons(F.col("text"), F.col("domain")), F.array(*[F.lit(w) for w in config.waived]).cast("array<string>"))
+    shaped = route(rows.filter(F.size(reasons) == 0))
+    verified = verify_regenerate_stub(shaped.filter("route = 'verify'"), "doc_id").filter("passed").select("doc_id")
+    return shaped.select("doc_id"), verified.unionByName(filter_judged(shaped.filter("route = 'judge'")).select("doc_id"))
+
+
 def _overlap_free(docs: DataFrame, benchmark: DataFrame, config: Config) -> DataFrame:
-    clean = docs.join(contaminated_any(docs, benchmark, "doc_id", n=config.decontam_n), "doc_id", "left_anti")
+    clean = docs.join(contaminated(docs, benchmark, config), "doc_id", "left_anti")
     return drop_by_pairs(clean, "doc_id", overlap_pairs(clean, "doc_id", "text", config.dedup_n, config.tau))
 
 
@@ -62,13 +85,15 @@ def run_pipeline(spark: SparkSession, sf_dir: str, config: Config = Config()) ->
     if config.order == "early":
         pool = docs.join(count("overlap", _overlap_free(pool.select("doc_id", "text"), benchmark, config).select("doc_id")), "doc_id", "left_semi")
     scored = scored_documents(pool, fitted=True)
+    budget = round(config.share * scored.count())
     longest = [F.desc("n_chars"), F.col("doc_id")]
-    picked = count("sampled", dual(scored, "doc_id", "category", "cluster", config.budget, longest).select("doc_id"))
+    picked = count("sampled", dual(scored, "doc_id", "category", "cluster", budget, longest).select("doc_id"))
     text = docs.join(picked, "doc_id", "left_semi").select("doc_id", "text")
     if config.order == "late":
         text = docs.select("doc_id", "text").join(count("overlap", _overlap_free(text, benchmark, config).select("doc_id")), "doc_id", "left_semi")
-    judged = count("judged", filter_judged(text).select("doc_id"))
-    rows = scored.join(judged, "doc_id", "left_semi")
+    shaped, passed = routed(cut(text.join(scored.select("doc_id", "domain"), "doc_id")), config)
+    count("format", shaped)
+    rows = scored.join(count("verified", passed), "doc_id", "left_semi")
     mixed = count("mixed", mix(rows, dict(config.weights), rows.count(), longest).select("doc_id", "domain", "category", "n_chars"))
     return curriculum(mixed, "doc_id", "n_chars", config.stage_share), spark.createDataFrame(report, "step string, rows long")
 

@@ -375,10 +375,12 @@ def w05(spark, d):
 
     docs = table(spark, d, "documents")
     scored = st.scored_documents(docs.join(strict_pool(docs), "doc_id", "left_semi"), fitted=True)
-    out = cut(st.select(scored, "length+dual", 20)).select(F.lit("length+dual").alias("strategy"), "doc_id")
+    # 17 of 1,000 records, 20 at least
+    budget = max(20, round(0.017 * scored.count()))
+    out = cut(st.select(scored, "length+dual", budget)).select(F.lit("length+dual").alias("strategy"), "doc_id")
     for seed in (42, 43, 44):
         again = scored.withColumn("rnd", seeded("doc_id", seed))
-        out = out.unionByName(cut(st.select(again, "random", 20)).select(F.lit(f"random-{seed}").alias("strategy"), "doc_id"))
+        out = out.unionByName(cut(st.select(again, "random", budget)).select(F.lit(f"random-{seed}").alias("strategy"), "doc_id"))
     return st.summary(out, scored)
 
 
@@ -389,7 +391,7 @@ def w01(spark, d):
 
 @query("w01_pipeline_report")
 def w01_report(spark, d):
-    return run_pipeline(spark, d, Config(budget=80, order="early"))[1]
+    return run_pipeline(spark, d, Config(share=0.08, order="early"))[1]
 
 
 @query("m33_nested_budgets", f"WITH {_DOCS}, a AS ({o.balanced('docs', 'category', 'rnd, doc_id', 80)}), b AS ({o.balanced('docs', 'category', 'rnd, doc_id', 150)}) SELECT (SELECT count(*) FROM a) AS small, (SELECT count(*) FROM b) AS large, (SELECT count(*) FROM a WHERE doc_id IN (SELECT doc_id FROM b)) AS nested")

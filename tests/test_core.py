@@ -14,6 +14,7 @@ from sparkcurate.operators.prefs import build_pairs, preference_loss
 from sparkcurate.operators.quality import boxed_answer, normal_number
 from sparkcurate.operators.select import quotas, sample_balanced
 from sparkcurate.operators.semantic import similar_vectors, strict_pool
+from sparkcurate.plans.pipeline import Config, contaminated, routed, run_pipeline
 from sparkcurate.plans.strategies import fitted_clusters
 from sparkcurate.sources.tables import read_files, write_files
 
@@ -90,6 +91,24 @@ def test_strict_pool_drops_short_copies(spark):
     assert sorted(r.doc_id for r in strict_pool(docs).collect()) == [1, 3, 4, 5]
 
 
+def test_pipeline_samples_a_share_and_routes(spark, sf):
+    final, report = run_pipeline(spark, sf)
+    steps = {r.step: r.rows for r in report.collect()}
+    assert steps["sampled"] == round(0.15 * steps["rules"]) and steps["verified"] < steps["format"] <= steps["overlap"]
+    assert final.count() == steps["mixed"]
+
+
+def test_pipeline_rejects_by_cosine_and_route(spark):
+    item = "one two three four five six seven eight nine ten"
+    docs = spark.createDataFrame([(1, item), (2, "quite another text of no item")], "doc_id long, text string")
+    assert [r.doc_id for r in contaminated(docs, docs.limit(1).withColumnRenamed("doc_id", "item_id"), Config()).collect()] == [1]
+    rows = [(i, "all words here differ from one another.", "math") for i in range(200)] + [(900, "all words here differ.", "science"), (901, "no " * 90 + "end.", "science"), (902, "never closed", "science")]
+    shaped, passed = routed(spark.createDataFrame(rows, "doc_id long, text string, domain string"), Config())
+    kept = {r.doc_id for r in passed.collect()}
+    assert shaped.count() == 202 and kept - set(range(200)) == {900} and 150 < len(kept) < 201
+    assert routed(spark.createDataFrame(rows, "doc_id long, text string, domain string"), Config(waived=()))[0].count() == 2
+
+
 def test_fitted_clusters_of_copied_heads(spark):
     texts = ["red apples and green pears"] * 20 + ["fast cars on long roads"] * 20 + ["cold rain in dark woods"] * 20
     rows = spark.createDataFrame(list(enumerate(texts)), "doc_id long, question string")
