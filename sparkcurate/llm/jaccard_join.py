@@ -1,9 +1,9 @@
-"""N-gram Jaccard self-join through a MinHash LSH forest, verified exactly.
+"""N-gram Jaccard self-join through MinHash banding, verified exactly.
 
-Documents with equal sets of word shingles form a class. Each class has a signature in every tree of
-the forest; the trees' sorted prefixes are shortened from ``MAX_DEPTH`` until the chance that a pair at
-the similarity threshold shares a prefix in some tree reaches ``TARGET_RECALL``. Classes that share
-a prefix are chained to the smallest of them (rows grow with the classes, not with pairs), chains are
+Documents with equal sets of word shingles form a class. Each class has one label in every band ("tree"), of a depth
+that is fixed before any data: the longest, up to ``MAX_DEPTH``, at which the chance that a pair at the similarity
+threshold shares a label in some band reaches ``TARGET_RECALL``. Links that share none, directly or through a chain,
+are lost. Classes that share a label are chained to the smallest of them (rows grow with the classes, not with pairs), chains are
 joined into candidate groups, and inside a group every pair's exact similarity is taken from the shingle
 sets in blocks of matrix products. A task holds at most two blocks of ``BLOCK`` classes; larger groups
 are dealt out by pairs of blocks. No pair leaves a task: only each class's number of links and the edges
