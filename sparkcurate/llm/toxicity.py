@@ -1,14 +1,18 @@
 """Toxicity by gradient-boosted trees over dense features, calibrated by isotonic regression.
 
-Features are computed from the whole text alone: densities of a lexicon of insults (plain, and written with
-digits or signs for letters), insults near second-person words, second-person words, capitals, shouted words,
-punctuation, signs and digits. Trees are boosted on the logistic loss over binned features of a bounded
-sample of labelled documents (``SAMPLE_ROWS``); margins of trees that have not seen a row (``FOLDS`` folds)
-calibrate them by pooling adjacent violators. Scoring is row-local.
+Features are computed from the whole text alone: densities of two lexicons, insults near second-person words,
+second-person words, capitals, shouted words, punctuation, signs and digits. One lexicon is given (insults, plain
+and written with digits or signs for letters), the other is learned: words and word beginnings (``STEMS`` bytes)
+that more toxic than clean texts of a bounded labelled sample (``SAMPLE_ROWS``) hold, weighed by the lower bound
+of their log-odds, at most ``LEXICON`` of them. A training row's learned densities come from the other folds'
+labels only. Trees are boosted on the logistic loss over binned features; margins of trees that have not
+seen a row (``FOLDS`` folds) calibrate them by pooling adjacent violators. Scoring is row-local.
 
 Defined cases: null and empty texts have all-zero features and get the score of such texts; without any
-label of both kinds the score is the share of toxic labels (0 if there are none); repeated rows are scored
-each; an empty table gives no rows; null doc_ids stay (they count as held in); other columns are ignored.
+label of both kinds the score is the share of toxic labels (0 if there are none); of documents that share a
+labelled doc_id one is learned from (that with the least text hash); a doc_id with both labels is toxic;
+repeated rows are scored each; an empty table gives no rows; null doc_ids stay (they count as held in); other
+columns are ignored.
 """
 
 from __future__ import annotations
@@ -22,8 +26,9 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from sparkcurate.functions.arrow import map_arrow
+from sparkcurate.functions.lineage import cut
 from sparkcurate.llm.language_id import held_out
-from sparkcurate.llm.textscan import LOWERED, Words, slices, text_bytes
+from sparkcurate.llm.textscan import LOWERED, U, Words, distinct_by_row, mix, prefix_hash, slices, span_hash, text_bytes
 
 SAMPLE_ROWS = 20_000
 BINS = 48
@@ -36,6 +41,11 @@ LEAST_GAIN = 2.0
 FOLDS = 4
 NEAR = 6
 CUT = 0.3
+# lengths in bytes of the word beginnings that are learned, besides whole words
+STEMS = (3, 4, 5, 6, 7, 8)
+LEXICON = 50_000
+LEAST_TOXIC = 3
+LEAST_ODDS = 1.0
 
 # Insults and second-person words in English, French, German and Spanish, and the signs
 # that are written for letters.
@@ -52,6 +62,7 @@ LETTER_SIGNS = {"0": "o", "1": "i", "3": "e", "4": "a", "5": "s", "7": "t", "@":
 FEATURES = (
     "log_words", "insult_density", "insult_count", "insult_kinds", "insult_peak", "disguised_density", "disguised_count", "second_density",
     "near_second", "capitals", "shouted", "punctuation", "exclamations", "signs", "digits", "repeats", "word_length",
+    "learned_density", "learned_top", "learned_second", "learned_count", "learned_proof",
 )
 
 
@@ -64,7 +75,62 @@ def _member(hashes: np.ndarray, known: np.ndarray) -> np.ndarray:
     return known[np.minimum(np.searchsorted(known, hashes), len(known) - 1)] == hashes
 
 
-def features(column: pa.Array) -> np.ndarray:
+@dataclass
+class Lexicon:
+    """Learned stems (sorted hashes) with their weights and the strength of their proof."""
+
+    stems: np.ndarray = field(default_factory=lambda: np.zeros(0, np.uint64))
+    weight: np.ndarray = field(default_factory=lambda: np.zeros(0))
+    proof: np.ndarray = field(default_factory=lambda: np.zeros(0))
+
+    @classmethod
+    def learned(cls, stems: np.ndarray, toxic: np.ndarray, clean: np.ndarray, n_toxic: int, n_clean: int) -> Lexicon:
+        """From the numbers of toxic and clean texts that hold each stem."""
+        odds = np.log((toxic + 0.5) / (n_toxic - toxic + 0.5)) - np.log((clean + 0.5) / (n_clean - clean + 0.5))
+        weight = odds - np.sqrt(1 / (toxic + 0.5) + 1 / (clean + 0.5))
+        both, share = toxic + clean, n_toxic / max(n_toxic + n_clean, 1)
+        proof = toxic * np.log(np.maximum(toxic, 1e-9) / np.maximum(both * share, 1e-9)) + clean * np.log(np.maximum(clean, 1e-9) / np.maximum(both * (1 - share), 1e-9))
+        keep = np.flatnonzero((toxic >= LEAST_TOXIC) & (weight >= LEAST_ODDS))
+        keep = keep[np.argsort(stems[keep])]
+        return cls(stems[keep], weight[keep], proof[keep])
+
+    def densities(self, words: Words, low: np.ndarray, n: int) -> list[np.ndarray]:
+        """The learned features of n texts: weight a word, largest and second weight, words with one, largest proof."""
+        best, proof = np.zeros(len(words.hash)), np.zeros(len(words.hash))
+        if len(self.stems):
+            for places, hashes in stems_of(words, low):
+                at = np.minimum(np.searchsorted(self.stems, hashes), len(self.stems) - 1)
+                known = self.stems[at] == hashes
+                places, at = places[known], at[known]
+                best[places] = np.maximum(best[places], self.weight[at])
+                proof[places] = np.maximum(proof[places], self.proof[at])
+        top, second, strongest = np.zeros(n), np.zeros(n), np.zeros(n)
+        some = np.flatnonzero(best)
+        row = words.row[some]
+        order = np.lexsort((-best[some], row))
+        row, value = row[order], best[some][order]
+        first = np.ones(len(row), bool)
+        first[1:] = row[1:] != row[:-1]
+        top[row[first]] = value[first]
+        after = np.flatnonzero(first) + 1
+        after = after[after < len(row)]
+        after = after[~first[after]]
+        second[row[after]] = value[after]
+        np.maximum.at(strongest, words.row, proof)
+        return [np.bincount(words.row, best, n) / np.maximum(words.count, 1), top, second, np.minimum(np.bincount(row, minlength=n), 50), strongest]
+
+
+def stems_of(words: Words, low: np.ndarray) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+    """(numbers of words, hashes) of the whole words, then of the words' beginnings of each length in STEMS."""
+    yield np.arange(len(words.hash)), words.hash
+    prefix = prefix_hash(low)
+    size = words.ends - words.starts
+    for n in STEMS:
+        some = np.flatnonzero(size > n)
+        yield some, mix(span_hash(prefix, words.starts[some], words.starts[some] + n) + U(n))
+
+
+def features(column: pa.Array, lexicon: Lexicon) -> np.ndarray:
     """One row of FEATURES a text."""
     data, offsets = text_bytes(column)
     n = len(offsets) - 1
@@ -119,7 +185,7 @@ def features(column: pa.Array) -> np.ndarray:
     table = [
         np.log1p(words.count), count * per_word, np.minimum(count, 20), kinds, peak, disguised * per_word, np.minimum(disguised, 20), rows(you) * per_word,
         near, share(upper), rows(shouted) * per_word, share(mark), share(data == 33), share(special), share((data >= 48) & (data <= 57)), share(repeat),
-        np.bincount(words.row, weights=long_words, minlength=n) * per_word,
+        np.bincount(words.row, weights=long_words, minlength=n) * per_word, *lexicon.densities(words, LOWERED[data], n),
     ]
     return np.stack([np.asarray(c, np.float64) for c in table], axis=1)
 
@@ -209,6 +275,7 @@ def isotonic(x: np.ndarray, y: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
 class ToxicityModel:
     trees: BoostedTrees | None
     knots: tuple[np.ndarray, np.ndarray]
+    lexicon: Lexicon = field(default_factory=Lexicon)
 
     def score(self, x: np.ndarray) -> np.ndarray:
         margin = self.trees.margin(x) if self.trees else np.zeros(len(x))
@@ -216,38 +283,80 @@ class ToxicityModel:
         return np.clip(0.999 * np.interp(margin, *self.knots) + 0.001 / (1 + np.exp(-margin)), 0, 1)
 
 
-def fit_model(x: np.ndarray, y: np.ndarray) -> ToxicityModel:
-    fold = np.arange(len(y)) % FOLDS
+def fit_model(x: np.ndarray, y: np.ndarray, fold: np.ndarray, lexicon: Lexicon) -> ToxicityModel:
     if len(y) < 2 * FOLDS or any(len(np.unique(y[fold != k])) < 2 for k in range(FOLDS)):
         return ToxicityModel(None, (np.zeros(1), np.full(1, float(y.mean()) if len(y) else 0.0)))
     margin = np.zeros(len(y))
-    for k in range(FOLDS):
+    for k in np.unique(fold).tolist():
         margin[fold == k] = BoostedTrees().fit(x[fold != k], y[fold != k]).margin(x[fold == k])
-    return ToxicityModel(BoostedTrees().fit(x, y), isotonic(margin, y))
+    return ToxicityModel(BoostedTrees().fit(x, y), isotonic(margin, y), lexicon)
 
 
-def _features(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+def _distinct_stems(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """(fold, toxic, stem), once for each text that holds the stem."""
     for batch in slices(batches):
-        x = features(batch.column("text"))
-        others = [c for c in batch.schema.names if c != "text"]
-        yield pa.RecordBatch.from_arrays([*(batch.column(c) for c in others), pa.array(x.tolist(), pa.list_(pa.float64()))], [*others, "features"])
+        data, offsets = text_bytes(batch.column("text"))
+        low = LOWERED[data]
+        words = Words(data, offsets)
+        found = [(words.row[places], hashes) for places, hashes in stems_of(words, low)] if len(data) else []
+        if found:
+            stems, rows = distinct_by_row(np.concatenate([h for _, h in found]), np.concatenate([r for r, _ in found]))
+            at = pa.array(rows)
+            yield pa.RecordBatch.from_arrays([batch.column("fold").take(at), batch.column("toxic").take(at), pa.array(stems.view(np.int64))], ["fold", "toxic", "stem"])
+
+
+def learn_lexicons(texts: DataFrame, sizes: np.ndarray) -> tuple[list[Lexicon], Lexicon]:
+    """For each fold the lexicon of the other folds, and that of all; sizes has the clean and toxic texts of each fold."""
+    each = map_arrow(texts.select("fold", "toxic", "text"), _distinct_stems, "fold int, toxic int, stem long")
+    counts = [F.count(F.when((F.col("fold") == k) & (F.col("toxic") == t), 1)).alias(f"n{k}{t}") for k in range(FOLDS) for t in (0, 1)]
+    met = each.groupBy("stem").agg(*counts)
+    toxic = sum((F.col(f"n{k}1") for k in range(1, FOLDS)), F.col("n01"))
+    clean = sum((F.col(f"n{k}0") for k in range(1, FOLDS)), F.col("n00"))
+    share = int(sizes[:, 1].sum()) / max(int(sizes.sum()), 1)
+    # stems more frequent in toxic texts than overall, the most telling first
+    kept = met.filter((toxic >= LEAST_TOXIC) & (toxic > 2 * share * (toxic + clean))).orderBy(F.desc(toxic / (clean + 1)), "stem").limit(LEXICON).toPandas()
+    stems = kept["stem"].to_numpy(np.int64).view(np.uint64)
+    n = kept.drop(columns="stem").to_numpy(np.int64).reshape(len(kept), FOLDS, 2)
+
+    def without(k: int | None) -> Lexicon:
+        rest = [f for f in range(FOLDS) if f != k]
+        return Lexicon.learned(stems, n[:, rest, 1].sum(axis=1), n[:, rest, 0].sum(axis=1), int(sizes[rest, 1].sum()), int(sizes[rest, 0].sum()))
+
+    return [without(k) for k in range(FOLDS)], without(None)
+
+
+def _features(lexicons: list[Lexicon]):
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in slices(batches):
+            fold = np.asarray(batch.column("fold"))
+            x = np.zeros((batch.num_rows, len(FEATURES)))
+            for k in np.unique(fold).tolist():
+                x[fold == k] = features(batch.column("text").filter(pa.array(fold == k)), lexicons[k])
+            yield pa.RecordBatch.from_arrays([*(batch.column(c) for c in ("doc_id", "toxic", "fold")), pa.array(x.tolist(), pa.list_(pa.float64()))], ["doc_id", "toxic", "fold", "features"])
+
+    return run
 
 
 def learn(docs: DataFrame, labels: DataFrame, parts: int = 4, part: int = 2, rows: int = SAMPLE_ROWS) -> ToxicityModel:
     """Model of at most ``rows`` labelled documents that are not held out, taken in the order of a hash of their id."""
     known = labels.filter(F.col("toxic").isNotNull() & F.col("doc_id").isNotNull() & ~held_out(F.col("doc_id"), parts, part)).select(F.col("doc_id").cast("long").alias("doc_id"), F.col("toxic").cast("int").alias("toxic"))
-    known = known.groupBy("doc_id").agg(F.max("toxic").alias("toxic")).orderBy(F.xxhash64("doc_id"), "doc_id").limit(rows)
-    texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).join(F.broadcast(known), "doc_id").select("doc_id", "toxic", "text")
-    got = map_arrow(texts, _features, "doc_id long, toxic int, features array<double>").toPandas().sort_values("doc_id", kind="stable")
+    known = known.groupBy("doc_id").agg((F.max("toxic") > 0).cast("int").alias("toxic")).orderBy(F.xxhash64("doc_id"), "doc_id").limit(rows)
+    text = F.coalesce(F.col("text").cast("string"), F.lit(""))
+    met = docs.select(F.col("doc_id").cast("long").alias("doc_id"), text.alias("text")).join(F.broadcast(known), "doc_id")
+    texts = cut(met.groupBy("doc_id", "toxic").agg(F.min_by("text", F.xxhash64("text")).alias("text")).withColumn("fold", F.pmod(F.xxhash64("doc_id", F.lit("fold")), F.lit(FOLDS)).cast("int")))
+    sizes = np.zeros((FOLDS, 2), np.int64)
+    for r in texts.groupBy("fold", "toxic").count().collect():
+        sizes[r["fold"], r["toxic"]] = r["count"]
+    lexicons, whole = learn_lexicons(texts, sizes)
+    got = map_arrow(texts, _features(lexicons), "doc_id long, toxic int, fold int, features array<double>").toPandas().sort_values("doc_id", kind="stable")
     x = np.array(got["features"].tolist(), np.float64).reshape(-1, len(FEATURES))
-    y = got["toxic"].to_numpy(np.float64)
-    return fit_model(x, y)
+    return fit_model(x, got["toxic"].to_numpy(np.float64), got["fold"].to_numpy(np.int64), whole)
 
 
 def _score(model: ToxicityModel):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in slices(batches):
-            score = model.score(features(batch.column("text")))
+            score = model.score(features(batch.column("text"), model.lexicon))
             yield pa.RecordBatch.from_arrays([batch.column("doc_id"), batch.column("held_out"), pa.array(score), pa.array((score >= CUT).astype(np.int32))], ["doc_id", "held_out", "score", "predicted"])
 
     return run
