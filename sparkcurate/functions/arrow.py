@@ -2,15 +2,23 @@
 
 from __future__ import annotations
 
+import ctypes
 import tempfile
 import zipfile
+from collections.abc import Callable
+from functools import lru_cache, wraps
 from pathlib import Path
 
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql.types import StructType
 
 PACKAGE = Path(__file__).resolve().parent.parent
 _shipped: dict[str, bool] = {}
 
+# The C library's names for the sizes from which memory is mapped alone and given back, and for its arenas.
+_MAPPED_FROM, _GIVEN_BACK_FROM, _ARENAS = -3, -1, -8
+
 
 def ship_package(spark: SparkSession) -> None:
     """Gives executors the package through Spark's own file server, once a Spark application."""
@@ -25,11 +33,49 @@ def ship_package(spark: SparkSession) -> None:
     _shipped[context.applicationId] = True
 
 
-def map_arrow(df: DataFrame, run, schema: str) -> DataFrame:
+@lru_cache(maxsize=1)
+def _give_back() -> Callable[[], None]:
+    """Makes this worker return freed memory to the system; calling the result returns what is free now.
+
+    Workers live through many tasks and stages; without this each keeps the most it ever held.
+    """
+    pa.set_memory_pool(pa.system_memory_pool())
+    try:
+        c = ctypes.CDLL(None)
+        for name, value in ((_MAPPED_FROM, 4 << 20), (_GIVEN_BACK_FROM, 8 << 20), (_ARENAS, 1)):
+            c.mallopt(name, value)
+        trim = c.malloc_trim
+    except (OSError, AttributeError):
+        # another C library: nothing to return
+        return lambda: None
+    return lambda: trim(0)
+
+
+def _batches(run):
+    @wraps(run)
+    def tidy(batches):
+        give_back = _give_back()
+        try:
+            yield from run(batches)
+        finally:
+            give_back()
+
+    return tidy
+
+
+def _group(run):
+    def tidy(key, table):
+        _give_back()
+        return run(key, table)
+
+    return tidy
+
+
+def map_arrow(df: DataFrame, run, schema: str | StructType) -> DataFrame:
     ship_package(df.sparkSession)
-    return df.mapInArrow(run, schema)
+    return df.mapInArrow(_batches(run), schema)
 
 
-def group_arrow(df: DataFrame, keys: list[str], run, schema: str) -> DataFrame:
+def group_arrow(df: DataFrame, keys: list[str], run, schema: str | StructType) -> DataFrame:
     ship_package(df.sparkSession)
-    return df.groupBy(*keys).applyInArrow(run, schema)
+    return df.groupBy(*keys).applyInArrow(_group(run), schema)
