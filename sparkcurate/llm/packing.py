@@ -1,14 +1,16 @@
 """Packing token pieces into windows by Karmarkar-Karp multiway differencing.
 
 A document's ids (closed by an end id) are cut at multiples of the window; full windows stand alone and
-only the tails are packed. Tails are dealt by hash into groups of about ``GROUP`` documents, so no
-group grows with the input. In a group, every tail starts as a partition with one filled window; the two
+only the tails are packed. Equal pieces are counted before they move, and each copy is dealt by its hash and number
+into a group of about ``GROUP`` pieces of its kind (full or tail), so no group grows with the input or with one
+row's copies. In a group, every tail starts as a partition with one filled window; the two
 partitions with the largest imbalance are merged again and again, the fullest window of one meeting the
 emptiest of the other, until one near-equal partition is left. The window count starts at the least
 possible and rises while the fullest window exceeds the capacity.
 
 Words between ASCII white space are encoded once a task and remembered (at most ``REMEMBERED`` of
-them); the tokenizer drops white space, so a text's ids are those of its words in turn.
+them); the tokenizer drops white space, so a text's ids are those of its words in turn. A text that holds the
+literal of a special token, in any case, is encoded whole.
 
 Defined cases: null and empty texts have the end id alone; repeated rows are packed each; an empty table
 gives no rows; null doc_ids are packed like others; other columns are ignored.
@@ -27,6 +29,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from sparkcurate.functions.arrow import map_arrow, ship_package
+from sparkcurate.functions.lineage import cut
 from sparkcurate.llm.textscan import slices
 
 WINDOW = 4096
@@ -93,7 +96,7 @@ class WordEncoder:
         from tokenizers import Tokenizer
 
         self.tokenizer = Tokenizer.from_file(path)
-        self.tokenizer.encode_special_tokens = True
+        self.special = [t.content.lower().encode() for t in self.tokenizer.get_added_tokens_decoder().values()]
         self.known: dict[bytes, bytes] = {}
         vocabulary = self.tokenizer.get_vocab()
         self.closes = np.zeros(max(vocabulary.values()) + 1, bool)
@@ -114,8 +117,8 @@ class WordEncoder:
         for word in words:
             core, mark = (word[:-1], word[-1:]) if word[-1:] in self.marks else (word, b"")
             text = core.decode()
-            # a mark is a pre-token of its own behind a letter only
-            if not (text and text[-1].isalpha()):
+            # a mark is a pre-token of its own behind a letter only, and a dotted I is lower-cased to a letter and a dot
+            if not (text and text[-1].isalpha() and text[-1] < "\u0250" and text[-1] != "\u0130"):
                 core, mark, text = word, b"", word.decode()
             if mark:
                 marked.append((word, core))
@@ -142,8 +145,10 @@ class WordEncoder:
             self.known[word] = self.known[core] + self.marks[word[-1:]]
 
     def __call__(self, texts: list[bytes]) -> Iterator[bytes]:
-        # the tokenizer lower-cases, so ASCII capitals need no entry of their own
-        parts = [t.lower().split() for t in texts]
+        # the tokenizer lower-cases, so ASCII capitals need no entry of their own, but for those that may be composed with a mark
+        parts = [t.lower() for t in texts]
+        whole = [any(literal in t for literal in self.special) for t in parts]
+        parts = [[] if w else (t if b"\xcc" in t or b"\xcd" in t else low).split() for t, low, w in zip(texts, parts, whole, strict=True)]
         words = set().union(*parts)
         new = words - self.known.keys()
         if len(self.known) + len(new) > REMEMBERED:
@@ -151,8 +156,8 @@ class WordEncoder:
             new = words
         self._learn(list(new))
         get = self.known.__getitem__
-        for own in parts:
-            yield b"".join(map(get, own))
+        for text, own, is_whole in zip(texts, parts, whole, strict=True):
+            yield next(self._encode([text.decode()])) if is_whole else b"".join(map(get, own))
 
 
 _encoders: dict[str, WordEncoder] = {}
@@ -196,15 +201,7 @@ def _pack_group(window: int):
         full = int((rows["length"] == window).sum())
         sequence[:full] = np.arange(full)
         used = full
-        tails = rows["length"].to_numpy()[full:]
-        # a group far above its usual size (one row repeated many times) is packed in strides
-        strides = max(1, -(-len(tails) // (2 * GROUP)))
-        for s in range(strides):
-            at = np.arange(s, len(tails), strides)
-            if len(at):
-                found = pack(tails[at], window)
-                sequence[full + at] = used + found
-                used += int(found.max()) + 1
+        sequence[full:] = full + pack(rows["length"].to_numpy()[full:], window)
         rows["sequence_id"] = (rows["pack"].to_numpy(np.int64) << _SEQUENCES_BITS) + sequence
         rows = rows.sort_values(["sequence_id", "doc_id", "start"], kind="stable")
         rows["offset"] = rows.groupby("sequence_id")["length"].cumsum() - rows["length"]
@@ -216,8 +213,15 @@ def _pack_group(window: int):
 def pack_documents(docs: DataFrame, tokenizer: str, window: int = WINDOW, end_id: int = END_ID, group: int = GROUP) -> DataFrame:
     """One row a piece: doc_id, start, length, ids_crc32, doc_tokens, sequence_id, offset."""
     ship_package(docs.sparkSession)
-    groups = max(1, -(-docs.count() // group))
     texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
+    piece = ["doc_id", "start", "length", "ids_crc32", "doc_tokens"]
     pieces = map_arrow(texts, _pieces(tokenizer, window, end_id), "doc_id long, start long, length long, ids_crc32 long, doc_tokens long")
-    dealt = pieces.withColumn("pack", F.pmod(F.xxhash64("doc_id", "start", "ids_crc32"), F.lit(groups)))
+    counted = cut(pieces.groupBy(*piece).agg(F.count(F.lit(1)).alias("copies")))
+    full = F.col("length") == window
+    n_full, n_tails = counted.select(F.sum(F.when(full, F.col("copies"))), F.sum(F.when(~full, F.col("copies")))).first()
+    copies = counted.withColumn("copy", F.explode(F.sequence(F.lit(1).cast("long"), F.col("copies"))))
+    hashed = F.xxhash64("doc_id", "start", "ids_crc32", "copy")
+    groups = [max(1, -(-(n or 0) // group)) for n in (n_full, n_tails)]
+    # groups of full windows have even numbers, those of tails odd ones
+    dealt = copies.withColumn("pack", F.when(full, 2 * F.pmod(hashed, F.lit(groups[0]))).otherwise(2 * F.pmod(hashed, F.lit(groups[1])) + 1))
     return dealt.groupBy("pack").applyInPandas(_pack_group(window), "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long")

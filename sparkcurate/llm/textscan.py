@@ -13,7 +13,7 @@ import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
 
-SLICE_BYTES = 1 << 20
+SLICE_BYTES = 1 << 19
 
 U = np.uint64
 _BASE = 0x9E3779B97F4A7C15 | 1
@@ -60,11 +60,13 @@ def text_bytes(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     return data[offsets[0] : offsets[-1]], offsets - offsets[0]
 
 
-def slices(batches: Iterator[pa.RecordBatch], column: str = "text") -> Iterator[pa.RecordBatch]:
-    """The batches again, cut so that each holds SLICE_BYTES of text or a single row."""
+def slices(batches: Iterator[pa.RecordBatch], column: str = "text", size: int = SLICE_BYTES) -> Iterator[pa.RecordBatch]:
+    """The batches again, cut so that each holds about ``size`` bytes of text or a single row; ``rest.text`` names a field."""
+    outer, _, inner = column.partition(".")
     for batch in batches:
-        sizes = np.asarray(pc.fill_null(pc.binary_length(batch.column(column)), 0), np.int64)
-        group = np.cumsum(sizes) // SLICE_BYTES
+        text = batch.column(outer).field(inner) if inner else batch.column(outer)
+        sizes = np.asarray(pc.fill_null(pc.binary_length(text), 0), np.int64)
+        group = np.cumsum(sizes) // size
         cuts = [0, *(np.flatnonzero(np.diff(group)) + 1).tolist(), batch.num_rows]
         for a, b in zip(cuts, cuts[1:], strict=False):
             if b > a:

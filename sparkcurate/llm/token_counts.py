@@ -12,12 +12,15 @@ Sections are lines, each with its closing newline; other sections can be given a
 the text's bytes to their sorted starts.
 
 Defined cases: null and empty texts have one empty section without tokens; repeated rows are counted
-each; an empty table gives no rows; null doc_ids stay; other columns are ignored.
+each; an empty table gives no rows; null doc_ids stay; other columns are ignored. Runs of ``LONG`` white space
+characters or more, which the tokenizer's pattern matcher has no stack for, are cut off at the places where that
+pattern cuts and encoded as the one piece that they are.
 """
 
 from __future__ import annotations
 
 import base64
+import re
 from collections.abc import Callable, Iterator
 from functools import lru_cache
 
@@ -30,6 +33,10 @@ from sparkcurate.functions.arrow import map_arrow
 from sparkcurate.llm.textscan import slices, text_bytes
 
 RULES = ("start", "majority", "share")
+LONG = 1000
+# The characters that the pattern's class of white space has, and the pattern's alternatives for it.
+_LONG_SPACE = re.compile(rf"[\t-\r \x85\xa0\u1680\u2000-\u200a\u2028\u2029\u202f\u205f\u3000]{{{LONG},}}")
+_SPACE_RULE = r"|\s+(?!\S)|\s+"
 
 
 class RankEncoder:
@@ -41,13 +48,25 @@ class RankEncoder:
         with open(path, "rb") as file:
             ranks = {base64.b64decode(a): int(b) for a, b in map(bytes.split, file)}
         self.encoding = tiktoken.Encoding("offsets", pat_str=pattern, mergeable_ranks=ranks, special_tokens={})
+        self.cuts_space = pattern.endswith(_SPACE_RULE)
         self.size = np.zeros(max(ranks.values()) + 1, np.int64)
         for token, rank in ranks.items():
             self.size[rank] = len(token)
 
+    def ranks(self, text: str) -> list[int]:
+        found: list[int] = []
+        at = 0
+        for run in _LONG_SPACE.finditer(text) if self.cuts_space else ():
+            # all but the last character of a run are one piece; the last goes with what follows
+            end = run.end() if run.end() == len(text) else run.end() - 1
+            found += self.encoding.encode_ordinary(text[at : run.start()])
+            found += self.encoding._encode_single_piece(text[run.start() : end].encode())
+            at = end
+        return found + self.encoding.encode_ordinary(text[at:])
+
     def ends(self, text: str) -> np.ndarray:
         """End of each token in bytes."""
-        return np.cumsum(self.size[np.asarray(self.encoding.encode_ordinary(text), np.int64)])
+        return np.cumsum(self.size[np.asarray(self.ranks(text), np.int64)])
 
 
 @lru_cache(maxsize=2)

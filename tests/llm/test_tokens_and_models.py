@@ -11,15 +11,14 @@ from tokenizers import Tokenizer
 import corpus_pipeline
 from sparkcurate.llm import language_id as li
 from sparkcurate.llm import toxicity as tx
-from sparkcurate.llm.packing import pack, pack_documents, partition
-from sparkcurate.llm.token_counts import attribute, section_tokens
+from sparkcurate.llm.packing import WordEncoder, pack, pack_documents, partition
+from sparkcurate.llm.token_counts import RankEncoder, attribute, section_tokens
 
 PATH = P.path("word_bpe_49k.json")
 
 
 def check_pieces(rows, docs):
     tokenizer = Tokenizer.from_file(PATH)
-    tokenizer.encode_special_tokens = True
     by = dict(list(rows.groupby("doc_id")))
     for doc, text in docs:
         ids, at = tokenizer.encode(text or "", add_special_tokens=False).ids + [2], 0
@@ -49,6 +48,24 @@ def test_packing_cases(spark):
     assert pack_documents(docs.limit(0), PATH).count() == 0
 
 
+def test_ids_equal_the_tokenizer():
+    rng = random.Random(11)
+    letters = ["a", "b", "E", "İ", "ı", "I", "H", "\u0331", "ß", "ſ", "ñ", "É", "e\u0301", "\u0301", "\u0307", "क", "\u093c", "ड\u093c", "日", "ﬀ", "ǅ", "ŉ", "Ω", "ς", "Σ", "ж", "ª", "½", "1", "٣", "_", "'"]
+    others = [".", ",", "!", "?", ";", ":", "'s", "'LL", "’", "…", "。", " ", " ", " ", "\t", "\n", "\u00a0", "\u3000", "\x1c", "\x85", "\u200b", "<|endoftext|>", "<|ENDOFTEXT|>", "<|", "|>", "😀", "\ufeff"]
+    texts = ["".join(rng.choice(letters if rng.random() < 0.7 else others) for _ in range(rng.randrange(1, 24))) for _ in range(20_000)] + ["BELEDİYESİ. x", "a<|endoftext|>b. c"]
+    tokenizer, encode = Tokenizer.from_file(PATH), WordEncoder(PATH)
+    expected = [np.array(e.ids, "<u4").tobytes() for e in tokenizer.encode_batch(texts, add_special_tokens=False)]
+    for x in range(0, len(texts), 500):
+        assert list(encode([t.encode() for t in texts[x : x + 500]])) == expected[x : x + 500]
+
+
+def test_packing_of_one_repeated_row(spark):
+    docs = spark.createDataFrame([(1, "a b c")], "doc_id long, text string").withColumn("copy", F.explode(F.sequence(F.lit(1), F.lit(9000))))
+    rows = pack_documents(docs, PATH, group=500).toPandas()
+    assert len(rows) == 9000 and rows.groupby("sequence_id").length.sum().max() <= 4096
+    assert rows.sequence_id.floordiv(1 << 32).nunique() > 10
+
+
 def test_differencing():
     sizes = np.array([8, 7, 6, 5, 4])
     assert abs(np.bincount(partition(sizes, 2), weights=sizes) - 15).max() <= 1
@@ -73,6 +90,57 @@ def test_section_tokens(spark, sf):
     assert section_tokens(odd.limit(0), P.path("byte_bpe_50k.tiktoken"), P.PATTERN).count() == 0
 
 
+def byte_encoding():
+    with open(P.path("byte_bpe_50k.tiktoken"), "rb") as file:
+        ranks = {base64.b64decode(a): int(b) for a, b in map(bytes.split, file)}
+    return tiktoken.Encoding("test", pat_str=P.PATTERN, mergeable_ranks=ranks, special_tokens={})
+
+
+def test_sections_equal_brute_force(spark, sf):
+    docs = spark.read.parquet(f"{sf}/documents.parquet").filter("length(text) < 6000").limit(40).select("doc_id", "text")
+    encoding, expected = byte_encoding(), {}
+    for doc, text in docs.collect():
+        tokens, at = [], 0
+        for t in encoding.encode_ordinary(text):
+            size = len(encoding.decode_single_token_bytes(t))
+            tokens.append((at, at + size))
+            at += size
+        lines = text.split("\n")
+        sections = [line + "\n" for line in lines[:-1]] + ([lines[-1]] if lines[-1] or len(lines) == 1 else [])
+        begin = chars = 0
+        for n, section in enumerate(sections):
+            end = begin + len(section.encode())
+            held = [(min(b, end) - max(a, begin), a, b) for a, b in tokens if min(b, end) > max(a, begin)]
+            majority = 0
+            for own, a, b in held:
+                spread, place = [], 0
+                for other in sections:
+                    stop = place + len(other.encode())
+                    spread.append(max(0, min(b, stop) - max(a, place)))
+                    place = stop
+                majority += spread.index(max(spread)) == n
+            expected[doc, n] = (
+                chars, chars + len(section), sum(begin <= a < end for _, a, b in held), majority,
+                round(sum(own / (b - a) for own, a, b in held), 6), sum(own < b - a for own, a, b in held),
+            )
+            begin, chars = end, chars + len(section)
+    got = {(r[0], r[1]): tuple(r)[2:] for r in section_tokens(docs, P.path("byte_bpe_50k.tiktoken"), P.PATTERN).collect()}
+    assert got.keys() == expected.keys()
+    for k, (a, b, start, majority, share, crossing) in expected.items():
+        assert got[k][:4] == (a, b, start, majority) and abs(got[k][4] - share) < 1e-5 and got[k][5] == crossing
+
+
+def test_sections_of_long_white_space(spark):
+    encoder, encoding = RankEncoder(P.path("byte_bpe_50k.tiktoken"), P.PATTERN), byte_encoding()
+    rng = random.Random(4)
+    for _ in range(60):
+        text = "".join(rng.choice([" ", "\n", "\u3000", "\t", "a", "it's", "1", ".", "é"]) * rng.choice([1, 1, 2, 999, 1000, 1001, 3000]) for _ in range(6))
+        assert encoder.ranks(text) == encoding.encode_ordinary(text)
+    docs = spark.createDataFrame([(1, "a" + " " * 2_000_000 + "b"), (2, "\n" * 1500)], "doc_id long, text string")
+    rows = section_tokens(docs, P.path("byte_bpe_50k.tiktoken"), P.PATTERN).groupBy("doc_id").agg(F.sum("tokens_start"), F.count(F.lit(1))).orderBy("doc_id").collect()
+    assert rows[0][1] == 2_000_001 and rows[1][2] == 1500
+
+
 def test_boundary_rules():
     # tokens [0, 3) [3, 8) [8, 10); sections [0, 4) [4, 10)
     found = attribute(np.array([3, 8, 10]), np.array([0, 4, 10]))
@@ -143,7 +211,7 @@ def test_toxicity(spark):
 
 def test_isotonic_is_monotone():
     x, y = tx.isotonic(np.array([1.0, 2, 3, 4, 4, 5]), np.array([0.0, 1, 0, 0, 1, 1]))
-    assert (np.diff(y) >= 0).all() and np.isclose(np.interp(2.0, x, y), 0.4)
+    assert (np.diff(y) >= 0).all() and np.isclose(np.interp(2.0, x, y), 0.5)
     assert np.isclose(y[-1], 1.0)
 
 
