@@ -18,6 +18,11 @@ def words(text: Column) -> Column:
     return F.array_remove(F.split(lowered, NON_WORD), "")
 
 
+def quoted(column: str) -> str:
+    """A column's name as an expression, whatever characters it has."""
+    return "`" + column.replace("`", "``") + "`"
+
+
 def parallelism(spark: SparkSession) -> int:
     return int(spark.conf.get("spark.sql.shuffle.partitions"))
 

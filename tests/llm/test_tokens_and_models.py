@@ -180,21 +180,39 @@ def test_cross_parse_equals_brute_force(spark, sf):
     docs = spark.read.parquet(f"{sf}/documents.parquet")
     samples = li.learn_samples(docs.limit(40))
     parser = li.CrossParser(samples)
-    for row in docs.limit(6).collect():
-        coded = parser.encode(li.letters(row.text))[:1500]
-        blocks = np.zeros(-(-len(coded) // li.BLOCK) * li.BLOCK, np.uint8)
-        blocks[: len(coded)] = coded
-        got = parser.phrases(np.ascontiguousarray(blocks.reshape(-1, li.BLOCK).T)).sum(axis=0)
-        for k, (_, text) in enumerate(samples):
-            known, phrases = bytes(parser.encode(li.letters(text)[: li.SAMPLE_LETTERS])), 0
-            for b in range(0, len(coded), li.BLOCK):
-                block, i = bytes(coded[b : b + li.BLOCK]), 0
-                while i < len(block):
-                    j = i + 1
-                    while j <= len(block) and block[i:j] in known:
-                        j += 1
-                    phrases, i = phrases + 1, max(j - 1, i + 1)
-            assert got[k] == phrases
+    coded = [parser.encode(li.letters(row.text))[:1500] for row in docs.limit(8).collect()]
+    coded.append(np.full(300, 2, parser.kind))
+    expected = []
+    for text in map(bytes, coded):
+        own = []
+        for _, sample in samples:
+            known, phrases, i = bytes(parser.encode(li.letters(sample)[: li.SAMPLE_LETTERS])), 0, 0
+            while i < len(text):
+                j = i + 1
+                while j <= len(text) and text[i:j] in known:
+                    j += 1
+                phrases, i = phrases + 1, max(j - 1, i + 1)
+            own.append(phrases)
+        expected.append(own)
+    for lanes in (1, 3, 100):
+        assert parser.phrases(coded, lanes).tolist() == expected
+
+
+def test_letters_of_long_texts(monkeypatch):
+    text = "  Ab,c  " * 7 + " É日 1x "
+    whole = li.letters(text).tolist()
+    for size in (1, 2, 3, 5):
+        monkeypatch.setattr(li, "_CHARACTERS", size)
+        assert li.letters(text).tolist() == whole
+    assert "".join(map(chr, whole)).endswith("ab c é日 x")
+
+
+def test_columns_of_any_name_stay(spark):
+    rows = [(1, "the of and it", "en", 1, "x", 2, "r"), (None, "le la les et", "fr", 2, "y", 3, "s"), (2, "..", "en", 3, "z", 4, "t"), (3, "le des une", "fr", 4, "w", 5, None)]
+    docs = spark.createDataFrame(rows, ["doc_id", "text", "lang", "a.b", "my col", "n_bytes", "rest"])
+    kept = li.keep_identified(docs)
+    assert kept.columns == docs.columns and kept.schema["my col"].dataType == docs.schema["my col"].dataType
+    assert sorted((str(r[0]), r[1], r[3], r[4], r[5], r[6]) for r in kept.collect()) == sorted((str(r[0]), r[1], *r[3:]) for r in rows if r[1] != "..")
 
 
 def test_toxicity(spark):
