@@ -1,24 +1,29 @@
-"""N-gram Jaccard self-join through MinHash banding, verified exactly.
-
-Documents with equal sets of word shingles form a class. Each class has one label in every band ("tree"), of a depth
-that is fixed before any data: the longest, up to ``MAX_DEPTH``, at which the chance that a pair at the similarity
-threshold shares a label in some band reaches ``TARGET_RECALL``. Links that share none, directly or through a chain,
-are lost. Classes that share a label are chained to the smallest of them (rows grow with the classes, not with pairs), chains are
-joined into candidate groups, and inside a group every pair's exact similarity is taken from the shingle
-sets in blocks of matrix products. A task holds at most two blocks of ``BLOCK`` classes; larger groups
-are dealt out by pairs of blocks. No pair leaves a task: only each class's number of links and the edges
-of a spanning forest do.
+"""N-gram Jaccard self-join through a MinHash LSH forest, verified exactly.
+
+Documents with equal sets of word shingles form a class, told apart by 128-bit set hashes. Each class has a key in
+every one of ``TREES`` trees: ``LEVELS`` MinHash values of one byte, the first one highest, so that sorted keys are a
+prefix trie. The search starts at whole keys and shortens them, level by level, to the depth at which a link would
+share a prefix in some tree with a chance of ``TARGET_RECALL``. That depth is a class's own: it follows from
+the weakest link that a set of its size can have (a set of 5 shingles has none below 4/5, one of 7 none below 6/7),
+so short texts keep long prefixes. Two classes meet in a tree if they share a prefix of the longer of their depths.
+
+Classes that meet are compared by ``SKETCH`` of their MinHash values, in the subtree where they meet; only those
+that agree in ``AGREE`` of them are joined into candidate groups (a link falls below that with a chance under
+10^-11), so unlike texts that meet by chance make no large groups. A subtree of more than ``SUBTREE`` classes is dealt
+out by pairs of blocks. Inside a group every pair's exact similarity is taken from the shingle sets in
+blocks of matrix products: a task holds at most two blocks of ``BLOCK`` classes, larger groups are dealt out by
+pairs of blocks. No pair leaves a task: only each class's number of links and the edges of a spanning forest do.
 
 Defined cases: words are runs outside ``[\\x00-\\x2F\\x3A-\\x60\\x7B-\\x7F]`` with A-Z lower-cased; a text of
 fewer than ``k`` words, but not none, has one shingle of all its words; texts without words (null, empty)
 form one class and are linked to nothing else; repeated rows count as copies; an empty table gives no
 rows; null doc_ids are kept and never represent a group that has another id; other columns are ignored.
-Classes are told apart by 64-bit set hashes.
 """
 
 from __future__ import annotations
 
 from collections.abc import Iterator
+from functools import lru_cache
 
 import numpy as np
 import pyarrow as pa
@@ -34,40 +39,65 @@ SHINGLE = 5
 # similarity of at least 4 / 5
 THRESHOLD = (4, 5)
 TREES = 32
-MAX_DEPTH = 10
+LEVELS = 8
 TARGET_RECALL = 0.9999
+# values of a class's sketch (the keys of its first trees), and how many must agree
+SKETCH = 128
+AGREE = 70
+# classes of a subtree that are compared in one task
+SUBTREE = 4096
 BLOCK = 2048
 # classes a verifying task gets when groups are small
 GROUP_CLASSES = 1024
 _COLUMNS = 8192
+# subtrees of so many classes at most are compared all together
+_SMALL = 8
+_WALK_ROWS = 20_000
 
 
-def forest_depth(similarity: float, trees: int = TREES, recall: float = TARGET_RECALL) -> int:
+def forest_depth(similarity: float, trees: int = TREES, recall: float = TARGET_RECALL, levels: int = LEVELS) -> int:
     """The longest prefix at which pairs of this similarity still meet with the target recall."""
-    for depth in range(MAX_DEPTH, 1, -1):
+    for depth in range(levels, 1, -1):
         if 1 - (1 - similarity**depth) ** trees >= recall:
             return depth
     return 1
 
 
+@lru_cache(maxsize=4096)
+def weakest_link(n: int, threshold: tuple[int, int] = THRESHOLD) -> float:
+    """The least similarity, at the threshold or above, of a set of n shingles and an unequal one (1 if there is none)."""
+    p, q = threshold
+    found = [both / (n + m - both) for m in range(max(1, n * p // q), n * q // p + 2) for both in range(1, min(n, m) + 1) if both < max(n, m) and both * q >= p * (n + m - both)]
+    return min(found, default=1.0)
+
+
+@lru_cache(maxsize=4096)
+def class_depth(n: int, threshold: tuple[int, int] = THRESHOLD, trees: int = TREES, recall: float = TARGET_RECALL) -> int:
+    """The depth to which the keys of a set of n shingles are shortened; beyond 64 shingles the threshold's."""
+    return forest_depth(weakest_link(n, threshold) if n <= 64 else threshold[0] / threshold[1], trees, recall)
+
+
 def _shingle_sets(batch: pa.RecordBatch, k: int) -> tuple[np.ndarray, np.ndarray]:
     words = Words(*text_bytes(batch.column("text")))
     return distinct_by_row(*shingles(words, k))
 
 
-def _class_hash(hashes: np.ndarray, rows: np.ndarray, n: int) -> np.ndarray:
+def _class_hashes(hashes: np.ndarray, rows: np.ndarray, n: int) -> list[bytes]:
+    """16 bytes a row, the same for equal sets."""
     count = np.bincount(rows, minlength=n)
     starts = np.concatenate([[0], np.cumsum(count)])[:-1]
-    out = np.zeros(n, np.uint64)
+    out = np.zeros((n, 2), np.uint64)
     if len(hashes):
         some = count > 0
-        out[some] = np.add.reduceat(mix(hashes), starts[some])
-    return mix(out + count.astype(np.uint64)).view(np.int64)
+        mixed = mix(hashes)
+        out[some, 0] = np.add.reduceat(mixed, starts[some])
+        out[some, 1] = np.add.reduceat(mix(mixed + U(0x2545F4914F6CDD1D)), starts[some])
+    return mix(out + count.astype(np.uint64)[:, None]).astype(">u8").view("V16").reshape(-1).tolist()
 
 
-def _sign(k: int, trees: int, depth: int):
+def _sign(k: int, threshold: tuple[int, int], trees: int, recall: float):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        seeds = mix(np.arange(1, 2 * trees * depth + 1, dtype=np.uint64))
+        seeds = mix(np.arange(1, 2 * trees * LEVELS + 1, dtype=np.uint64))
         times, plus = seeds[::2] | U(1), seeds[1::2]
         for batch in slices(batches):
             n = batch.num_rows
@@ -75,31 +105,135 @@ def _sign(k: int, trees: int, depth: int):
             count = np.bincount(rows, minlength=n)
             some = np.flatnonzero(count)
             starts = np.concatenate([[0], np.cumsum(count)])[:-1][some]
-            labels = np.empty((len(some), trees), np.uint64)
-            for t in range(trees):
-                label = np.full(len(some), t + 1, np.uint64)
-                for d in range(depth if len(some) else 0):
-                    j = t * depth + d
-                    label = mix(label * U(0x9E3779B97F4A7C15) + np.minimum.reduceat((hashes * times[j] + plus[j]) >> U(16), starts))
-                labels[:, t] = label
+            keys = np.zeros((len(some), trees), np.uint64)
+            for j in range(trees * LEVELS if len(some) else 0):
+                low = mix(np.minimum.reduceat((hashes * times[j] + plus[j]) >> U(16), starts)) & U(255)
+                keys[:, j // LEVELS] = (keys[:, j // LEVELS] << U(8)) | low
             offsets = np.zeros(n + 1, np.int32)
             offsets[1:] = np.cumsum((count > 0) * trees)
-            listed = pa.ListArray.from_arrays(pa.array(offsets), pa.array(labels.reshape(-1).view(np.int64)))
-            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), batch.column("digest"), pa.array(_class_hash(hashes, rows, n)), listed], ["doc_id", "digest", "node", "labels"])
+            depth = [class_depth(c, threshold, trees, recall) if c else 0 for c in np.minimum(count, 65).tolist()]
+            listed = pa.ListArray.from_arrays(pa.array(offsets), pa.array(keys.reshape(-1).view(np.int64)))
+            yield pa.RecordBatch.from_arrays(
+                [batch.column("doc_id"), batch.column("digest"), pa.array(_class_hashes(hashes, rows, n), pa.binary()), pa.array(depth, pa.int32()), listed],
+                ["doc_id", "digest", "node", "depth", "keys"],
+            )
 
     return run
 
 
+def _meetings(key: np.ndarray, depth: np.ndarray, sketch: np.ndarray, side: np.ndarray) -> list[tuple[int, int]]:
+    """Spanning edges of the classes of one subtree that agree; side tells two blocks apart (only rows of unlike sides meet, if there are two)."""
+    n = len(key)
+    top = np.arange(n)
+    edges: list[tuple[int, int]] = []
+    both = side.min() != side.max()
+    for level in range(LEVELS, 0, -1):
+        open_ = np.flatnonzero(depth <= level)
+        if not len(open_):
+            break
+        prefix = key[open_] >> U(8 * (LEVELS - level))
+        # keys are sorted, so a node of the trie is a run of equal prefixes
+        cuts = np.flatnonzero(np.diff(prefix)) + 1
+        for node in np.split(open_, cuts):
+            if len(node) < 2 or (top[node] == top[node[0]]).all():
+                continue
+            for x in range(len(node) - 1):
+                i, rest = node[x], node[x + 1 :]
+                rest = rest[top[rest] != top[i]]
+                if both:
+                    rest = rest[side[rest] != side[i]]
+                if not len(rest):
+                    continue
+                for j in rest[(sketch[rest] == sketch[i]).sum(axis=1) >= AGREE].tolist():
+                    if top[j] != top[i]:
+                        edges.append((int(i), j))
+                        top[top == top[j]] = top[i]
+    return edges
+
+
+def _walk(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Rows arrive sorted by subtree (prefix, i, j) and key; gives the edges (a, b) of classes that agree."""
+
+    def met(table: pa.Table, cuts: np.ndarray) -> pa.RecordBatch | None:
+        key = np.asarray(table.column("key")).view(np.uint64)
+        depth, side = np.asarray(table.column("depth")), np.asarray(table.column("block"))
+        sketch = np.frombuffer(b"".join(table.column("sketch").to_pylist()), np.uint8).reshape(len(key), -1)
+        size = np.diff(cuts)
+        a, b = [], []
+        small = np.flatnonzero((size > 1) & (size <= _SMALL))
+        for x in range(_SMALL - 1):
+            for y in range(x + 1, _SMALL):
+                some = cuts[:-1][small[size[small] > y]]
+                i, j = some + x, some + y
+                need = np.maximum(depth[i], depth[j])
+                near = ((key[i] ^ key[j]) >> ((LEVELS - need) * 8).astype(np.uint64)) == 0
+                i, j = i[near], j[near]
+                if len(i):
+                    good = (sketch[i] == sketch[j]).sum(axis=1) >= AGREE
+                    a += i[good].tolist()
+                    b += j[good].tolist()
+        for s in np.flatnonzero(size > _SMALL).tolist():
+            lo, hi = cuts[s], cuts[s + 1]
+            # unsigned order of the keys
+            order = lo + np.argsort(key[lo:hi], kind="stable")
+            for i, j in _meetings(key[order], depth[order], sketch[order], side[order]):
+                a.append(int(order[i]))
+                b.append(int(order[j]))
+        if not a:
+            return None
+        node = table.column("node").combine_chunks()
+        return pa.RecordBatch.from_arrays([node.take(pa.array(a)), node.take(pa.array(b))], ["a", "b"])
+
+    held: list[pa.RecordBatch] = []
+    rows = 0
+    want = _WALK_ROWS
+    for batch in batches:
+        held.append(batch)
+        rows += batch.num_rows
+        if rows < want:
+            continue
+        table = pa.Table.from_batches(held).combine_chunks()
+        cuts = _runs(table)
+        if len(cuts) > 2:
+            if (out := met(table.slice(0, cuts[-2]), cuts[:-1])) is not None:
+                yield out
+            held, rows, want = table.slice(cuts[-2]).to_batches(), table.num_rows - int(cuts[-2]), _WALK_ROWS
+        else:
+            held, want = table.to_batches(), 2 * rows
+    if rows:
+        table = pa.Table.from_batches(held).combine_chunks()
+        if (out := met(table, _runs(table))) is not None:
+            yield out
+
+
+def _runs(table: pa.Table) -> np.ndarray:
+    """Starts of the runs of one subtree, and the number of rows."""
+    columns = [np.asarray(table.column(c)) for c in ("prefix", "i", "j")]
+    new = np.zeros(table.num_rows - 1, bool)
+    for c in columns:
+        new |= c[1:] != c[:-1]
+    return np.concatenate([[0], np.flatnonzero(new) + 1, [table.num_rows]])
+
+
 def _collect_sets(k: int):
+    columns = ("node", "size", "group", "blocks", "block")
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        seen: set[bytes] = set()
         for batch in slices(batches):
             n = batch.num_rows
             hashes, rows = _shingle_sets(batch, k)
-            same = np.flatnonzero(_class_hash(hashes, rows, n) == np.asarray(batch.column("node")))
             first = np.searchsorted(rows, np.arange(n + 1))
-            sets = [hashes[first[i] : first[i + 1]].tobytes() for i in same.tolist()]
-            kept = batch.take(pa.array(same))
-            yield pa.RecordBatch.from_arrays([kept.column(c) for c in ("node", "size", "group", "blocks", "block")] + [pa.array(sets, pa.binary())], ["node", "size", "group", "blocks", "block", "shingles"])
+            own = _class_hashes(hashes, rows, n)
+            # repeated rows of a class's first document are read once a task
+            same = []
+            for i, (is_, wanted) in enumerate(zip(own, batch.column("node").to_pylist(), strict=True)):
+                if is_ == wanted and wanted not in seen:
+                    seen.add(wanted)
+                    same.append(i)
+            sets = [hashes[first[i] : first[i + 1]].tobytes() for i in same]
+            kept = batch.take(pa.array(same, pa.int64()))
+            yield pa.RecordBatch.from_arrays([*(kept.column(c) for c in columns), pa.array(sets, pa.binary())], [*columns, "shingles"])
 
     return run
 
@@ -124,60 +258,65 @@ def _intersections(left: list[np.ndarray], right: list[np.ndarray] | None) -> np
     return out
 
 
+def _parts(linked: np.ndarray, square: bool) -> tuple[np.ndarray, np.ndarray]:
+    """Number of the connected part of each row and column (of a square matrix they are the same things)."""
+    n, m = linked.shape
+    row, column = np.full(n, -1), np.full(m, -1)
+    for i in range(n):
+        if row[i] >= 0:
+            continue
+        row[i] = i
+        new = np.array([i])
+        while len(new):
+            if square:
+                new = np.flatnonzero(linked[new].any(axis=0) & (row < 0))
+            else:
+                reached = np.flatnonzero(linked[new].any(axis=0) & (column < 0))
+                column[reached] = i
+                new = np.flatnonzero(linked[:, reached].any(axis=1) & (row < 0)) if len(reached) else reached
+            row[new] = i
+    return row, row if square else column
+
+
 def _verify(threshold: tuple[int, int]):
     p, q = threshold
 
-    def pairs_of(members: list[int], others: list[int] | None, sets, sizes):
-        """Per member: (links, ...) of linked ones; emits index pairs of links."""
-        inter = _intersections([sets[i] for i in members], None if others is None else [sets[i] for i in others])
-        a = np.array([len(sets[i]) for i in members])
-        b = a if others is None else np.array([len(sets[i]) for i in others])
+    def links_of(left, right, sets):
+        inter = _intersections([sets[i] for i in left], None if right is None else [sets[i] for i in right])
+        a = np.array([len(sets[i]) for i in left])
+        b = a if right is None else np.array([len(sets[i]) for i in right])
         linked = (inter * (p + q) >= p * (a[:, None] + b[None, :])) & (inter > 0)
-        if others is None:
+        if right is None:
             np.fill_diagonal(linked, False)
         return linked
 
     def run(key: tuple[pa.Scalar, ...], table: pa.Table) -> pa.Table:
-        table = table.combine_chunks()
-        node = np.asarray(table.column("node"))
-        _, first = np.unique(np.stack([node, np.asarray(table.column("group")), np.asarray(table.column("block"))]), axis=1, return_index=True)
-        table = table.take(pa.array(np.sort(first)))
-        node, size, group, block = (np.asarray(table.column(c)) for c in ("node", "size", "group", "block"))
+        node = table.column("node").to_pylist()
+        group, block = (np.asarray(table.column(c)) for c in ("group", "block"))
+        first = sorted({(n, g, b): i for i, (n, g, b) in reversed(list(enumerate(zip(node, group, block.tolist(), strict=True))))}.values())
+        table = table.take(pa.array(first))
+        node = table.column("node").to_pylist()
+        size, block = (np.asarray(table.column(c)) for c in ("size", "block"))
+        _, group = np.unique(np.array(table.column("group").to_pylist(), object), return_inverse=True)
         sets = [np.frombuffer(s, np.uint64) for s in table.column("shingles").to_pylist()]
-        links, root = np.zeros(len(node), np.int64), np.arange(len(node))
-
-        def find(x: int) -> int:
-            while root[x] != x:
-                root[x] = root[root[x]]
-                x = root[x]
-            return x
-
-        def unite(a: int, b: int) -> None:
-            a, b = find(a), find(b)
-            if a != b:
-                root[max(a, b)] = min(a, b)
-
+        links, top = np.zeros(len(node), np.int64), np.arange(len(node))
+        cross = int(key[1].as_py()) != int(key[2].as_py())
         order = np.argsort(group, kind="stable")
-        cuts = np.flatnonzero(np.diff(group[order])) + 1
-        for members in np.split(order, cuts):
+        for members in np.split(order, np.flatnonzero(np.diff(group[order])) + 1):
             mine = np.unique(block[members])
-            left = members[block[members] == mine[0]].tolist()
-            cross = int(key[1].as_py()) != int(key[2].as_py())
             if cross and len(mine) < 2:
                 continue
-            right = members[block[members] == mine[1]].tolist() if cross else None
-            linked = pairs_of(left, right, sets, size)
+            left = members[block[members] == mine[0]]
+            right = members[block[members] == mine[1]] if cross else None
+            linked = links_of(left.tolist(), None if right is None else right.tolist(), sets)
             others = left if right is None else right
             links[left] += linked @ size[others]
+            row, column = _parts(linked, right is None)
+            top[left] = left[row]
             if right is not None:
                 links[right] += linked.T @ size[left]
-            # breadth first over the links, row by row
-            for i in range(len(left)):
-                for j in np.flatnonzero(linked[i]).tolist():
-                    if right is not None or j > i:
-                        unite(left[i], others[j])
-        tops = np.array([find(x) for x in range(len(node))], np.int64)
-        return pa.table({"node": node, "links": links, "top": node[tops] if len(node) else node})
+                top[right[column >= 0]] = left[column[column >= 0]]
+        return pa.table({"node": pa.array(node, pa.binary()), "links": links, "top": pa.array([node[t] for t in top.tolist()], pa.binary())})
 
     return run
 
@@ -186,39 +325,58 @@ def _digest() -> Column:
     return F.xxhash64(F.coalesce(F.col("text").cast("string"), F.lit("")))
 
 
-def _linked(docs: DataFrame, k: int = SHINGLE, threshold: tuple[int, int] = THRESHOLD, trees: int = TREES, recall: float = TARGET_RECALL, block: int = BLOCK) -> tuple[DataFrame, DataFrame]:
-    """(doc_id, node of each document; node, set_class, size, links, component, lead of each class of equal shingle sets).
+def _block_pairs(blocks: Column, block: Column) -> Column:
+    """The pairs (i, j) of blocks, i <= j, that a row of one block is needed for."""
+    pair = lambda x: F.struct(F.least(x, block).cast("int").alias("i"), F.greatest(x, block).cast("int").alias("j"))
+    return F.transform(F.sequence(F.lit(0), blocks - 1), pair)
+
+
+def _candidates(classes: DataFrame, depth: int, trees: int, subtree: int) -> DataFrame:
+    """Edges (a, b) that join classes of candidate groups."""
+    places = classes.select("node", F.posexplode("keys").alias("tree", "key"))
+    places = places.select("node", "key", F.xxhash64("tree", F.shiftrightunsigned("key", 8 * (LEVELS - depth))).alias("prefix"))
+    shared = places.groupBy("prefix").agg(F.count(F.lit(1)).alias("n")).filter("n > 1")
+    met = places.join(shared, "prefix")
+    sketch = F.slice("keys", 1, min(trees, SKETCH // LEVELS))
+    drawn = classes.select("node", "depth", F.aggregate(sketch, F.lit(b"").cast("binary"), lambda s, x: F.concat(s, F.unhex(F.lpad(F.hex(x), 16, "0")))).alias("sketch"))
+    blocks = F.ceil(F.col("n") / subtree).cast("int")
+    dealt = met.join(drawn, "node").withColumn("blocks", blocks).withColumn("block", F.pmod(F.xxhash64("node", F.lit("subtree")), F.col("blocks")).cast("int"))
+    dealt = dealt.withColumn("meet", F.explode(_block_pairs(F.col("blocks"), F.col("block")))).select("prefix", F.col("meet.i").alias("i"), F.col("meet.j").alias("j"), "key", "depth", "block", "node", "sketch")
+    return map_arrow(dealt.repartition("prefix", "i", "j").sortWithinPartitions("prefix", "i", "j", "key"), _walk, "a binary, b binary")
+
+
+def _linked(
+    docs: DataFrame, k: int = SHINGLE, threshold: tuple[int, int] = THRESHOLD, trees: int = TREES, recall: float = TARGET_RECALL, block: int = BLOCK, subtree: int = SUBTREE
+) -> tuple[DataFrame, DataFrame]:
+    """(doc_id, digest, node of each document; node, set_class, size, links, component, lead of each class of equal shingle sets).
 
     lead: the first (has no id, doc_id, digest of the text) of the class's documents.
     """
-    depth = forest_depth(threshold[0] / threshold[1], trees, recall)
-    texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
-    signed = cut(map_arrow(texts.withColumn("digest", _digest()), _sign(k, trees, depth), "doc_id long, digest long, node long, labels array<bigint>"))
+    texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).withColumn("digest", _digest())
+    signed = cut(map_arrow(texts, _sign(k, threshold, trees, recall), "doc_id long, digest long, node binary, depth int, keys array<bigint>"))
     lead = F.min(F.struct(F.col("doc_id").isNull().alias("unnamed"), "doc_id", "digest"))
-    classes = signed.groupBy("node").agg(F.min("doc_id").alias("set_class"), F.count(F.lit(1)).alias("size"), F.first("labels").alias("labels"), lead.alias("lead"))
-    places = classes.select("node", F.explode("labels").alias("prefix"))
-    shared = places.groupBy("prefix").agg(F.count(F.lit(1)).alias("n"), F.min("node").alias("head")).filter("n > 1")
-    chains = places.join(shared.select("prefix", "head"), "prefix").filter("node <> head").select("node", "head")
-    groups = connected_components(chains, "node", "head")
+    classes = signed.groupBy("node").agg(F.min("doc_id").alias("set_class"), F.count(F.lit(1)).alias("size"), F.first("depth").alias("depth"), F.first("keys").alias("keys"), lead.alias("lead"))
+    edges = _candidates(classes, forest_depth(threshold[0] / threshold[1], trees, recall), trees, subtree)
+    groups = connected_components(edges, "a", "b")
     sizes = groups.groupBy("component").agg(F.count(F.lit(1)).alias("members"))
-    candidates = groups.join(sizes, "component").join(classes.select("node", "set_class", "size"), "node")
+    candidates = groups.join(sizes, "component").join(classes.select("node", "lead", "size"), "node")
     blocks = F.ceil(F.col("members") / block).cast("int")
-    candidates = cut(candidates.select("node", "set_class", "size", F.col("component").alias("group"), blocks.alias("blocks"), F.pmod(F.xxhash64("node"), blocks).cast("int").alias("block")))
-    tasks = max(1, -(-candidates.count() // GROUP_CLASSES))
-    read = texts.join(candidates, texts["doc_id"].eqNullSafe(candidates["set_class"])).select("text", "node", "size", "group", "blocks", "block")
-    sets = map_arrow(read, _collect_sets(k), "node long, size long, group long, blocks int, block int, shingles binary")
-    meets = F.when(F.col("blocks") == 1, F.array(F.struct(F.lit(0).alias("i"), F.lit(0).alias("j")))).otherwise(
-        F.transform(F.sequence(F.lit(0), F.col("blocks") - 1), lambda x: F.struct(F.least(x, F.col("block")).cast("int").alias("i"), F.greatest(x, F.col("block")).cast("int").alias("j")))
-    )
-    task = F.when(F.col("blocks") == 1, F.pmod(F.xxhash64("group"), F.lit(tasks))).otherwise(F.col("group"))
-    dealt = sets.withColumn("meet", F.explode(meets)).select(F.when(F.col("blocks") == 1, 0).otherwise(1).alias("large"), F.col("meet.i").alias("i"), F.col("meet.j").alias("j"), task.alias("task"), "node", "size", "group", "block", "shingles")
-    found = cut(
-        group_arrow(dealt.withColumn("key", F.concat_ws(":", "large", "task")), ["key", "i", "j"], _verify(threshold), "node long, links long, top long")
+    candidates = cut(
+        candidates.select("node", "lead", "size", F.col("component").alias("group"), blocks.alias("blocks"), F.pmod(F.xxhash64("node"), blocks).cast("int").alias("block"))
     )
+    tasks = max(1, -(-candidates.count() // GROUP_CLASSES))
+    named = candidates.withColumns({"own_id": F.coalesce("lead.doc_id", F.lit(0)), "own_null": F.col("lead.unnamed"), "own_digest": F.col("lead.digest")})
+    mine = (F.coalesce("doc_id", F.lit(0)) == F.col("own_id")) & (F.col("doc_id").isNull() == F.col("own_null")) & (F.col("digest") == F.col("own_digest"))
+    read = texts.join(named, mine).select("text", "node", "size", "group", "blocks", "block")
+    sets = map_arrow(read, _collect_sets(k), "node binary, size long, group binary, blocks int, block int, shingles binary")
+    alone = F.col("blocks") == 1
+    task = F.when(alone, F.pmod(F.xxhash64("group"), F.lit(tasks)).cast("string")).otherwise(F.hex("group"))
+    dealt = sets.withColumn("meet", F.explode(_block_pairs(F.col("blocks"), F.col("block")))).select(F.col("meet.i").alias("i"), F.col("meet.j").alias("j"), task.alias("key"), "node", "size", "group", "block", "shingles")
+    found = cut(group_arrow(dealt, ["key", "i", "j"], _verify(threshold), "node binary, links long, top binary"))
     parts = connected_components(found.filter("node <> top").select("node", "top"), "node", "top")
     links = found.groupBy("node").agg(F.sum("links").alias("links"))
     told = classes.select("node", "set_class", "size", "lead").join(links, "node", "left").join(parts, "node", "left").withColumn("component", F.coalesce("component", "node"))
-    return signed.select("doc_id", "node"), told
+    return signed.select("doc_id", "digest", "node"), told
 
 
 def similar_documents(docs: DataFrame, **options) -> DataFrame:
@@ -240,7 +398,9 @@ def keep_one_of_each(docs: DataFrame, **options) -> DataFrame:
     Documents are told apart by doc_id and text, so a doc_id that is null or given twice loses no other text.
     """
     _, told = _linked(docs, **options)
-    kept = told.groupBy("component").agg(F.min("lead").alias("lead")).select(F.col("lead.doc_id").alias("__kept"), F.col("lead.digest").alias("__lead"))
-    texts = docs.withColumn("__digest", _digest())
-    found = texts.join(kept, texts["doc_id"].cast("long").eqNullSafe(kept["__kept"]) & (texts["__digest"] == kept["__lead"]), "left_semi")
-    return found.dropDuplicates(["doc_id", "__digest"]).drop("__digest")
+    kept = told.groupBy("component").agg(F.min("lead").alias("lead")).select(F.coalesce("lead.doc_id", F.lit(0)).alias("__id"), F.col("lead.unnamed").alias("__null"), F.col("lead.digest").alias("__digest"))
+    key = ["__id", "__null", "__digest"]
+    doc_id = F.col("doc_id").cast("long")
+    # the rows are dealt and sorted by the key once, for the join and for repeated rows
+    named = docs.withColumns({"__id": F.coalesce(doc_id, F.lit(0)), "__null": doc_id.isNull(), "__digest": _digest()})
+    return named.join(kept.hint("merge"), key, "left_semi").dropDuplicates(key).drop(*key)
