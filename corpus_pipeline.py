@@ -14,7 +14,7 @@ from sparkcurate.llm.jaccard_join import keep_one_of_each
 from sparkcurate.llm.language_id import keep_identified
 from sparkcurate.llm.native import read_table
 from sparkcurate.llm.packing import pack_documents
-from sparkcurate.llm.parsing_dedup import remove_repeats
+from sparkcurate.llm.parsing_dedup import strip_repeats
 
 
 def language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -29,11 +29,7 @@ def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFr
 
 def repeats(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Bytes that repeat a smaller document go; a character that lost a byte goes with it."""
-    found = remove_repeats(docs)
-    text = F.try_validate_utf8("kept")
-    mended = F.when(F.col("n_removed") == 0, F.col("kept").cast("string")).when(text.isNotNull(), text).otherwise(F.replace(F.make_valid_utf8("kept"), F.lit("�"), F.lit("")))
-    named = {"text": mended.alias("text"), "n_chars": F.length(mended).cast("long").alias("n_chars")}
-    return found.select(*[named.get(c, F.col(c)) for c in docs.columns])
+    return strip_repeats(docs)
 
 
 def decontamination(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -1,26 +1,29 @@
-"""Removal of repeated byte strings by prefix-free parsing and suffix order.
-
-Every string of ``SPAN`` bytes has a trigger in it: the smallest rolling hash among its ``GRAM``-byte
-grams (leftmost, if it recurs). All spans with the same trigger place form a phrase, so phrases overlap and
-the parse of a text is its list of phrases. Triggers are chosen by window minima and not by a fixed
-remainder, so that no span is without one. Steps:
-
-1. triggers: (trigger hash, document) of the smallest document of each distinct text; only triggers that
-   two texts share go on;
-2. parse: the phrases of those triggers, each with its place; the dictionary is the distinct phrases
-   with the smallest document of each (for triggers of more than ``HOT`` documents it is combined before
-   it moves, and the places are joined to it; the others' places meet by trigger);
-3. suffix order: the spans of the dictionary's phrases of a trigger are brought into order, equal ones
-   verified byte by byte, which gives each span's smallest document;
-4. a phrase is removed whole in all but its smallest document; there only spans with a smaller
-   document go. Documents whose whole text is that of a smaller one go whole.
-
-Texts move once, compressed, by doc_id, and serve all steps; besides them 8-byte trigger rows and the
-phrases of shared triggers move. A task of step 3 holds the distinct phrases of one trigger.
+"""Removal of repeated byte strings by prefix-free parsing: dictionary, parse, and their suffix orders.
+
+A rolling hash over ``GRAM`` bytes sets triggers: the least hash among the grams of a ``SPAN``-byte string
+(leftmost, if it recurs) is its trigger, so every such string has one; a fixed remainder would leave strings without.
+A text's phrases run from one trigger's strings to the next one's: a phrase holds all strings with one trigger place,
+with the ``SPAN - 1`` bytes that follow its last start, so no phrase ends inside a string that begins in it and
+what comes after a phrase never decides the order of its suffixes to that depth. Steps:
+
+1. triggers: (trigger hash, documents), combined by batch; only triggers that two texts share go on;
+2. parse: the phrases of those triggers with their places; the dictionary has each distinct phrase once. The phrases
+   of a trigger of more than ``HOT`` documents are combined before they move, and its places, which no task then
+   needs together, are joined to the result;
+3. suffix array of the dictionary: all suffixes of ``SPAN`` bytes or more of a trigger's phrases, in the order of their
+   bytes (the trigger's own gram, equal in all, is left out); a run of suffixes equal in ``SPAN`` bytes is one string;
+4. order of the parse: the places of each phrase by document. Both orders together are the corpus order to the
+   depth of ``SPAN``: a run's places are those of its phrases, and its smallest document is their least;
+5. a phrase goes whole in all but its smallest document; there only strings go whose run has a smaller
+   document. Documents whose whole text is that of a smaller one go whole.
+
+Texts move once, compressed, by doc_id, and serve all steps; besides them trigger rows and the phrases of shared
+triggers move. A task of step 3 holds the distinct phrases of one trigger.
 
 Defined cases: null text is empty; a null doc_id counts as smaller than all others; rows of one doc_id
 never remove each other's bytes, so repeated rows have the same result; texts below ``SPAN`` bytes stay
-whole; an empty table gives no rows; other columns pass through.
+whole; an empty table gives no rows; other columns pass through, whatever their names, but in ``remove_repeats``
+its own columns take the place of those with the same names.
 """
 
 from __future__ import annotations
@@ -32,17 +35,19 @@ import pyarrow as pa
 import zstandard
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
+from pyspark.sql.types import ArrayType, BinaryType, LongType, StructField, StructType
 
 from sparkcurate.functions.arrow import map_arrow
+from sparkcurate.llm.native import quoted
 from sparkcurate.llm.textscan import _INVERSE, SLICE_BYTES, distinct_by_row, mix, powers, prefix_hash, slices, span_hash
 
 SPAN = 50
 GRAM = 20
 SMALLEST = -(1 << 63)
 # documents of a trigger from which its phrases are combined before they meet
-HOT = 50_000
-# windows whose trigger place is looked up at once; dictionary rows that are ordered at once
-_ROWS = 100_000
+HOT = 1024
+# phrases that are sent, and phrases that are ordered, at once
+_ROWS = 40_000
 
 
 def _window_minima(data: np.ndarray, offsets: np.ndarray, span: int, gram: int):
@@ -97,13 +102,30 @@ def _joined(texts: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
 
 
 def _triggers(span: int, gram: int):
+    """One row a trigger and batch: its least document (id), and if there are several the largest and all others."""
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch, texts in _unzipped(batches):
-            _, _, rows, low = _window_minima(*_joined(texts), span, gram)
-            change = np.ones(len(low), bool)
-            change[1:] = (low[1:] != low[:-1]) | (rows[1:] != rows[:-1])
-            low, rows = distinct_by_row(low[change], rows[change])
-            yield pa.RecordBatch.from_arrays([pa.array(low.view(np.int64)), batch.column("id").take(pa.array(rows))], ["trigger", "id"])
+        for batch in batches:
+            ids = np.asarray(batch.column("id"))
+            triggers, owners, at = [np.zeros(0, np.uint64)], [np.zeros(0, np.int64)], 0
+            for part, texts in _unzipped(iter([batch])):
+                _, _, rows, low = _window_minima(*_joined(texts), span, gram)
+                change = np.ones(len(low), bool)
+                change[1:] = (low[1:] != low[:-1]) | (rows[1:] != rows[:-1])
+                triggers.append(low[change])
+                owners.append(ids[at + rows[change]])
+                at += part.num_rows
+            trigger, owner = distinct_by_row(np.concatenate(owners), np.concatenate(triggers))[::-1]
+            first = np.ones(len(trigger), bool)
+            first[1:] = trigger[1:] != trigger[:-1]
+            heads = np.flatnonzero(first)
+            size = np.diff(np.append(heads, len(trigger)))
+            rest = np.zeros(len(heads) + 1, np.int32)
+            rest[1:] = np.cumsum(size - 1)
+            alone = pa.array(size == 1)
+            others = pa.ListArray.from_arrays(pa.array(rest), pa.array(owner[~first]), mask=alone)
+            most = pa.array(owner[np.append(heads[1:], len(trigger)) - 1], mask=size == 1) if len(heads) else pa.array([], pa.int64())
+            yield pa.RecordBatch.from_arrays([pa.array(trigger[heads].view(np.int64)), pa.array(owner[heads]), most, others], ["trigger", "id", "most", "others"])
 
     return run
 
@@ -165,35 +187,36 @@ def _phrases(span: int, gram: int):
     return run
 
 
-def _order(trigger: np.ndarray, before: np.ndarray, low: np.ndarray, data: np.ndarray, cuts: np.ndarray, span: int, gram: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """(phrase, from, to) of the runs of spans that a smaller document has, in suffix order of the dictionary."""
+def _dictionary_order(trigger: np.ndarray, before: np.ndarray, data: np.ndarray, cuts: np.ndarray, span: int, gram: int) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """(phrase, place in it) of every suffix of a span's length or more, the suffix array, and where its runs of equal spans begin."""
     rest = span - gram
     windows = np.diff(cuts) - rest + 1
     owner = np.repeat(np.arange(len(windows)), windows)
     inside = np.arange(len(owner)) - np.repeat(np.cumsum(windows) - windows, windows)
     at = cuts[owner] + inside
-    shift = before[owner] - inside
-    prefix = prefix_hash(data)
-    name = mix((prefix[at + rest] - prefix[at]) * powers(_INVERSE, len(prefix))[at] + mix(trigger.view(np.uint64))[owner] + shift.astype(np.uint64))
-    order = np.argsort(name, kind="stable")
-    equal = name[order][1:] == name[order][:-1]
-    again = np.zeros(len(name), bool)
-    again[1:], again[:-1] = equal, again[:-1] | equal
-    again[1:] |= equal
-    picked = order[again]
+    # equal spans have their trigger at the same place
+    kind = (np.unique(trigger, return_inverse=True)[1].astype(np.int64)[owner] << 8) + (before[owner] - inside)
+    # the bytes without the gram, as big-endian numbers that compare like the bytes
+    block = np.zeros((len(owner), -(-rest // 8) * 8), np.uint8)
+    for o in range(rest):
+        block[:, o] = data[at + o]
+    columns = [kind, *block.view(">u8").astype(np.uint64).T]
+    order = np.lexsort(columns[::-1])
+    new = np.zeros(len(order), bool)
+    new[:1] = True
+    for c in columns:
+        c = c[order]
+        new[1:] |= c[1:] != c[:-1]
+    return owner, inside, order, new
+
+
+def _order(trigger: np.ndarray, before: np.ndarray, low: np.ndarray, data: np.ndarray, cuts: np.ndarray, span: int, gram: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(phrase, from, to) of the runs of spans that a smaller document than the phrase's own (low) has."""
+    owner, inside, order, new = _dictionary_order(trigger, before, data, cuts, span, gram)
     gone = np.zeros(len(owner), bool)
-    if len(picked):
-        # suffixes cut at the span's length, compared as big-endian words: equal runs are equal spans
-        block = np.zeros((len(picked), -(-rest // 8) * 8), np.uint8)
-        block[:, :rest] = data[at[picked][:, None] + np.arange(rest)]
-        columns = block.view(">u8").astype(np.uint64)
-        suffix = np.lexsort((*columns.T[::-1], shift[picked], trigger[owner[picked]]))
-        picked, columns = picked[suffix], columns[suffix]
-        offset, group = shift[picked], trigger[owner[picked]]
-        new = np.ones(len(picked), bool)
-        new[1:] = (columns[1:] != columns[:-1]).any(axis=1) | (offset[1:] != offset[:-1]) | (group[1:] != group[:-1])
-        least = np.minimum.reduceat(low[owner[picked]], np.flatnonzero(new))[np.cumsum(new) - 1]
-        gone[picked] = least < low[owner[picked]]
+    if len(order):
+        own = low[owner[order]]
+        gone[order] = np.minimum.reduceat(own, np.flatnonzero(new))[np.cumsum(new) - 1] < own
     turn, stop = gone.copy(), gone.copy()
     turn[1:] &= ~(gone[:-1] & (owner[1:] == owner[:-1]))
     stop[:-1] &= ~(gone[1:] & (owner[1:] == owner[:-1]))
@@ -275,14 +298,19 @@ def _by_trigger(span: int, gram: int, work):
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held: list[pa.RecordBatch] = []
-        rows = 0
-        for batch in batches:
-            held.append(batch)
-            rows += batch.num_rows
-            if rows >= _ROWS:
+        rows, want = 0, _ROWS
+        for whole in batches:
+            for x in range(0, whole.num_rows, _ROWS):
+                batch = whole.slice(x, _ROWS)
+                held.append(batch)
+                rows += batch.num_rows
+                if rows < want:
+                    continue
                 table = pa.Table.from_batches(held)
                 trigger = np.asarray(table.column("trigger"))
                 last = int(np.searchsorted(trigger, trigger[-1]))
+                # one trigger alone is looked at again when it has grown to twice its rows
+                want = _ROWS if last else 2 * rows
                 if last:
                     yield work(table.slice(0, last), span, gram)
                     rest = table.slice(last)
@@ -317,13 +345,13 @@ def _cut_out(span: int):
     return run
 
 
-def remove_repeats(docs: DataFrame, span: int = SPAN, gram: int = GRAM, hot: int = HOT) -> DataFrame:
-    """The documents' columns without text, and n_bytes, n_removed, spans (removed, from-to) and kept (bytes)."""
-    others = [c for c in docs.columns if c != "text"]
+def _removed(docs: DataFrame, span: int, gram: int, hot: int) -> DataFrame:
+    """rest (all columns without text), n_bytes, n_removed, spans and kept of each row."""
     text = F.coalesce(F.col("text").cast("string"), F.lit(""))
-    named = docs.select(F.coalesce(F.col("doc_id").cast("long"), F.lit(SMALLEST)).alias("id"), F.xxhash64(text).alias("told"), text.alias("text"), F.struct(*others).alias("rest"))
-    rest = f"rest {named.schema['rest'].dataType.simpleString()}"
-    base = map_arrow(named, _zip(["id", "told", "rest"]), f"id long, told long, {rest}, packed binary, n_bytes long")
+    rest = F.struct(F.lit(0).alias("__none"), *[docs[quoted(c)] for c in docs.columns if c != "text"])
+    named = docs.select(F.coalesce(F.col("doc_id").cast("long"), F.lit(SMALLEST)).alias("id"), F.xxhash64(text).alias("told"), text.alias("text"), rest.alias("rest"))
+    kind = named.schema["rest"]
+    base = map_arrow(named, _zip(["id", "told", "rest"]), StructType([StructField("id", LongType()), StructField("told", LongType()), kind, StructField("packed", BinaryType()), StructField("n_bytes", LongType())]))
     # inner joins would add this filter to their copy of the plan only, and the texts would move twice
     base = base.filter(F.col("id").isNotNull() & F.col("told").isNotNull())
     owners = named.select("id", "told", F.md5("text").alias("digest")).groupBy("told", "digest").agg(F.min("id").alias("id"))
@@ -333,8 +361,10 @@ def remove_repeats(docs: DataFrame, span: int = SPAN, gram: int = GRAM, hot: int
     mine = (F.col("id") == F.col("own_id")) & (F.col("told") >= F.col("own_told")) & (F.col("told") <= F.col("own_told"))
     own = base.join(owners.hint("shuffle_hash"), mine).drop("own_id", "own_told")
     group = Window.partitionBy("trigger")
-    triggers = map_arrow(own, _triggers(span, gram), "trigger long, id long")
-    met = triggers.withColumn("least", F.min("id").over(group)).withColumn("most", F.max("id").over(group)).withColumn("n", F.count(F.lit(1)).over(group)).filter("least < most")
+    triggers = map_arrow(own, _triggers(span, gram), "trigger long, id long, most long, others array<bigint>")
+    members = F.lit(1) + F.coalesce(F.size("others"), F.lit(0))
+    met = triggers.withColumns({"least": F.min("id").over(group), "last": F.max(F.coalesce("most", "id")).over(group), "n": F.sum(members).over(group)}).filter("least < last")
+    met = met.select("trigger", "n", F.explode(F.concat(F.array("id"), F.coalesce("others", F.array().cast("array<bigint>")))).alias("id"))
     shared = met.groupBy("id").agg(F.collect_list(F.when(F.col("n") <= hot, F.col("trigger"))).alias("cold"), F.collect_list(F.when(F.col("n") > hot, F.col("trigger"))).alias("hot")).hint("shuffle_hash")
     marked = own.join(shared, "id")
     parsed = "trigger long, phrase binary, before int, id long, twin int, starts array<bigint>"
@@ -354,4 +384,24 @@ def remove_repeats(docs: DataFrame, span: int = SPAN, gram: int = GRAM, hot: int
     joined = base.join(owners.hint("shuffle_hash"), mine, "left").join(runs, "id", "left")
     spans = F.get(F.filter("by_twin", lambda t: t["twin"] == F.col("twin"))["spans"], F.lit(0))
     joined = joined.select("packed", "n_bytes", "rest", F.col("own_id").isNotNull().alias("alone"), spans.alias("spans"))
-    return map_arrow(joined, _cut_out(span), f"{rest}, n_bytes long, n_removed long, spans array<struct<a:bigint,b:bigint>>, kept binary").select("rest.*", "n_bytes", "n_removed", "spans", "kept")
+    pair = StructType([StructField("a", LongType()), StructField("b", LongType())])
+    return map_arrow(joined, _cut_out(span), StructType([kind, StructField("n_bytes", LongType()), StructField("n_removed", LongType()), StructField("spans", ArrayType(pair)), StructField("kept", BinaryType())]))
+
+
+def remove_repeats(docs: DataFrame, span: int = SPAN, gram: int = GRAM, hot: int = HOT) -> DataFrame:
+    """The documents' columns without text, and n_bytes, n_removed, spans (removed, from-to) and kept (bytes)."""
+    own = ("n_bytes", "n_removed", "spans", "kept")
+    found = _removed(docs, span, gram, hot)
+    return found.select(*[F.col("rest")[c].alias(c) for c in docs.columns if c != "text" and c not in own], *own)
+
+
+def strip_repeats(docs: DataFrame, span: int = SPAN, gram: int = GRAM, hot: int = HOT) -> DataFrame:
+    """The documents, their columns of any name, without repeated bytes; a character that lost a byte goes with it.
+
+    ``n_chars``, if there is one, follows the text; a null text becomes empty.
+    """
+    found = _removed(docs, span, gram, hot)
+    text = F.try_validate_utf8("kept")
+    mended = F.when(F.col("n_removed") == 0, F.col("kept").cast("string")).when(text.isNotNull(), text).otherwise(F.replace(F.make_valid_utf8("kept"), F.lit("\ufffd"), F.lit("")))
+    named = {"text": mended, "n_chars": F.length(mended).cast("long")}
+    return found.select(*[named.get(c, F.col("rest")[c]).alias(c) for c in docs.columns])
