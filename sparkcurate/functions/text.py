@@ -32,10 +32,35 @@ def n_tokens(text: Column) -> Column:
     return F.size(tokens(text)).cast("long")
 
 
+def bound(value: Column, use) -> Column:
+    """use(value) with the value worked out once, however often it is used."""
+    return F.get(F.transform(F.array(value), use), F.lit(0))
+
+
 def gram_hashes(token_array: Column, n: int) -> Column:
-    """64-bit hashes of all n-grams of a token array (none if it is shorter)."""
-    last = F.size(token_array) - n
-    return F.when(last >= 0, F.transform(F.sequence(F.lit(0), last), lambda i: F.xxhash64(F.slice(token_array, i + 1, n)))).otherwise(F.array().cast("array<bigint>"))
+    """64-bit hashes of all n-grams of a token array (none if it is shorter).
+
+    Each word is hashed once; hashes of twice the width come from two neighbours, so a gram costs about two
+    steps for each doubling of n and not n word hashes. A null array has no grams.
+    """
+
+    def joined(left: Column, right: Column, shift: int) -> Column:
+        # the last ones lack a right neighbour and are cut off in the end
+        return F.zip_with(left, F.slice(right, shift + 1, F.greatest(F.size(right) - shift, F.lit(0))), lambda a, b: F.xxhash64(a, b))
+
+    def grow(power: Column, width: int, done: Column | None, done_width: int) -> Column:
+        if n & width:
+            whole = power if done is None else joined(done, power, done_width)
+            if done_width + width == n:
+                return whole
+            if done is None:
+                return bound(joined(power, power, width), lambda p: grow(p, 2 * width, power, width))
+            return bound(whole, lambda w: bound(joined(power, power, width), lambda p: grow(p, 2 * width, w, done_width + width)))
+        return bound(joined(power, power, width), lambda p: grow(p, 2 * width, done, done_width))
+
+    hashed = F.transform(token_array, lambda w: F.xxhash64(w))
+    count = F.greatest(F.size(token_array) - (n - 1), F.lit(0))
+    return F.when(count > 0, F.slice(bound(hashed, lambda h: grow(h, 1, None, 0)), 1, count)).otherwise(F.array().cast("array<bigint>"))
 
 
 def grams(df: DataFrame, id_col: str, text_col: str, n: int) -> DataFrame:

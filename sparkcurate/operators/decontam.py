@@ -1,7 +1,12 @@
 """Removal of records that overlap a held-out benchmark, lexically or by embedding.
 
-The benchmark's grams or vectors are broadcast while the benchmark has at most ``BROADCAST_ITEMS`` items;
-beyond that grams are joined by a shuffle and vectors go in blocks.
+The benchmark's grams, 8 bytes and an item's id each, are broadcast while there are at most ``BROADCAST_GRAMS`` of
+them (32 MB); beyond that they are joined by a shuffle. Vectors go in blocks of ``BLOCK_ITEMS``.
+
+Defined cases, for all operators here: null and empty texts, and texts of fewer than ``n`` tokens, have no n-gram and
+are never contaminated; an empty benchmark contaminates nothing; zero and null vectors have cosine 0 with every item (-1
+if there are none); equal rows are treated alike; rows that share an id are kept or dropped together; an empty table
+gives no rows; other columns pass through or are ignored.
 """
 
 from __future__ import annotations
@@ -18,25 +23,26 @@ from sparkcurate.functions.text import grams
 
 N = 15
 COSINE = 0.9
-BROADCAST_ITEMS = 100_000
+BROADCAST_GRAMS = 2_000_000
 BLOCK_ITEMS = 20_000
 
 
-def _side(benchmark: DataFrame, built: DataFrame) -> DataFrame:
-    return F.broadcast(built) if benchmark.limit(BROADCAST_ITEMS + 1).count() <= BROADCAST_ITEMS else built
+def broadcast_side(built: DataFrame, most: int = BROADCAST_GRAMS) -> DataFrame:
+    """Broadcast if it has at most so many rows; the rows are small and of fixed width."""
+    return F.broadcast(built) if built.limit(most + 1).count() <= most else built
 
 
 def contaminated_any(df: DataFrame, benchmark: DataFrame, key: str, text_col: str = "text", n: int = N) -> DataFrame:
     """Ids that share at least one n-gram with the benchmark."""
     held = grams(benchmark, "item_id", "text", n).select("gram").distinct()
-    return grams(df, key, text_col, n).join(_side(benchmark, held), "gram", "left_semi").select(key).distinct()
+    return grams(df, key, text_col, n).join(broadcast_side(held), "gram", "left_semi").select(key).distinct()
 
 
 def contaminated_share(df: DataFrame, benchmark: DataFrame, key: str, text_col: str = "text", n: int = N) -> DataFrame:
     """(id, share): the largest share of an item's n-grams that a record holds."""
     held = grams(benchmark, "item_id", "text", n)
-    sized = held.join(F.broadcast(held.groupBy("item_id").agg(F.count(F.lit(1)).alias("size"))), "item_id")
-    met = grams(df, key, text_col, n).join(_side(benchmark, sized), "gram")
+    sized = held.join(held.groupBy("item_id").agg(F.count(F.lit(1)).alias("size")), "item_id")
+    met = grams(df, key, text_col, n).join(broadcast_side(sized), "gram")
     per = met.groupBy(key, "item_id").agg((F.count(F.lit(1)) / F.max("size")).alias("share"))
     return per.groupBy(key).agg(F.max("share").alias("share"))
 

@@ -1,4 +1,10 @@
-"""Overlap removal inside a pool: exact, n-gram and sketch variants, pair and group semantics."""
+"""Overlap removal inside a pool: exact, n-gram and sketch variants, pair and group semantics.
+
+Defined cases, for all operators here: null and empty texts, and texts of fewer than ``n`` tokens, have no n-gram and
+overlap nothing (``dedup_exact`` takes null for empty); equal texts overlap wholly; ties in priority go to the smaller
+id; ids are expected to be unique (rows that share one are kept or dropped together); an empty table gives no rows;
+other columns pass through or are ignored.
+"""
 
 from __future__ import annotations
 
@@ -23,26 +29,44 @@ def overlap_pairs(df: DataFrame, key: str, text_col: str, n: int = N, tau: float
     """(a, b, shared, containment): pairs whose shared n-grams are a share of the smaller set of at least tau.
 
     Grams of more than ``max_df`` records (templates) are left out of both the sets and the join, which
-    also bounds the join's groups.
+    also bounds the join's groups; without that bound only the rarest grams of each set are joined.
     """
-    each = grams(df, key, text_col, n)
-    if max_df is not None:
-        common = each.groupBy("gram").agg(F.count(F.lit(1)).alias("df")).filter(F.col("df") > max_df).select("gram")
-        each = each.join(common, "gram", "left_anti")
+    if max_df is None:
+        return dedup_minhash(df, key, text_col, n, tau)
+    each = cut(grams(df, key, text_col, n))
+    counted = each.groupBy("gram").agg(F.count(F.lit(1)).alias("df"))
+    each = each.join(counted.filter(F.col("df") > max_df).select("gram"), "gram", "left_anti")
     # grams of one record make no pair and never reach the join
-    shared = each.groupBy("gram").agg(F.count(F.lit(1)).alias("df")).filter("df > 1").select("gram")
+    shared = counted.filter((F.col("df") > 1) & (F.col("df") <= max_df)).select("gram")
     sizes = each.groupBy(key).agg(F.count(F.lit(1)).alias("size"))
     met = each.join(shared, "gram")
     pairs = met.select(F.col(key).alias("a"), "gram").join(met.select(F.col(key).alias("b"), "gram"), "gram").filter("a < b")
-    counted = pairs.groupBy("a", "b").agg(F.count(F.lit(1)).alias("shared"))
-    sized = counted.join(sizes.select(F.col(key).alias("a"), F.col("size").alias("sa")), "a").join(sizes.select(F.col(key).alias("b"), F.col("size").alias("sb")), "b")
+    found = pairs.groupBy("a", "b").agg(F.count(F.lit(1)).alias("shared"))
+    sized = found.join(sizes.select(F.col(key).alias("a"), F.col("size").alias("sa")), "a").join(sizes.select(F.col(key).alias("b"), F.col("size").alias("sb")), "b")
     return sized.withColumn("containment", F.col("shared") / F.least("sa", "sb")).filter(F.col("containment") >= tau).select("a", "b", "shared", "containment")
 
 
+def drop_contained(df: DataFrame, key: str, text_col: str, n: int = N, tau: float = 0.8, priority: str | None = None) -> DataFrame:
+    """Pair semantics over all overlapping records, copies included: a record goes if a partner ranks ahead of it.
+
+    Equal texts are compared once, through the record of theirs that ranks first; the others go, and no pairs are
+    made of them, so a group of copies costs its size and not the square.
+    """
+    rank = F.lit(0) if priority is None else F.col(priority)
+    named = df.select(F.col(key).alias("__k"), rank.alias("__p"), F.coalesce(F.col(text_col), F.lit("")).alias("__t")).withColumn("__d", F.md5("__t"))
+    best = F.struct((-F.col("__p")).alias("p"), F.col("__k").alias("k"))
+    heads = cut(named.groupBy("__d").agg(F.min(best).alias("best"), F.min("__t").alias("__t")).select("__d", F.col("best.k").alias("__k"), (-F.col("best.p")).alias("__p"), "__t"))
+    pairs = overlap_pairs(heads, "__k", "__t", n, tau).select("a", "b")
+    lost = drop_by_pairs(heads.select("__k", "__p"), "__k", pairs, "__p")
+    # what is left: first of its text and not behind another text; short texts overlap nothing and stay
+    short = named.filter(F.size(tokens(F.col("__t"))) < n).select("__k")
+    return df.join(lost.select(F.col("__k").alias(key)).unionByName(short.select(F.col("__k").alias(key))).distinct(), key, "left_semi")
+
+
 def shares_any(df: DataFrame, key: str, text_col: str, n: int = N) -> DataFrame:
-    """Ids that share an n-gram with a smaller id; no pair is made."""
-    each = grams(df, key, text_col, n)
-    first = each.groupBy("gram").agg(F.min(key).alias("__first"))
+    """Ids that share an n-gram with a smaller id; no pair is made, and the grams move once for both of their uses."""
+    each = grams(df, key, text_col, n).repartition("gram")
+    first = each.groupBy("gram").agg(F.min(key).alias("__first"), F.count(F.lit(1)).alias("__n")).filter("__n > 1")
     return each.join(first, "gram").filter(F.col(key) > F.col("__first")).select(key).distinct()
 
 
@@ -63,7 +87,7 @@ def duplicate_groups(df: DataFrame, key: str, pairs: DataFrame) -> DataFrame:
 
 
 def dedup_minhash(df: DataFrame, key: str, text_col: str, n: int = N, tau: float = 0.8) -> DataFrame:
-    """(a, b, containment): the pairs of ``overlap_pairs``, found by sketches and verified by the gram sets.
+    """(a, b, shared, containment): all pairs of at least tau, found by sketches and verified by the gram sets.
 
     A record's sketch is its rarest grams (equally rare ones by hash), one more than a partner may lack at ``tau``:
     a record at least as large that contains a share of tau has one of them, whatever its size. No pair is lost, and
@@ -83,5 +107,5 @@ def dedup_minhash(df: DataFrame, key: str, text_col: str, n: int = N, tau: float
     large = met.select(F.col(key).alias("t"), F.col("size").alias("st"), "gram")
     pairs = small.join(large, "gram").filter("st >= ss AND s <> t").select(F.least("s", "t").alias("a"), F.greatest("s", "t").alias("b")).distinct()
     both = pairs.join(sets.select(F.col(key).alias("a"), F.col("grams").alias("ga")), "a").join(sets.select(F.col(key).alias("b"), F.col("grams").alias("gb")), "b")
-    shares = F.size(F.array_intersect("ga", "gb")) / F.least(F.size("ga"), F.size("gb"))
-    return both.select("a", "b", shares.alias("containment")).filter(F.col("containment") >= tau)
+    counted = both.select("a", "b", F.size(F.array_intersect("ga", "gb")).cast("long").alias("shared"), F.least(F.size("ga"), F.size("gb")).alias("least"))
+    return counted.withColumn("containment", F.col("shared") / F.col("least")).filter(F.col("containment") >= tau).drop("least")

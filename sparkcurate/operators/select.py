@@ -3,12 +3,20 @@
 A round-robin draw over groups equals water-filling: every group gives min(size, q) rows, and the first
 groups in order give one more until the budget is met. Only group sizes reach the driver; rows are ranked
 in salted parts of their group first, so a hot group is never sorted by one task alone.
+
+Defined cases, for all operators here: rows without a label (null) are a group of their own, the first in order;
+a budget of 0 or less gives no rows and one beyond the supply gives all; ties in the order are settled by what the
+order says next, and equal rows each count; an empty table gives no rows; other columns pass through.
 """
 
 from __future__ import annotations
 
+from functools import reduce
+from operator import and_
+
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
+from pyspark.sql.types import IntegerType, StructField, StructType
 
 from sparkcurate.functions.lineage import cut
 
@@ -26,8 +34,8 @@ def top_per_group(df: DataFrame, groups: list[str], order: list[Column], limit:
 
 def quotas(sizes: dict[str, int], budget: int) -> dict[str, int]:
     """Rows that each group gives in a round-robin draw of the budget; groups in their order."""
-    names = sorted(sizes)
-    budget = min(budget, sum(sizes.values()))
+    names = sorted(sizes, key=lambda n: (n is not None, n))
+    budget = max(0, min(budget, sum(sizes.values())))
     low, high = 0, max(sizes.values(), default=0)
     while low < high:
         middle = (low + high + 1) // 2
@@ -44,15 +52,23 @@ def quotas(sizes: dict[str, int], budget: int) -> dict[str, int]:
     return given
 
 
+def _given(df: DataFrame, groups: list[str], plan: list[tuple], order: list[Column]) -> DataFrame:
+    """The first rows of each group as far as the plan (labels, quota) says."""
+    most = max((p[-1] for p in plan), default=0)
+    if not most:
+        return df.limit(0)
+    fields = [StructField(f"__g{i}", df.schema[g].dataType) for i, g in enumerate(groups)]
+    quota = df.sparkSession.createDataFrame(plan, StructType([*fields, StructField("__quota", IntegerType())]))
+    ranked = top_per_group(df, groups, order, most)
+    same = [F.col(g).eqNullSafe(F.col(f"__g{i}")) for i, g in enumerate(groups)]
+    joined = ranked.join(F.broadcast(quota), reduce(and_, same))
+    return joined.filter(F.col("rn") <= F.col("__quota")).drop("rn", "__quota", *(f.name for f in fields))
+
+
 def sample_balanced(df: DataFrame, group: str, budget: int, order: list[Column]) -> DataFrame:
     """Equal rows of every group, the first by order; what a small group lacks the others give."""
     sizes = {r[group]: r["n"] for r in df.groupBy(group).agg(F.count(F.lit(1)).alias("n")).collect()}
-    given = quotas(sizes, budget)
-    if not given:
-        return df.limit(0)
-    plan = df.sparkSession.createDataFrame(list(given.items()), f"{group} {df.schema[group].dataType.simpleString()}, __quota int")
-    ranked = top_per_group(df, [group], order, max(given.values()))
-    return ranked.join(F.broadcast(plan), group).filter(F.col("rn") <= F.col("__quota")).drop("rn", "__quota")
+    return _given(df, [group], list(quotas(sizes, budget).items()), order)
 
 
 def sample_nested(df: DataFrame, outer: str, inner: str, budget: int, order: list[Column]) -> DataFrame:
@@ -62,11 +78,7 @@ def sample_nested(df: DataFrame, outer: str, inner: str, budget: int, order: lis
         sizes.setdefault(r[outer], {})[r[inner]] = r["n"]
     top = quotas({k: sum(v.values()) for k, v in sizes.items()}, budget)
     plan = [(k, i, q) for k, v in sizes.items() for i, q in quotas(v, top[k]).items()]
-    if not plan:
-        return df.limit(0)
-    quota = df.sparkSession.createDataFrame(plan, f"{outer} string, {inner} string, __quota int")
-    ranked = top_per_group(df, [outer, inner], order, max(q for *_, q in plan))
-    return ranked.join(F.broadcast(quota), [outer, inner]).filter(F.col("rn") <= F.col("__quota")).drop("rn", "__quota")
+    return _given(df, [outer, inner], plan, order)
 
 
 def first_rows(df: DataFrame, order: list[Column], budget: int) -> DataFrame:

@@ -1,4 +1,9 @@
-"""Semantic overlap of long records: matched chunks, combined rules and the strict pool."""
+"""Semantic overlap of long records: matched chunks, combined rules and the strict pool.
+
+Defined cases: null and empty texts, texts of fewer words than an n-gram, and zero vectors match nothing and stay;
+equal texts and vectors are linked to their smallest id; ids are expected to be unique; empty tables give no rows;
+other columns are ignored.
+"""
 
 from __future__ import annotations
 
@@ -11,70 +16,57 @@ from pyspark.sql import functions as F
 
 from sparkcurate.functions.arrow import map_arrow
 from sparkcurate.functions.lineage import cut
+from sparkcurate.functions.text import gram_hashes, tokens
 from sparkcurate.operators.cluster import encode
-from sparkcurate.operators.decontam import BLOCK_ITEMS, BROADCAST_ITEMS, COSINE
+from sparkcurate.operators.decontam import BLOCK_ITEMS, COSINE, broadcast_side
 from sparkcurate.operators.dedup import overlap_pairs
 
-CHUNK_DIMENSIONS = 1024
 # numbers of a vector that are multiplied before the rest, and rows in one product
 HEAD = 64
 PRODUCT_ROWS = 512
 
 
-def _term_vectors(words: list[str], n: int, d: int):
-    import zlib
-
-    spans = [" ".join(words[j : j + n]) for j in range(len(words) - n + 1)]
-    hashes = np.array([zlib.crc32(s.encode()) for s in spans], np.int64)
-    return hashes % d, np.where((hashes >> 20) & 1, 1.0, -1.0)
-
+def _best_windows(threshold: float):
+    """For pairs of gram lists: the largest cosine of a window of the first, as long as the second, with the second."""
+
+    def best(record: np.ndarray, item: np.ndarray) -> float:
+        width = min(len(record), len(item))
+        names, counts = np.unique(item, return_counts=True)
+        at = np.minimum(np.searchsorted(names, record), len(names) - 1)
+        value = np.where(names[at] == record, counts[at], 0)
+        dots = np.concatenate([[0], np.cumsum(value)])
+        dots = dots[width:] - dots[:-width]
+        size = np.sqrt(float((counts**2).sum()))
+        found = -1.0
+        # a window's norm is the root of its length at least
+        for s in np.flatnonzero(dots > threshold * size * np.sqrt(width)).tolist():
+            own = np.unique(record[s : s + width], return_counts=True)[1]
+            found = max(found, float(dots[s] / (size * np.sqrt(float((own**2).sum())))))
+        return found
 
-def _chunks(items: list[tuple], n: int, d: int, threshold: float):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        import re
-
-        split = re.compile(r"[^\W_]+", re.UNICODE)
-        held = []
-        for item, text in items:
-            slot, sign = _term_vectors(split.findall((text or "").lower()), n, d)
-            if len(slot):
-                vector = np.zeros(d)
-                np.add.at(vector, slot, sign)
-                size = np.linalg.norm(vector)
-                if size:
-                    held.append((item, len(slot), vector / size))
         for batch in batches:
-            ids, found, best = [], [], []
-            for key, text in zip(batch.column("doc_id").to_pylist(), batch.column("text").to_pylist(), strict=True):
-                slot, sign = _term_vectors(split.findall((text or "").lower()), n, d)
-                for item, length, vector in held:
-                    w = min(length, len(slot))
-                    if not w:
-                        continue
-                    # dot products of all windows of the item's length by running sums
-                    dots = np.concatenate([[0.0], np.cumsum(sign * vector[slot])])
-                    dots = dots[w:] - dots[:-w]
-                    # a window's norm is at least the root of its net terms; only windows near the mark are measured
-                    for s in np.flatnonzero(dots > threshold * np.sqrt(w) * 0.5).tolist():
-                        window = np.zeros(d)
-                        np.add.at(window, slot[s : s + w], sign[s : s + w])
-                        size = np.linalg.norm(window)
-                        if size and dots[s] / size > threshold:
-                            ids.append(key)
-                            found.append(item)
-                            best.append(float(dots[s] / size))
-                            break
-            yield pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), pa.array(found, pa.int64()), pa.array(best, pa.float64())], ["doc_id", "item_id", "cosine"])
+            cosine = [best(np.asarray(a.values, np.int64), np.asarray(b.values, np.int64)) for a, b in zip(batch.column("__a"), batch.column("__b"), strict=True)]
+            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), batch.column("item_id"), pa.array(cosine, pa.float64())], ["doc_id", "item_id", "cosine"])
 
     return run
 
 
-def chunked_contamination(docs: DataFrame, benchmark: DataFrame, n: int = 3, d: int = CHUNK_DIMENSIONS, threshold: float = COSINE) -> DataFrame:
-    """(doc_id, item_id, cosine) of records with a window of an item's length above the threshold."""
-    if benchmark.count() > BROADCAST_ITEMS:
-        raise ValueError("pass the benchmark in blocks")
-    items = [(r["item_id"], r["text"]) for r in benchmark.select("item_id", "text").collect()]
-    return map_arrow(docs.select("doc_id", "text"), _chunks(items, n, d, threshold), "doc_id long, item_id long, cosine double")
+def chunked_contamination(docs: DataFrame, benchmark: DataFrame, n: int = 3, threshold: float = COSINE) -> DataFrame:
+    """(doc_id, item_id, cosine) of records with a window of an item's length whose counts of word n-grams lie above the threshold.
+
+    A pair is looked at only if the grams that the whole record shares with the item hold more than the threshold's
+    square of the item's squared norm, which every pair above the threshold does. Texts without an n-gram match nothing.
+    """
+    listed = gram_hashes(tokens(F.col("text")), n)
+    items = benchmark.select("item_id", listed.alias("__b")).filter(F.size("__b") > 0)
+    counts = items.select("item_id", F.explode("__b").alias("gram")).groupBy("item_id", "gram").agg(F.pow(F.count(F.lit(1)), F.lit(2)).alias("square"))
+    held = counts.join(counts.groupBy("item_id").agg(F.sum("square").alias("norm")), "item_id")
+    texts = cut(docs.select("doc_id", listed.alias("__a")))
+    met = texts.select("doc_id", F.explode(F.array_distinct("__a")).alias("gram")).join(broadcast_side(held), "gram")
+    near = met.groupBy("doc_id", "item_id").agg(F.sum("square").alias("part"), F.max("norm").alias("norm")).filter(F.col("part") >= threshold * threshold * F.col("norm") - 1e-9)
+    pairs = near.select("doc_id", "item_id").join(texts, "doc_id").join(items, "item_id").select("doc_id", "item_id", "__a", "__b")
+    return map_arrow(pairs, _best_windows(threshold), "doc_id long, item_id long, cosine double").filter(F.col("cosine") > threshold)
 
 
 def combine_rejections(lexical: DataFrame, semantic: DataFrame, key: str) -> DataFrame:

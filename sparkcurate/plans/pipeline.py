@@ -11,7 +11,7 @@ from sparkcurate.functions.lineage import cut
 from sparkcurate.functions.text import grams
 from sparkcurate.operators.cluster import encode
 from sparkcurate.operators.decontam import COSINE, contaminated_any, max_cosine
-from sparkcurate.operators.dedup import drop_by_pairs, overlap_pairs
+from sparkcurate.operators.dedup import drop_contained
 from sparkcurate.operators.mix import curriculum, mix
 from sparkcurate.operators.quality import route, verify_regenerate_stub
 from sparkcurate.operators.rules import filter_complete, filter_judged, filter_language, format_reasons
@@ -64,7 +64,7 @@ def routed(rows: DataFrame, config: Config) -> tuple[DataFrame, DataFrame]:
 
 def _overlap_free(docs: DataFrame, benchmark: DataFrame, config: Config) -> DataFrame:
     clean = docs.join(contaminated(docs, benchmark, config), "doc_id", "left_anti")
-    return drop_by_pairs(clean, "doc_id", overlap_pairs(clean, "doc_id", "text", config.dedup_n, config.tau))
+    return drop_contained(clean, "doc_id", "text", config.dedup_n, config.tau)
 
 
 def run_pipeline(spark: SparkSession, sf_dir: str, config: Config = Config()) -> tuple[DataFrame, DataFrame]:

@@ -130,8 +130,7 @@ p AS (SELECT x.doc_id AS a, y.doc_id AS b, count(*) AS shared FROM g x JOIN g y
 hit AS (SELECT a, b FROM p JOIN s sa ON sa.doc_id = a JOIN s sb ON sb.doc_id = b WHERE shared / least(sa.n, sb.n) >= 0.8)
 SELECT doc_id FROM documents WHERE doc_id NOT IN (SELECT b FROM hit)""")
 def m13(spark, d):
-    docs = table(spark, d, "documents").select("doc_id", "text")
-    return dd.drop_by_pairs(docs, "doc_id", dd.overlap_pairs(docs, "doc_id", "text")).select("doc_id")
+    return dd.drop_contained(table(spark, d, "documents").select("doc_id", "text"), "doc_id", "text").select("doc_id")
 
 
 @query("m13_longest", f"""WITH {o.grams('g', 'documents', 'doc_id', 20)}, s AS (SELECT doc_id, count(*) AS n FROM g GROUP BY doc_id),
@@ -139,8 +138,7 @@ p AS (SELECT x.doc_id AS a, y.doc_id AS b, count(*) AS shared FROM g x JOIN g y
 hit AS (SELECT a, b FROM p JOIN s sa ON sa.doc_id = a JOIN s sb ON sb.doc_id = b WHERE shared / least(sa.n, sb.n) >= 0.8)
 SELECT doc_id FROM documents WHERE doc_id NOT IN (SELECT CASE WHEN db.n_chars > da.n_chars THEN a ELSE b END FROM hit JOIN documents da ON da.doc_id = a JOIN documents db ON db.doc_id = b)""")
 def m13_longest(spark, d):
-    docs = table(spark, d, "documents").select("doc_id", "text", "n_chars")
-    return dd.drop_by_pairs(docs, "doc_id", dd.overlap_pairs(docs, "doc_id", "text"), "n_chars").select("doc_id")
+    return dd.drop_contained(table(spark, d, "documents").select("doc_id", "text", "n_chars"), "doc_id", "text", priority="n_chars").select("doc_id")
 
 
 @query("m13a_any", f"WITH {o.grams('g', 'documents', 'doc_id', 20)}, f AS (SELECT gram, min(doc_id) AS m FROM g GROUP BY gram) SELECT DISTINCT doc_id FROM g JOIN f USING (gram) WHERE doc_id > m")
@@ -171,9 +169,11 @@ def m13d(spark, d):
     return dd.duplicate_groups(docs, "doc_id", dd.overlap_pairs(docs, "doc_id", "text"))
 
 
-@query("m13e_minhash")
+@query("m13e_minhash", f"""WITH {o.grams('g', 'documents', 'doc_id', 20)}, s AS (SELECT doc_id, count(*) AS n FROM g GROUP BY doc_id),
+p AS (SELECT x.doc_id AS a, y.doc_id AS b, count(*) AS shared FROM g x JOIN g y ON x.gram = y.gram AND x.doc_id < y.doc_id GROUP BY ALL)
+SELECT a, b, shared, round(shared / least(sa.n, sb.n), 6) AS containment FROM p JOIN s sa ON sa.doc_id = a JOIN s sb ON sb.doc_id = b WHERE shared / least(sa.n, sb.n) >= 0.8""")
 def m13e(spark, d):
-    return dd.dedup_minhash(table(spark, d, "documents"), "doc_id", "text").select("a", "b", F.round("containment", 6).alias("containment"))
+    return dd.dedup_minhash(table(spark, d, "documents"), "doc_id", "text").select("a", "b", "shared", F.round("containment", 6).alias("containment"))
 
 
 _BOXED = "strpos(text, chr(92) || 'boxed{') > 0"
