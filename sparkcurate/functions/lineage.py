@@ -14,6 +14,12 @@ def ensure_checkpoint_dir(spark: SparkSession) -> None:
         context.setCheckpointDir(context.getConf().get("spark.checkpoint.dir") or tempfile.mkdtemp(prefix="checkpoint"))
 
 
+def shared_folder(spark: SparkSession) -> str:
+    """A folder that the driver and all executors see."""
+    ensure_checkpoint_dir(spark)
+    return spark.sparkContext.getCheckpointDir()
+
+
 def cut(df: DataFrame) -> DataFrame:
     """The same rows, read back from the shared checkpoint folder."""
     ensure_checkpoint_dir(df.sparkSession)

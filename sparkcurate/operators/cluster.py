@@ -1,8 +1,13 @@
-"""Question vectors, clustering and assignment."""
+"""Question vectors, clustering and assignment.
+
+Defined cases: null and empty texts, and texts without words, have a vector of zeros; ties between centroids go to the
+lowest; with fewer distinct vectors than clusters some stay empty; equal rows are assigned alike; an empty table has no
+assignment (fitting one raises); other columns are ignored.
+"""
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pandas as pd
@@ -87,17 +92,41 @@ def lloyd_step(df: DataFrame, assigned: DataFrame, key: str, vec_col: str = "emb
     return each.groupBy("cluster", "dim").agg(F.avg(F.col("x").cast("double")).alias("value"))
 
 
+def _k_means(vectors: DataFrame, k: int, seed: int) -> list:
+    from pyspark.ml.clustering import KMeans
+
+    return KMeans(k=k, seed=seed, featuresCol="features").fit(vectors).clusterCenters()
+
+
+def _bisecting(vectors: DataFrame, k: int, seed: int) -> list:
+    from pyspark.ml.clustering import BisectingKMeans
+
+    return BisectingKMeans(k=k, seed=seed, featuresCol="features").fit(vectors).clusterCenters()
+
+
+def _mixture(vectors: DataFrame, k: int, seed: int) -> list:
+    from pyspark.ml.clustering import GaussianMixture
+
+    return [r["mean"].toArray() for r in GaussianMixture(k=k, seed=seed, featuresCol="features").fit(vectors).gaussiansDF.collect()]
+
+
+Algorithm = Callable[[DataFrame, int, int], list]
+_algorithms: dict[str, Algorithm] = {"kmeans": _k_means, "bisecting": _bisecting, "mixture": _mixture}
+
+
+def register_algorithm(name: str, algorithm: Algorithm) -> None:
+    """An algorithm takes (a frame with ``features`` vectors, k, seed) and returns the centres."""
+    _algorithms[name] = algorithm
+
+
 def cluster(df: DataFrame, key: str, k: int, vec_col: str = "embedding", seed: int = 42, algo: str = "kmeans") -> tuple[DataFrame, DataFrame]:
-    """(assignment, centroids): fitted on at most FIT_SAMPLE rows, assigned for all."""
-    from pyspark.ml.clustering import BisectingKMeans, KMeans
+    """(assignment, centroids): fitted by a registered algorithm on at most FIT_SAMPLE rows, assigned for all."""
     from pyspark.ml.functions import array_to_vector
 
     rows = df.count()
     some = df if rows <= FIT_SAMPLE else df.filter(F.pmod(F.xxhash64(key), F.lit(1 << 20)) < int((1 << 20) * FIT_SAMPLE / rows))
     vectors = some.select(array_to_vector(F.col(vec_col).cast("array<double>")).alias("features"))
-    kinds = {"kmeans": KMeans, "bisecting": BisectingKMeans}
-    model = kinds[algo](k=k, seed=seed, featuresCol="features").fit(vectors)
-    centers = [(i, [float(x) for x in c]) for i, c in enumerate(model.clusterCenters())]
+    centers = [(i, [float(x) for x in c]) for i, c in enumerate(_algorithms[algo](vectors, k, seed))]
     centroids = df.sparkSession.createDataFrame(centers, "cluster int, center array<double>")
     return assign_batched(df, centroids, key, vec_col), centroids
 

@@ -1,15 +1,23 @@
-"""Difficulty proxies: length, entropy, instruction-following difficulty, pass@k, compression."""
+"""Difficulty proxies: length, entropy, instruction-following difficulty, pass@k, compression, and any other scorer.
+
+Defined cases, for all operators here: null texts count as empty (length by characters stays null); texts without
+tokens have length 0, no entropy and no instruction-following difficulty row, and a compression ratio of the empty
+text's compressed size; ties in a score are levelled by id; equal rows are scored alike; an empty table gives no
+rows; other columns pass through or are ignored.
+"""
 
 from __future__ import annotations
 
 import zlib
+from collections.abc import Callable
 
 import pandas as pd
-from pyspark.sql import Column, DataFrame, Window
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from sparkcurate.functions.arrow import ship_package
 from sparkcurate.functions.text import n_tokens, tokens
+from sparkcurate.operators.select import running_sum
 
 
 def score_length(df: DataFrame, text_col: str = "text", unit: str = "tokens") -> DataFrame:
@@ -17,9 +25,15 @@ def score_length(df: DataFrame, text_col: str = "text", unit: str = "tokens") ->
 
 
 def difficulty_level(df: DataFrame, score: str, key: str, levels: int = 4, by: str | None = None) -> DataFrame:
-    """Level 1 .. levels by equal shares of the ordered scores (inside a group, if one is named)."""
-    window = (Window.partitionBy(by) if by else Window.partitionBy()).orderBy(score, key)
-    return df.withColumn("level", F.ntile(levels).over(window))
+    """Level 1 .. levels by equal shares of the ordered scores (inside a group, if one is named); no task sorts all rows or a whole group."""
+    placed = running_sum(df, [*([by] if by else []), score, key], F.lit(1), "__before")
+    sizes = placed.groupBy(*([F.col(by).alias("__by")] if by else [])).agg(F.count(F.lit(1)).alias("__n"), F.min("__before").alias("__start"))
+    joined = placed.join(sizes, F.col(by).eqNullSafe(F.col("__by"))) if by else placed.crossJoin(F.broadcast(sizes))
+    at, least, more = F.col("__before") - F.col("__start"), F.floor(F.col("__n") / levels), F.col("__n") % levels
+    # the first levels have one row more if the rows cannot be dealt evenly
+    edge = more * (least + 1)
+    level = F.when(at < edge, F.floor(at / (least + 1)) + 1).otherwise(more + F.floor((at - edge) / F.greatest(least, F.lit(1))) + 1)
+    return joined.withColumn("level", level.cast("int")).drop("__before", "__start", "__n", "__by")
 
 
 def difficulty_level_by_cuts(df: DataFrame, score: str, levels: int = 4, by: str | None = None, accuracy: int = 10_000) -> DataFrame:
@@ -78,3 +92,28 @@ def score_compression(df: DataFrame, key: str, text_col: str) -> DataFrame:
         return texts.fillna("").map(lambda t: len(zlib.compress(t.encode())) / max(1, len(t.encode())))
 
     return df.select(key, ratio(F.col(text_col)).alias("ratio"))
+
+
+Scorer = Callable[[DataFrame, str, str], DataFrame]
+_scorers: dict[str, Scorer] = {}
+
+
+def register_scorer(name: str, scorer: Scorer) -> None:
+    """A scorer takes (records, id column, text column) and returns (id, score); a model's goes through a client."""
+    _scorers[name] = scorer
+
+
+def score_with(df: DataFrame, key: str, text_col: str, names: tuple[str, ...]) -> DataFrame:
+    """(id, one column a scorer): records that a scorer leaves out have null there."""
+    out = df.select(key)
+    for name in names:
+        found = _scorers[name](df, key, text_col)
+        value = next(c for c in found.columns if c != key)
+        out = out.join(found.select(key, F.col(value).alias(name)), key, "left")
+    return out
+
+
+register_scorer("length", lambda df, key, text: df.select(key, n_tokens(F.col(text)).alias("score")))
+register_scorer("entropy", token_entropy)
+register_scorer("compression", score_compression)
+register_scorer("variety", lambda df, key, text: df.select(key, (F.size(F.array_distinct(tokens(F.col(text)))) / F.greatest(F.size(tokens(F.col(text))), F.lit(1))).alias("score")))

@@ -1,4 +1,9 @@
-"""Domain mixes, exact quotas and the two-stage curriculum."""
+"""Domain mixes, exact quotas and the two-stage curriculum.
+
+Defined cases, for all operators here: rows whose domain has no weight (null too) are left out of a mix and come after
+the priority domains in a curriculum; a budget beyond the supply gives all; ties are settled by what the order says
+next; an empty table gives no rows; other columns pass through.
+"""
 
 from __future__ import annotations
 
@@ -32,6 +37,12 @@ def apportion(sizes: dict[str, int], weights: dict[str, int], budget: int) -> di
     return given
 
 
+def ratio_budget(sizes: dict[str, int], weights: dict[str, int]) -> int:
+    """The most rows that the domains at hand can give in the ratio of their weights."""
+    held = {d: w for d, w in weights.items() if sizes.get(d, 0)}
+    return min((sizes[d] * sum(held.values()) // w for d, w in held.items()), default=0)
+
+
 def _take(df: DataFrame, domain: str, given: dict[str, int], order: list[Column]) -> DataFrame:
     plan = [(d, n) for d, n in given.items() if n]
     if not plan:
@@ -41,9 +52,10 @@ def _take(df: DataFrame, domain: str, given: dict[str, int], order: list[Column]
     return ranked.filter(F.col("rn") <= F.col("__quota")).drop("__quota", "rn")
 
 
-def mix(df: DataFrame, weights: dict[str, int], budget: int, order: list[Column], domain: str = "domain") -> DataFrame:
+def mix(df: DataFrame, weights: dict[str, int], budget: int | None, order: list[Column], domain: str = "domain") -> DataFrame:
+    """Rows in the ratio of the weights, what a domain lacks given by the others; without a budget as many as keep the ratio."""
     sizes = {r[domain]: r["n"] for r in df.groupBy(domain).agg(F.count(F.lit(1)).alias("n")).collect()}
-    return _take(df, domain, apportion(sizes, weights, budget), order)
+    return _take(df, domain, apportion(sizes, weights, ratio_budget(sizes, weights) if budget is None else budget), order)
 
 
 def mix_counts(df: DataFrame, counts: dict[str, int], order: list[Column], domain: str = "domain") -> DataFrame:

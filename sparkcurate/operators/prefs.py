@@ -1,4 +1,9 @@
-"""Preference pairs and their loss."""
+"""Preference pairs and their loss.
+
+Defined cases: null and empty texts overlap nothing; a prompt without a false answer makes no pair, and an id given
+twice makes one for each combination; equal or null sides fail the job; the loss over no rows is null; other columns
+are ignored.
+"""
 
 from __future__ import annotations
 

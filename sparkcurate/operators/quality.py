@@ -1,4 +1,9 @@
-"""Verification, regeneration and judging behind pluggable model clients."""
+"""Verification, regeneration and judging behind pluggable model clients.
+
+Defined cases, for all operators here: a null response is answered by ``distill``, fails every verifier and is judged
+as an empty text; a null truth is never met; rows that share an id ask the same question; an empty table gives no
+rows; other columns pass through. Clients and verifiers work on a batch and must be picklable.
+"""
 
 from __future__ import annotations
 
@@ -76,13 +81,123 @@ def normal_number(text: str | None) -> str | None:
 
 def verify_boxed(df: DataFrame, response: str = "response", truth: str = "truth") -> DataFrame:
     """Adds ``passed``: the boxed answer equals the truth after normalisation."""
+    return verify(df, BoxedVerifier(), response, truth)
+
+
+def last_program(text: str | None) -> str | None:
+    """Content of the last closed fenced block, without its language mark."""
+    found = re.findall(r"```[^\n`]*\n(.*?)```", text or "", re.DOTALL)
+    return found[-1] if found else None
+
+
+class Sandbox(Protocol):
+    """Runs programs against their tests somewhere safe; nothing is executed in this process."""
+
+    def run(self, programs: list[str], tests: list[str]) -> list[bool]: ...
+
+
+class StubSandbox:
+    """Deterministic stand-in: a program passes if it holds its test as a word."""
+
+    def run(self, programs: list[str], tests: list[str]) -> list[bool]:
+        return [bool(re.search(rf"\b{re.escape(t)}\b", p)) for p, t in zip(programs, tests, strict=True)]
+
+
+class Verifier(Protocol):
+    """Told (responses, truths) of a batch, returns whether each is right."""
+
+    def __call__(self, responses: list[str | None], truths: list[str | None]) -> list[bool]: ...
+
+
+class BoxedVerifier:
+    """The boxed answer equals the truth after normalisation."""
+
+    def __call__(self, responses, truths):
+        return [(got := normal_number(boxed_answer(x))) is not None and got == normal_number(y) for x, y in zip(responses, truths, strict=True)]
+
+
+class ProgramVerifier:
+    """The last program of the response passes the truth's tests in a sandbox; a response without one fails."""
+
+    def __init__(self, sandbox: Sandbox):
+        self.sandbox = sandbox
+
+    def __call__(self, responses, truths):
+        programs = [last_program(x) for x in responses]
+        asked = [i for i, (p, t) in enumerate(zip(programs, truths, strict=True)) if p is not None and t is not None]
+        told = dict(zip(asked, self.sandbox.run([programs[i] for i in asked], [truths[i] for i in asked]), strict=True)) if asked else {}
+        return [told.get(i, False) for i in range(len(programs))]
+
+
+def verify(df: DataFrame, verifier: Verifier, response: str = "response", truth: str = "truth") -> DataFrame:
+    """Adds ``passed`` by any verifier, a batch at a time."""
     ship_package(df.sparkSession)
 
     @F.pandas_udf("boolean")
-    def equal(a: pd.Series, b: pd.Series) -> pd.Series:
-        return pd.Series([(got := normal_number(boxed_answer(x))) is not None and got == normal_number(y) for x, y in zip(a, b, strict=True)])
+    def told(a: pd.Series, b: pd.Series) -> pd.Series:
+        clean = lambda s: [None if pd.isna(x) else x for x in s]
+        return pd.Series(verifier(clean(a), clean(b)), dtype=bool)
+
+    return df.withColumn("passed", told(F.col(response), F.col(truth)))
+
+
+ASPECTS = ("clarity", "redundancy", "informativeness", "confidence")
+
 
-    return df.withColumn("passed", equal(F.col(response), F.col(truth)))
+class JudgeClient(Protocol):
+    """Rates texts in each of ASPECTS from 0 to 1 (redundancy: lower is better)."""
+
+    def rate(self, ids: list[str], texts: list[str]) -> list[tuple[float, ...]]: ...
+
+
+class StubJudge:
+    """Deterministic stand-in: two hexadecimal digits of a digest of the id and the aspect."""
+
+    def rate(self, ids: list[str], texts: list[str]) -> list[tuple[float, ...]]:
+        return [tuple(int(hashlib.md5(f"{i}:{a}".encode()).hexdigest()[:2], 16) / 255 for a in ASPECTS) for i in ids]
+
+
+def judge(df: DataFrame, client: JudgeClient, key: str = "qid", text_col: str = "response") -> DataFrame:
+    """(id, one column an aspect) from the client, a batch at a time."""
+    ship_package(df.sparkSession)
+
+    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for rows in batches:
+            rated = client.rate(rows["key"].tolist(), rows["text"].tolist())
+            yield pd.concat([rows[[key]].reset_index(drop=True), pd.DataFrame(rated, columns=list(ASPECTS), dtype=float)], axis=1)
+
+    asked = df.select(key, F.col(key).cast("string").alias("key"), F.coalesce(F.col(text_col), F.lit("")).alias("text"))
+    return asked.mapInPandas(run, f"{key} {df.schema[key].dataType.simpleString()}, " + ", ".join(f"{a} double" for a in ASPECTS))
+
+
+def filter_by_judge(judged: DataFrame, least: float = 0.3, most_redundant: float = 0.7, confidence: float = 0.5) -> DataFrame:
+    """Ratings that are good enough, of a judge that was sure enough; ambiguous ones go."""
+    return judged.filter((F.col("clarity") >= least) & (F.col("informativeness") >= least) & (F.col("redundancy") <= most_redundant) & (F.col("confidence") >= confidence))
+
+
+def annotate_with(df: DataFrame, client: ModelClient, labels: list[str], key: str = "qid", text_col: str = "question") -> DataFrame:
+    """(id, domain, category) by a model that answers ``domain/category``; answers outside the labels are null."""
+    ship_package(df.sparkSession)
+    known = set(labels)
+
+    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for rows in batches:
+            told = [a.strip() if a.strip() in known else None for a in client.complete(rows["key"].tolist(), rows["text"].tolist(), 1)]
+            split = [(a.partition("/")[0], a.partition("/")[2] or a) if a else (None, None) for a in told]
+            yield pd.DataFrame({key: rows[key].tolist(), "domain": [a for a, _ in split], "category": [b for _, b in split]})
+
+    asked = df.select(key, F.col(key).cast("string").alias("key"), F.coalesce(F.col(text_col), F.lit("")).alias("text"))
+    return asked.mapInPandas(run, f"{key} {df.schema[key].dataType.simpleString()}, domain string, category string")
+
+
+class StubLabels:
+    """Deterministic stand-in for a classifier: a label drawn by a digest of the id."""
+
+    def __init__(self, labels: list[str]):
+        self.labels = labels
+
+    def complete(self, ids: list[str], prompts: list[str], attempt: int) -> list[str]:
+        return [self.labels[int(hashlib.md5(f"{i}:{attempt}".encode()).hexdigest()[:2], 16) % len(self.labels)] for i in ids]
 
 
 def stub_passes(key: Column, attempt: Column, cut_off: int = 5) -> Column:

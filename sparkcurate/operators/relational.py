@@ -1,10 +1,17 @@
-"""Joins that Spark lacks as operators: as-of and range joins as unions and bins."""
+"""Joins that Spark lacks as operators: as-of, range and inequality joins as unions, bins and running counts.
+
+Defined cases: rows with a null key or time match nothing (left rows of an as-of join stay, with a null value); of
+right rows at the same time the last in the window's order counts, and rows at the left row's own time count as before
+it; repeated rows match each; empty tables match nothing; other columns pass through.
+"""
 
 from __future__ import annotations
 
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from sparkcurate.operators.select import running_sum
+
 
 def as_of(left: DataFrame, right: DataFrame, by: str, time: str, value: str) -> DataFrame:
     """Each left row with the last right value at or before its time: one union and one window, no join."""
@@ -28,3 +35,10 @@ def salted_join(left: DataFrame, right: DataFrame, key: str, salts: int = 16) ->
     salt: Column = F.pmod(F.xxhash64(*left.columns), F.lit(salts)).cast("int")
     wide = right.withColumn("__salt", F.explode(F.sequence(F.lit(0), F.lit(salts - 1))))
     return left.withColumn("__salt", salt).join(wide, [key, "__salt"]).drop("__salt")
+
+
+def count_before(left: DataFrame, right: DataFrame, value: str, name: str) -> DataFrame:
+    """Each left row with the number of right rows whose value is smaller: a running count over both, no pairs."""
+    a = left.withColumn("__side", F.lit(0))
+    both = a.unionByName(right.select(value, F.lit(1).alias("__side")), allowMissingColumns=True)
+    return running_sum(both.filter(F.col(value).isNotNull()), [value, "__side"], F.col("__side").cast("long"), name).filter("__side = 0").drop("__side")

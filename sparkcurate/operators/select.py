@@ -32,6 +32,19 @@ def top_per_group(df: DataFrame, groups: list[str], order: list[Column], limit:
     return some.drop("__salt", "__first").withColumn(rank, F.row_number().over(whole)).filter(F.col(rank) <= limit)
 
 
+def running_sum(df: DataFrame, order: list[str], value: Column, name: str) -> DataFrame:
+    """Adds the sum of value over all rows before each in a total order; sorted in ranges, and only a total a range reaches the driver."""
+    ranged = cut(df.withColumn("__value", value).repartitionByRange(*order).withColumn("__part", F.spark_partition_id()))
+    totals, before = {}, 0
+    for r in ranged.groupBy("__part").agg(F.sum("__value").alias("n")).orderBy("__part").collect():
+        totals[r["__part"]] = before
+        before += r["n"] or 0
+    earlier = Window.partitionBy("__part").orderBy(*order).rowsBetween(Window.unboundedPreceding, -1)
+    offset = df.sparkSession.createDataFrame(list(totals.items()), "__part int, __offset long")
+    inside = ranged.withColumn("__inside", F.coalesce(F.sum("__value").over(earlier), F.lit(0)))
+    return inside.join(F.broadcast(offset), "__part").withColumn(name, F.col("__offset") + F.col("__inside")).drop("__part", "__value", "__offset", "__inside")
+
+
 def quotas(sizes: dict[str, int], budget: int) -> dict[str, int]:
     """Rows that each group gives in a round-robin draw of the budget; groups in their order."""
     names = sorted(sizes, key=lambda n: (n is not None, n))

@@ -18,20 +18,27 @@ def grams(name: str, source: str, key: str, n: int) -> str:
       SELECT {key}, t, unnest(generate_series(1, len(t) - {n - 1})) AS s FROM (SELECT {key}, {tok('text')} AS t FROM {source}) WHERE len(t) >= {n}))"""
 
 
-def balanced(source: str, group: str, order: str, budget: int, key: str = "doc_id") -> str:
+def balanced(source: str, group: str, order: str, budget: int | str, key: str = "doc_id") -> str:
     return f"SELECT {key} FROM (SELECT {key}, {group} AS g, row_number() OVER (PARTITION BY {group} ORDER BY {order}) AS rn FROM {source}) ORDER BY rn, g LIMIT {budget}"
 
 
-def dual(source: str, order: str, budget: int) -> str:
-    """Both draws merged and topped up from the category draw of the rest."""
-    half = budget // 2
-    return f"""(WITH a AS ({balanced(source, 'category', order, half)}), b AS ({balanced(source, 'cluster', order, budget - half)}),
+def dual(source: str, order: str, budget: int | str) -> str:
+    """Both draws merged and topped up from the category draw of the rest; the budget is a number or a scalar query."""
+    half = f"{budget} // 2"
+    return f"""(WITH a AS ({balanced(source, 'category', order, f'({half})')}), b AS ({balanced(source, 'cluster', order, f'({budget} - {half})')}),
       m AS (SELECT doc_id FROM a UNION SELECT doc_id FROM b),
       rest AS (SELECT doc_id, category AS g, row_number() OVER (PARTITION BY category ORDER BY {order}) AS rn FROM {source} WHERE doc_id NOT IN (SELECT doc_id FROM m)),
       more AS (SELECT doc_id, row_number() OVER (ORDER BY rn, g) AS k FROM rest)
       SELECT doc_id FROM m UNION ALL SELECT doc_id FROM more WHERE k <= {budget} - (SELECT count(*) FROM m))"""
 
 
+def vectors(source: str, key: str, size: int) -> str:
+    """CTE vec_<source> of (key, v, n): signed sums of the tokens' digests over so many buckets, and their square."""
+    signed = f"list_transform({tok('text')}, lambda w: {{'slot': CAST('0x' || substr(md5(w), 1, 7) AS BIGINT) % {size}, 'sign': CASE WHEN CAST('0x' || substr(md5(w), 8, 1) AS BIGINT) % 2 = 0 THEN 1 ELSE -1 END}})"
+    one = "coalesce(list_sum(list_transform(list_filter(h, lambda x: x.slot = i), lambda x: x.sign)), 0)"
+    return f"""vec_{source} AS MATERIALIZED (SELECT {key}, v, list_sum(list_transform(v, lambda x: x * x)) AS n FROM (SELECT {key}, list_transform(generate_series(0, {size - 1}), lambda i: {one}) AS v FROM (SELECT {key}, {signed} AS h FROM {source})))"""
+
+
 _V = """v AS (SELECT doc_id, list_transform(generate_series(0, 15), lambda i: list_sum(list_transform(list_filter(h, lambda x: x.slot = i), lambda x: x.sign))) AS v FROM (
   SELECT doc_id, list_transform(t, lambda w: {'slot': CAST('0x' || substr(md5(w), 1, 7) AS BIGINT) %% 16, 'sign': CASE WHEN CAST('0x' || substr(md5(w), 8, 1) AS BIGINT) %% 2 = 0 THEN 1 ELSE -1 END}) AS h
   FROM (SELECT doc_id, %s AS t FROM documents)))""" % tok("text")

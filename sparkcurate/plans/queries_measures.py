@@ -58,7 +58,7 @@ def s05(spark, d):
     return ev.box_stats(docs, ["domain"], "v").select("domain", *[F.round(c, 6).alias(c) for c in ("q1", "median", "q3")], "low", "high", "n", "whisker_low", "whisker_high", "outliers")
 
 
-@query("s05_box_sketch")
+@query("s05_box_sketch", f"SELECT {o.DOMAIN} AS domain, quantile_disc(n_chars, 0.25) AS q1, quantile_disc(n_chars, 0.5) AS median, quantile_disc(n_chars, 0.75) AS q3, min(n_chars) AS low, max(n_chars) AS high, count(*) AS n FROM documents GROUP BY 1")
 def s05_sketch(spark, d):
     docs = table(spark, d, "documents").select(domain_of_source(F.col("source")).alias("domain"), F.col("n_chars").alias("v"))
     return ev.box_stats_sketch(docs, ["domain"], "v")
@@ -139,12 +139,16 @@ def s09(spark, d):
 
 
 # Training settings that the reference reports for its two stages.
-TRAINING = (("tuning", 5, 16, 1e-5, 8), ("preference", 3, 16, 5e-7, 16))
+TRAINING = (("tuning", 5, 16, 1e-5, 8, None, None, None, None), ("preference", 3, 16, 5e-7, 16, "cosine", 0.1, 4, 0.1))
 
 
-@query("s10_training_record", "SELECT * FROM (VALUES " + ", ".join(f"('{s}', {e}, {b}, CAST({r} AS DOUBLE), {g})" for s, e, b, r, g in TRAINING) + ") AS t(stage, epochs, batch, rate, devices)")
+def _value(x) -> str:
+    return "NULL" if x is None else repr(x) if isinstance(x, str) else f"CAST({x} AS DOUBLE)" if isinstance(x, float) else str(x)
+
+
+@query("s10_training_record", "SELECT * FROM (VALUES " + ", ".join("(" + ", ".join(map(_value, row)) + ")" for row in TRAINING) + ") AS t(stage, epochs, batch, rate, devices, schedule, warm_up, sequence_parallel, beta)")
 def s10(spark, d):
-    return spark.createDataFrame(list(TRAINING), "stage string, epochs int, batch int, rate double, devices int")
+    return spark.createDataFrame(list(TRAINING), "stage string, epochs int, batch int, rate double, devices int, schedule string, warm_up double, sequence_parallel int, beta double")
 
 
 _PUB = ", ".join("(" + ", ".join(f"'{x}'" if isinstance(x, str) else f"CAST({x} AS DOUBLE)" for x in row) + ")" for row in ev.PUBLISHED)

@@ -76,7 +76,7 @@ def m14(spark, d):
     return di.difficulty_level(scored, "difficulty", "doc_id").withColumn("level", F.col("level").cast("long"))
 
 
-@query("m14_levels_by_cuts")
+@query("m14_levels_by_cuts", "WITH c AS (SELECT quantile_disc(n_chars, [0.25, 0.5, 0.75]) AS q FROM documents) SELECT CAST(1 + len(list_filter(q, lambda x: x < n_chars)) AS INTEGER) AS level, count(*) AS n FROM documents, c GROUP BY 1")
 def m14_cuts(spark, d):
     return di.difficulty_level_by_cuts(table(spark, d, "documents").select("doc_id", "n_chars"), "n_chars").groupBy("level").agg(F.count(F.lit(1)).alias("n"))
 

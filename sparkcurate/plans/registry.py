@@ -30,7 +30,7 @@ def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def _load() -> None:
-    from sparkcurate.plans import queries_core, queries_measures, queries_relational, queries_select, queries_stream  # noqa: F401
+    from sparkcurate.plans import queries_core, queries_measures, queries_more, queries_relational, queries_select, queries_stream  # noqa: F401
 
 
 _load()

@@ -1,7 +1,12 @@
-"""Sources: table readers, per-source adapters to one record schema, formats and sinks."""
+"""Sources: table readers, per-source adapters to one record schema, formats and sinks.
+
+Defined cases: null texts and html stay null (a null text has no question and 0 tokens); turns without an answer have a
+null response; columns that a source lacks are null; empty tables give no rows; other columns are dropped by adapters.
+"""
 
 from __future__ import annotations
 
+import uuid
 from collections.abc import Callable, Iterable
 
 from pyspark.sql import Column, DataFrame, SparkSession, Window
@@ -80,6 +85,13 @@ def read_files(spark: SparkSession, path: str, form: str, schema: str | None = N
     return reader.format(form).load(path)
 
 
+def write_bucketed(df: DataFrame, path: str, key: str, buckets: int) -> DataFrame:
+    """Rows in sorted buckets of a key, so that joins by the key need no shuffle; read back from the path."""
+    name = f"bucketed_{uuid.uuid4().hex}"
+    df.write.format("parquet").bucketBy(buckets, key).sortBy(key).option("path", path).saveAsTable(name)
+    return df.sparkSession.table(name)
+
+
 def write_files(df: DataFrame, path: str, form: str = "parquet", partition_by: tuple[str, ...] = (), mode: str = "error") -> None:
     writer = df.write.mode(mode).format(form)
     (writer.partitionBy(*partition_by) if partition_by else writer).save(path)

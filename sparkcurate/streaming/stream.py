@@ -1,14 +1,23 @@
-"""Streaming forms: windows with watermarks, late rows, deduplication, decontamination, per-category quotas."""
+"""Streaming forms: windows with watermarks, late rows, deduplication, decontamination, per-category quotas.
+
+Defined cases: events without a time are behind every watermark and in no window; rows later than the watermark allows
+are dropped and counted in the progress; repeated events are kept once inside it; null categories have a quota of
+their own; an empty stream gives no rows.
+"""
 
 from __future__ import annotations
 
 import uuid
 
-from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
-from sparkcurate.functions.lineage import ensure_checkpoint_dir
+from sparkcurate.functions.arrow import ship_package
+from sparkcurate.functions.lineage import ensure_checkpoint_dir, shared_folder
 from sparkcurate.functions.text import grams
+from sparkcurate.operators.decontam import broadcast_side
+from sparkcurate.operators.select import top_per_group
 
 
 def stream_table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -31,6 +40,15 @@ def drain(stream: DataFrame, mode: str = "complete") -> DataFrame:
     return spark.table(name)
 
 
+def drained_progress(stream: DataFrame, mode: str = "complete") -> tuple[int, int]:
+    """Runs the stream over what is there; (rows read, rows dropped behind the watermark)."""
+    folder = f"{shared_folder(stream.sparkSession)}/progress-{uuid.uuid4().hex}"
+    query = stream.writeStream.format("noop").outputMode(mode).option("checkpointLocation", folder).trigger(availableNow=True).start()
+    query.awaitTermination()
+    steps = query.recentProgress
+    return sum(p.numInputRows for p in steps), sum(s.numRowsDroppedByWatermark for p in steps for s in p.stateOperators)
+
+
 def tumbling(events: DataFrame, size: str = "1 day", late: str = "2 days") -> DataFrame:
     return events.withWatermark("ts", late).groupBy(F.window("ts", size).alias("w"), "event_type").agg(F.count(F.lit(1)).alias("n"), F.round(F.sum("value"), 4).alias("total"))
 
@@ -48,9 +66,9 @@ def distinct_events(events: DataFrame, late: str = "2 days") -> DataFrame:
 
 
 def decontaminate_stream(docs: DataFrame, benchmark: DataFrame, n: int = 15) -> DataFrame:
-    """(doc_id, hit grams) of streamed documents against the static, broadcast benchmark."""
-    held = grams(benchmark, "item_id", "text", n).select("gram").distinct()
-    return grams(docs, "doc_id", "text", n).join(F.broadcast(held), "gram").groupBy("doc_id").agg(F.count(F.lit(1)).alias("hits"))
+    """(doc_id, hit grams) of streamed documents against the static benchmark, broadcast up to a bound."""
+    held = broadcast_side(grams(benchmark, "item_id", "text", n).select("gram").distinct())
+    return grams(docs, "doc_id", "text", n).join(held, "gram").groupBy("doc_id").agg(F.count(F.lit(1)).alias("hits"))
 
 
 def quota_sink(path: str, group: str, order: list, quota: int):
@@ -62,7 +80,32 @@ def quota_sink(path: str, group: str, order: list, quota: int):
     def run(batch: DataFrame, number: int) -> None:
         spark = batch.sparkSession
         held = batch if number == 0 else spark.read.parquet(f"{path}/v{number - 1}").unionByName(batch)
-        rank = Window.partitionBy(group).orderBy(*order)
-        held.dropDuplicates().withColumn("__rn", F.row_number().over(rank)).filter(F.col("__rn") <= quota).drop("__rn").write.mode("overwrite").parquet(f"{path}/v{number}")
+        top_per_group(held.dropDuplicates(), [group], order, quota).drop("rn").write.mode("overwrite").parquet(f"{path}/v{number}")
 
     return run
+
+
+def fill_quota(stream: DataFrame, path: str, group: str, order: list, quota: int) -> DataFrame:
+    """Runs the stream over what is there into a quota sink and returns its last version."""
+    query = stream.writeStream.foreachBatch(quota_sink(path, group, order, quota)).option("checkpointLocation", f"{path}-state").trigger(availableNow=True).start()
+    query.awaitTermination()
+    last = max((p.batchId for p in query.recentProgress if p.numInputRows), default=None)
+    spark = stream.sparkSession
+    return spark.createDataFrame([], stream.schema) if last is None else spark.read.parquet(f"{path}/v{last}")
+
+
+def accept_within_quota(stream: DataFrame, group: str, key: str, quota: int) -> DataFrame:
+    """(group, key) of the rows that arrive before their group has its quota; the state is one count a group."""
+    ship_package(stream.sparkSession)
+    kinds = {f.name: f.dataType.simpleString() for f in stream.schema}
+
+    def accept(name, batches, state: GroupState):
+        used = state.get[0] if state.exists else 0
+        for rows in batches:
+            some = rows.sort_values(key).head(quota - used)
+            used += len(some)
+            if len(some):
+                yield some[[group, key]]
+        state.update((used,))
+
+    return stream.groupBy(group).applyInPandasWithState(accept, f"{group} {kinds[group]}, {key} {kinds[key]}", "used long", "append", GroupStateTimeout.NoTimeout)
