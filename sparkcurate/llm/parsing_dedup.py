@@ -6,7 +6,8 @@ A text's phrases run from one trigger's strings to the next one's: a phrase hold
 with the ``SPAN - 1`` bytes that follow its last start, so no phrase ends inside a string that begins in it and
 what comes after a phrase never decides the order of its suffixes to that depth. Steps:
 
-1. triggers: (trigger hash, documents), combined by batch; only triggers that two texts share go on;
+1. triggers: (trigger hash, document) of the smallest document of each distinct text; only triggers that two
+   texts share go on;
 2. parse: the phrases of those triggers with their places; the dictionary has each distinct phrase once. The phrases
    of a trigger of more than ``HOT`` documents are combined before they move, and its places, which no task then
    needs together, are joined to the result;
@@ -45,7 +46,7 @@ SPAN = 50
 GRAM = 20
 SMALLEST = -(1 << 63)
 # documents of a trigger from which its phrases are combined before they meet
-HOT = 1024
+HOT = 8192
 # phrases that are sent, and phrases that are ordered, at once
 _ROWS = 40_000
 
@@ -102,30 +103,15 @@ def _joined(texts: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
 
 
 def _triggers(span: int, gram: int):
-    """One row a trigger and batch: its least document (id), and if there are several the largest and all others."""
+    """(trigger, document), once for each slice of texts."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            ids = np.asarray(batch.column("id"))
-            triggers, owners, at = [np.zeros(0, np.uint64)], [np.zeros(0, np.int64)], 0
-            for part, texts in _unzipped(iter([batch])):
-                _, _, rows, low = _window_minima(*_joined(texts), span, gram)
-                change = np.ones(len(low), bool)
-                change[1:] = (low[1:] != low[:-1]) | (rows[1:] != rows[:-1])
-                triggers.append(low[change])
-                owners.append(ids[at + rows[change]])
-                at += part.num_rows
-            trigger, owner = distinct_by_row(np.concatenate(owners), np.concatenate(triggers))[::-1]
-            first = np.ones(len(trigger), bool)
-            first[1:] = trigger[1:] != trigger[:-1]
-            heads = np.flatnonzero(first)
-            size = np.diff(np.append(heads, len(trigger)))
-            rest = np.zeros(len(heads) + 1, np.int32)
-            rest[1:] = np.cumsum(size - 1)
-            alone = pa.array(size == 1)
-            others = pa.ListArray.from_arrays(pa.array(rest), pa.array(owner[~first]), mask=alone)
-            most = pa.array(owner[np.append(heads[1:], len(trigger)) - 1], mask=size == 1) if len(heads) else pa.array([], pa.int64())
-            yield pa.RecordBatch.from_arrays([pa.array(trigger[heads].view(np.int64)), pa.array(owner[heads]), most, others], ["trigger", "id", "most", "others"])
+        for batch, texts in _unzipped(batches):
+            _, _, rows, low = _window_minima(*_joined(texts), span, gram)
+            change = np.ones(len(low), bool)
+            change[1:] = (low[1:] != low[:-1]) | (rows[1:] != rows[:-1])
+            low, rows = distinct_by_row(low[change], rows[change])
+            yield pa.RecordBatch.from_arrays([pa.array(low.view(np.int64)), batch.column("id").take(pa.array(rows))], ["trigger", "id"])
 
     return run
 
@@ -361,10 +347,9 @@ def _removed(docs: DataFrame, span: int, gram: int, hot: int) -> DataFrame:
     mine = (F.col("id") == F.col("own_id")) & (F.col("told") >= F.col("own_told")) & (F.col("told") <= F.col("own_told"))
     own = base.join(owners.hint("shuffle_hash"), mine).drop("own_id", "own_told")
     group = Window.partitionBy("trigger")
-    triggers = map_arrow(own, _triggers(span, gram), "trigger long, id long, most long, others array<bigint>")
-    members = F.lit(1) + F.coalesce(F.size("others"), F.lit(0))
-    met = triggers.withColumns({"least": F.min("id").over(group), "last": F.max(F.coalesce("most", "id")).over(group), "n": F.sum(members).over(group)}).filter("least < last")
-    met = met.select("trigger", "n", F.explode(F.concat(F.array("id"), F.coalesce("others", F.array().cast("array<bigint>")))).alias("id"))
+    # two columns and no more: these rows are the most that the operator moves
+    triggers = map_arrow(own, _triggers(span, gram), "trigger long, id long")
+    met = triggers.withColumns({"least": F.min("id").over(group), "most": F.max("id").over(group), "n": F.count(F.lit(1)).over(group)}).filter("least < most")
     shared = met.groupBy("id").agg(F.collect_list(F.when(F.col("n") <= hot, F.col("trigger"))).alias("cold"), F.collect_list(F.when(F.col("n") > hot, F.col("trigger"))).alias("hot")).hint("shuffle_hash")
     marked = own.join(shared, "id")
     parsed = "trigger long, phrase binary, before int, id long, twin int, starts array<bigint>"
