@@ -6,8 +6,10 @@ with those of the benchmark and each match is extended: the spans around it are
 for word with the benchmark's spans, so hash collisions never count. Benchmark items with fewer words
 than a span are found through their first word and compared whole.
 
-The benchmark side is broadcast while it has at most ``BROADCAST_ROWS`` spans and is joined by
-a shuffle beyond that. Document words are read once; only matches and one marker a document move.
+The benchmark side is broadcast while it has at most ``BROADCAST_ROWS`` spans (13 words each: about a
+hundred MB); then document words are read once, and only matches and one marker a document move. Beyond that
+kept grams move with their place alone, what they match is gathered for each document (never more than its own
+length), and the words around come from one join with the texts.
 
 Defined cases: null and empty texts have no words and no hits; word-free benchmark items and an
 empty benchmark hit nothing; an empty document table gives no rows; documents with equal doc_id and
@@ -20,12 +22,13 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from sparkcurate.functions.lineage import cut
 from sparkcurate.llm.native import words
 
 SPAN = 13
 GRAM = 7
 WINDOW = SPAN - GRAM + 1
-BROADCAST_ROWS = 2_000_000
+BROADCAST_ROWS = 200_000
 # a kept value has a gram's hash above and the low bits of its position below
 POSITION_BITS = 20
 POSITION_MASK = (1 << POSITION_BITS) - 1
@@ -69,43 +72,62 @@ def _spans(benchmark: DataFrame) -> DataFrame:
     return cut.groupBy("__span").agg(F.collect_set("__item").alias("__items"))
 
 
+def _gram_at(at: Column) -> Column:
+    return F.when(at >= 0, _gram_hash(at))
+
+
+def _around(rows: DataFrame) -> DataFrame:
+    """The spans of SPAN words that hold the gram at ``__at``; the whole row for a marker (-1)."""
+    first = F.greatest(F.col("__at") - (SPAN - GRAM), F.lit(0))
+    near = rows.select("doc_id", "__text", "__n", F.when(F.col("__at") >= 0, first).alias("__first"), F.when(F.col("__at") >= 0, F.slice("__w", first + 1, 2 * SPAN - GRAM)).alias("__around"), "__at")
+    shifts = F.when(F.col("__at") >= 0, F.filter(F.sequence(F.lit(0), F.lit(SPAN - GRAM)), lambda d: d + SPAN <= F.size("__around"))).otherwise(F.array(F.lit(-1)))
+    spread = near.withColumn("__shift", F.explode(shifts)).withColumn("__span", F.when(F.col("__shift") >= 0, F.slice("__around", F.col("__shift") + 1, SPAN)))
+    return spread.select("doc_id", "__text", "__n", (F.col("__first") + F.col("__shift")).alias("__from"), "__span")
+
+
+def _few(keyed: DataFrame, prints: DataFrame, spans: DataFrame) -> DataFrame:
+    """Matches and markers with the benchmark broadcast: no row of a document moves."""
+    probes = keyed.select("doc_id", "__text", "__n", "__w", "__v", F.explode(F.concat(F.array(F.lit(-1)), F.col("__p"))).alias("__at")).withColumn("__gram", _gram_at(F.col("__at")))
+    marked = probes.join(F.broadcast(prints.withColumn("__hit", F.lit(True))), "__gram", "left").filter((F.col("__at") < 0) | F.col("__hit"))
+    matched = _around(marked).join(F.broadcast(spans), "__span", "left")
+    return matched.filter(F.col("__items").isNotNull() | F.col("__from").isNull()).drop("__span")
+
+
+def _many(keyed: DataFrame, prints: DataFrame, spans: DataFrame) -> DataFrame:
+    """The same by shuffles of (gram, document, place); markers never meet a join."""
+    # with the marker no list is empty, so no filter on the list's size, which would work it out once for each place, comes before
+    probes = keyed.select("doc_id", "__text", "__v", F.explode(F.concat(F.array(F.lit(-1)), F.col("__p"))).alias("__at")).filter(F.col("__at") >= 0).select("doc_id", "__text", "__at", _gram_hash(F.col("__at")).alias("__gram"))
+    hits = probes.join(prints, "__gram", "left_semi").groupBy("doc_id", "__text").agg(F.collect_set("__at").alias("__ats"))
+    named = hits.select(F.col("doc_id").alias("__id"), F.col("__text").alias("__own"), "__ats")
+    found = keyed.join(named, F.col("doc_id").eqNullSafe(F.col("__id")) & (F.col("__text") == F.col("__own"))).withColumn("__at", F.explode("__ats"))
+    matched = _around(found.select("doc_id", "__text", "__n", "__w", "__at")).join(spans, "__span").drop("__span")
+    markers = keyed.select("doc_id", "__text", "__n", F.lit(None).cast("int").alias("__from"), F.lit(None).cast("array<string>").alias("__items"))
+    return matched.select("doc_id", "__text", "__n", "__from", "__items").unionByName(markers)
+
+
 def find_spans(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
     """One row a document and match (plus one without a match a document).
 
     Columns: doc_id, __text (hash that tells texts of one doc_id apart), __n (words), __from and __to
     (matched words, to exclusive; null in the row without a match), __items.
     """
-    spans = _spans(benchmark).cache()
-    try:
-        count, short = spans.select(F.count(F.lit(1)), F.max((F.size("__span") < SPAN).cast("int"))).first()
-        local = spans.sparkSession.createDataFrame(spans.collect(), spans.schema) if count <= BROADCAST_ROWS // 20 else None
-    finally:
-        if count <= BROADCAST_ROWS // 20:
-            spans.unpersist()
-    spans = local if local is not None else spans
-    bound = F.broadcast if count <= BROADCAST_ROWS else (lambda df: df)
+    spans = cut(_spans(benchmark))
+    count, short = spans.select(F.count(F.lit(1)), F.max((F.size("__span") < SPAN).cast("int"))).first()
     rows = docs.select("doc_id", F.coalesce(F.col("text"), F.lit("")).alias("text")).select("doc_id", F.xxhash64("text").alias("__text"), words(F.col("text")).alias("__w"))
     keyed = kept_grams(rows, "__w").withColumn("__n", F.size("__w"))
     long_spans = spans.filter(F.size("__span") == SPAN)
     prints = kept_grams(long_spans, "__span").select(F.explode("__p").alias("__at"), "__v").select(_gram_hash(F.col("__at")).alias("__gram")).distinct()
-    marker = F.lit(-1)
-    probes = keyed.select("doc_id", "__text", "__n", "__w", "__v", F.explode(F.concat(F.array(marker), F.col("__p"))).alias("__at"))
-    probes = probes.withColumn("__gram", F.when(F.col("__at") >= 0, _gram_hash(F.col("__at"))))
-    first = F.greatest(F.col("__at") - (SPAN - GRAM), F.lit(0))
-    marked = probes.join(bound(prints.withColumn("__hit", F.lit(True))), "__gram", "left").filter((F.col("__at") < 0) | F.col("__hit"))
-    around = marked.select(
-        "doc_id", "__text", "__n", F.when(F.col("__at") >= 0, first).alias("__first"),
-        F.when(F.col("__at") >= 0, F.slice("__w", first + 1, 2 * SPAN - GRAM)).alias("__around"), "__at",
-    )
-    shifts = F.when(F.col("__at") >= 0, F.filter(F.sequence(F.lit(0), F.lit(SPAN - GRAM)), lambda d: d + SPAN <= F.size("__around"))).otherwise(F.array(F.lit(-1)))
-    extended = around.withColumn("__shift", F.explode(shifts)).withColumn("__span", F.when(F.col("__shift") >= 0, F.slice("__around", F.col("__shift") + 1, SPAN)))
-    matched = extended.select("doc_id", "__text", "__n", (F.col("__first") + F.col("__shift")).alias("__from"), "__span").join(bound(long_spans), "__span", "left")
-    out = matched.filter(F.col("__items").isNotNull() | F.col("__from").isNull()).select("doc_id", "__text", "__n", "__from", (F.col("__from") + SPAN).alias("__to"), "__items")
+    out = (_few if count <= BROADCAST_ROWS else _many)(keyed, prints, long_spans).withColumn("__to", F.col("__from") + SPAN)
     if short:
         brief = spans.filter(F.size("__span") < SPAN).withColumn("__head", F.get("__span", F.lit(0)))
+        brief = F.broadcast(brief) if count <= BROADCAST_ROWS else brief
         each = rows.select("doc_id", "__text", "__w", F.posexplode("__w").alias("__from", "__head"))
         same = F.slice(F.col("__w"), F.col("__from") + 1, F.size("__span")) == F.col("__span")
-        hits = each.join(bound(brief), "__head").filter(same)
+        if count > BROADCAST_ROWS:
+            # the longest brief span is a word shorter than SPAN, so a word moves with those behind it and not with its text
+            each = rows.select("doc_id", "__text", F.posexplode(F.transform("__w", lambda w, i: F.slice("__w", i + 1, SPAN - 1))).alias("__from", "__w")).withColumn("__head", F.get("__w", F.lit(0)))
+            same = F.slice(F.col("__w"), F.lit(1), F.size("__span")) == F.col("__span")
+        hits = each.join(brief, "__head").filter(same)
         out = out.unionByName(hits.select("doc_id", "__text", F.lit(None).cast("int").alias("__n"), "__from", (F.col("__from") + F.size("__span")).alias("__to"), "__items"))
     return out
 

@@ -62,6 +62,13 @@ TEMPLATES = (
     Template("epl", "eclipse public license", "eclipse public license"),
     Template("isc", "isc license", "isc license"),
     Template("bsl", "boost software license", "boost software license"),
+    Template("apache", "you may not use this file except in compliance with the license you may obtain a copy of the license at", "you may not use this file except in compliance"),
+    Template("gpl", "this program is free software you can redistribute it and or modify it under the terms of the gnu general public license as published by the free software foundation", "this program is free software you can redistribute it"),
+    Template("isc", "permission to use copy modify and or distribute this software for any purpose with or without fee is hereby granted", "permission to use copy modify and or distribute this software"),
+    Template("mpl", "this source code form is subject to the terms of the mozilla public license v 2 0", "this source code form is subject"),
+    Template("zlib", "this software is provided as is without any express or implied warranty in no event will the authors be held liable for any damages", "in no event will the authors be held liable"),
+    Template("cc0", "to the extent possible under law the author has waived all copyright and related or neighboring rights to this work", "waived all copyright and related or neighboring rights"),
+    Template("bsd", "neither the name of the copyright holder nor the names of its contributors may be used to endorse or promote products", "nor the names of its contributors may be used to endorse"),
     Template("unlicense", "this is free and unencumbered software released into the public domain", "free and unencumbered software"),
 )
 

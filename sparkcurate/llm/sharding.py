@@ -91,8 +91,8 @@ def assign_shards(docs: DataFrame, shards: int = 16, rows_per_chunk: int = CHUNK
     offsets = totals.withColumn("__offset", F.coalesce(F.sum("__rows").over(before), F.lit(0))).drop("__rows")
     inside = Window.partitionBy(*chunk).orderBy("doc_id", "text_crc32", "size").rowsBetween(Window.unboundedPreceding, -1)
     local = counted.withColumn("__local", F.coalesce(F.sum("__n").over(inside), F.lit(0)))
-    # at most 2 * MAX_QUANTILES + 2 chunks (times 256 for hot keys) a shard
-    joined = local.join(F.broadcast(offsets), chunk)
+    # rows lie by chunk already, so only the few offsets move
+    joined = local.join(offsets.hint("shuffle_hash"), chunk)
     first = F.col("__offset") + F.col("__local")
     return joined.withColumn("slot", F.explode(F.sequence(first, first + F.col("__n") - 1))).select(
         "doc_id", "size", "text_crc32", F.lit("key").alias("law"), "shard", F.col("slot").cast("long").alias("slot"),

@@ -7,8 +7,9 @@ length so that partners lie in one or two neighbouring partitions, only each set
 up, and the exact similarity decides.
 
 ``fingerprint_neighbours`` also compares each document with the next one in falling order of doc_id and with
-its own text after an edit. Documents travel once, to chunks between doc_id quantiles; the largest document
-of a chunk (one a chunk, at most as many as quantiles) also goes to the chunk above it.
+its own text after an edit. Documents travel once, to chunks between doc_id quantiles; a doc_id that is a quantile
+itself (null doc_ids may be) has chunks of its own, dealt by the text's hash, which is the order inside it. The largest
+document of a chunk (one a chunk, a bounded list) also goes to the chunk above it.
 
 Defined cases: null text is empty; a text with words but no spot has one spot of all its words; a text
 without words has an empty fingerprint, and two empty ones have likeness 1; null doc_ids come last in
@@ -169,7 +170,12 @@ def fingerprint_neighbours(docs: DataFrame, chain: int = CHAIN, chunk_rows: int
     key = F.coalesce(F.col("doc_id").cast("long"), F.lit(SMALLEST))
     bounds = key_quantiles(docs.select(key.alias("doc_id")), "doc_id", chunk_rows)
     text = F.coalesce(F.col("text").cast("string"), F.lit(""))
-    chunk: Column = _position(bounds, F.col("key")) if bounds else F.lit(0)
+    chunk: Column = F.lit(0).cast("long")
+    if bounds:
+        at = _position(bounds, F.col("key"))
+        own = (at >= 0) & (F.get(F.array(*[F.lit(b).cast("long") for b in bounds]), at) == F.col("key"))
+        # in the order of (key, told): an own key's parts come before the keys above it
+        chunk = (at.cast("long") * 2 + F.when(own, 0).otherwise(1)) * 256 + F.when(own, F.shiftright("told", 56) + 128).otherwise(0)
     base = docs.select(F.col("doc_id").cast("long").alias("doc_id"), key.alias("key"), text.alias("text"), F.xxhash64(text).alias("told")).withColumn("chunk", chunk)
     # one row a chunk, at most as many as there are quantiles
     tops = base.groupBy("chunk").agg(F.max(F.struct("key", "told")).alias("top")).orderBy("chunk").collect()

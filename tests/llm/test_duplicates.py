@@ -7,7 +7,7 @@ from pyspark.sql import functions as F
 
 from sparkcurate.llm.jaccard_join import forest_depth, keep_one_of_each, similar_documents
 from sparkcurate.llm.parsing_dedup import SMALLEST, remove_repeats
-from sparkcurate.llm.spotsigs import fingerprint_neighbours, fingerprints, similar_pairs
+from sparkcurate.llm.spotsigs import ANCHORS, fingerprint_neighbours, fingerprints, similar_pairs
 from tests.llm.test_native import words
 
 
@@ -126,6 +126,38 @@ def test_spotsigs(spark, sf):
     assert {tuple(sorted((r.a, r.b))) for r in pairs.collect()} == expected
 
 
+def brute_spots(text):
+    anchors, w, found = set(ANCHORS), words(text), set()
+    for i, word in enumerate(w):
+        if word in anchors:
+            chain = [x for x in w[i + 1 :] if x not in anchors][:2]
+            if len(chain) == 2:
+                found.add((word, *chain))
+    return found or ({("all words", *w)} if w else set())
+
+
+def test_spotsigs_equal_brute_force(spark, sf):
+    rows = [(r.doc_id, r.text) for r in spark.read.parquet(f"{sf}/documents.parquet").collect()] + [(None, "the cat sat on the mat"), (None, "the dog ran"), (None, None), (-7, "one two"), (-7, "one two"), (-7, "der Hund bellt laut")]
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    # falling doc_id, null last; texts of one id by the falling hash of the text
+    order = [tuple(r) for r in docs.select("doc_id", F.coalesce("text", F.lit("")).alias("text")).orderBy(F.desc_nulls_last("doc_id"), F.desc(F.xxhash64("text"))).collect()]
+    like = lambda a, b: 1.0 if not a and not b else len(a & b) / len(a | b)
+    expected = []
+    for i, (doc, text) in enumerate(order):
+        after, n = order[(i + 1) % len(order)][1], len(text)
+        edited = text[: n - n // 3] + after[: n // 3]
+        own = brute_spots(text)
+        expected.append((doc, n, len(own), len(brute_spots(edited)), round(like(own, brute_spots(edited)), 9), round(like(own, brute_spots(after)), 9)))
+    for chunk_rows in (3, 40, 10_000):
+        got = [(r.doc_id, r.n_chars, len(r.fingerprint) // 8, len(r.edited_fingerprint) // 8, round(r.near_edited, 9), round(r.near_next, 9)) for r in fingerprint_neighbours(docs, chunk_rows=chunk_rows).collect()]
+        assert sorted(got, key=str) == sorted(expected, key=str)
+
+
+def test_spotsigs_of_one_hot_id(spark):
+    docs = spark.range(4000).select(F.when(F.col("id") % 4 == 0, F.col("id")).alias("doc_id"), F.concat(F.lit("the cat "), F.col("id").cast("string")).alias("text"))
+    assert fingerprint_neighbours(docs, chunk_rows=100).select(F.count(F.lit(1)), F.count("doc_id"), F.countDistinct("fingerprint")).first() == (4000, 1000, 4000)
+
+
 def test_spotsigs_cases(spark):
     rows = [(1, "the a cat sat on"), (1, "the cat"), (2, None), (None, ""), (3, "123 !!"), (None, "日本"), (3, "123 !!")]
     docs = spark.createDataFrame(rows, "doc_id long, text string").withColumn("chunk", F.lit(1))

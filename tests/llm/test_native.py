@@ -5,6 +5,7 @@ import zlib
 import pytest
 from pyspark.sql import functions as F
 
+import sparkcurate.llm.decontaminate as decontaminate_module
 from sparkcurate.llm.decontaminate import decontaminate
 from sparkcurate.llm.licenses import TEMPLATES, scan_licenses
 from sparkcurate.llm.sharding import assign_shards
@@ -36,13 +37,19 @@ def brute_windows(docs, items):
     return sorted(out, key=str)
 
 
-def test_decontamination_equals_brute_force(spark, sf):
+@pytest.fixture(params=["broadcast", "shuffle"])
+def side(request, monkeypatch):
+    if request.param == "shuffle":
+        monkeypatch.setattr(decontaminate_module, "BROADCAST_ROWS", 0)
+
+
+def test_decontamination_equals_brute_force(spark, sf, side):
     docs, items = spark.read.parquet(f"{sf}/documents.parquet"), spark.read.parquet(f"{sf}/benchmark.parquet")
     got = sorted((tuple(r) for r in decontaminate(docs, items).drop("__text").collect()), key=str)
     assert got == brute_windows(docs.select("doc_id", "text").collect(), items.select("item_id", "text").collect())
 
 
-def test_decontamination_cases(spark):
+def test_decontamination_cases(spark, side):
     run = "a b c d e f g h i j k l m n o p"
     docs = [(1, run), (1, run), (2, None), (3, ""), (4, "zz foo bar foo bar q"), (None, "foo bar"), (1, "other text of one id"), (9, "x " * 5000 + run)]
     items = [(1, "b c d e f g h i j k l m n o"), (2, "foo bar"), (3, None), (4, "..."), (5, "foo BAR")]
