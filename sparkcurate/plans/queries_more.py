@@ -129,12 +129,9 @@ def s09_pairs(spark, d):
     return ev.pair_work(grams(docs, "doc_id", "text", 20), overlap_pairs(docs, "doc_id", "text"))
 
 
-@query("s09_observed", "SELECT count(*) AS rows, CAST(sum(octet_length(encode(text))) AS BIGINT) AS bytes FROM documents WHERE lang = 'en'")
-def s09_observed(spark, d):
-    """Rows and bytes that passed a step, counted while another action ran."""
-    rows, seen = ev.observed(ru.filter_language(table(spark, d, "documents")), f"step-{uuid.uuid4().hex}", rows=F.count(F.lit(1)), bytes=F.sum(F.octet_length("text").cast("long")))
-    rows.write.format("noop").mode("overwrite").save()
-    return spark.createDataFrame([(seen.get["rows"], seen.get["bytes"])], "rows long, bytes long")
+@query("s09_step_work", "SELECT count(*) AS rows, CAST(sum(octet_length(encode(text))) AS BIGINT) AS bytes FROM documents WHERE lang = 'en'")
+def s09_step(spark, d):
+    return ev.step_work(ru.filter_language(table(spark, d, "documents")), "text")
 
 
 @query("b15_scorers", f"SELECT doc_id, len({o.tok('text')}) AS length, round(CASE WHEN len({o.tok('text')}) > 0 THEN len(list_distinct({o.tok('text')})) / len({o.tok('text')}) ELSE 0.0 END, 6) AS variety FROM documents")
