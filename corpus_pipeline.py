@@ -8,7 +8,7 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from sparkcurate.functions.lineage import ensure_checkpoint_dir
+from sparkcurate.functions.lineage import ensure_checkpoint_dir, remove_folder
 from sparkcurate.llm.decontaminate import decontaminate
 from sparkcurate.llm.jaccard_join import keep_one_of_each
 from sparkcurate.llm.language_id import keep_identified
@@ -63,6 +63,9 @@ def run(spark: SparkSession, sf_dir: str) -> DataFrame:
             return out
         out.write.parquet(f"{folder}/{k}")
         docs = spark.read.parquet(f"{folder}/{k}")
+        if k:
+            # the stage before the last one written is not read again
+            remove_folder(spark, f"{folder}/{k - 1}")
     return docs
 
 

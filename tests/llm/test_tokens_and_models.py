@@ -243,3 +243,80 @@ def test_pipeline(spark, sf):
     assert sizes == sorted(sizes, reverse=True) and sizes[-1] > 0.8 * sizes[0]
     by_hand = corpus_pipeline.STAGES[-1][1](spark, now, sf).agg(F.sum("length")).first()[0]
     assert corpus_pipeline.run(spark, sf).agg(F.sum("length")).first()[0] == by_hand
+
+
+def test_split_choice_equals_brute_force(monkeypatch):
+    rng = np.random.default_rng(3)
+    x = rng.integers(0, 6, (80, 3)).astype(float)
+    y = ((x[:, 1] > 2) ^ (rng.random(80) < 0.1)).astype(float)
+    monkeypatch.setattr(tx, "TREES", 1)
+    trees = tx.BoostedTrees().fit(x, y)
+    chance = y.mean()
+    slope, weight = y - chance, np.full(80, chance * (1 - chance))
+    binned, best = trees.bins(x), (0.0, None)
+    for j in range(3):
+        for cut in range(6):
+            left = binned[:, j] <= cut
+            parts = [(slope[m].sum(), weight[m].sum()) for m in (left, ~left)]
+            if min(h for _, h in parts) >= tx.LEAST_WEIGHT:
+                gain = sum(g * g / (h + tx.SHRINK) for g, h in parts) - slope.sum() ** 2 / (weight.sum() + tx.SHRINK)
+                if gain > best[0] + 1e-12:
+                    best = (gain, (j, cut))
+    j, cut = best[1]
+    assert trees.column[0][0] == j == 1
+    assert ((binned[:, j] <= cut) == (binned[:, j] <= trees.split[0][0])).all()
+    # the leaf of each row is the regularised mean slope of its rows
+    margin = trees.margin(x)
+    for value in np.unique(margin):
+        rows = margin == value
+        leaf = tx.RATE * slope[rows].sum() / (weight[rows].sum() + tx.SHRINK)
+        assert np.isclose(value - trees.base, leaf) or len(np.unique(margin)) < 8
+
+
+def test_learned_words_are_found(spark):
+    rng = random.Random(8)
+    word = lambda: "".join(rng.choice("abcdefgh") for _ in range(6))
+    rows = [(i, " ".join([word() for _ in range(30)] + ([f"zorq{word()}"] if i % 5 == 0 else [])), int(i % 5 == 0)) for i in range(600)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, toxic int")
+    told = tx.score_toxicity(docs.drop("toxic"), docs.select("doc_id", "toxic")).join(docs, "doc_id").filter("held_out").toPandas()
+    assert (told.predicted[told.toxic == 1] == 1).mean() > 0.95 and (told.predicted[told.toxic == 0] == 0).mean() > 0.95
+
+
+def test_pipeline_equals_brute_force(spark, tmp_path):
+    from tests.llm.test_duplicates import brute_join, brute_repeats
+    from tests.llm.test_native import brute_windows
+
+    sf = "/root/testdata/sf0.001"
+    some = spark.read.parquet(f"{sf}/documents.parquet").limit(90)
+    shared = " ".join(f"passage{i}" for i in range(20))
+    extra = [(9001, "the of and it is", "en", "x", 1), (9002, "the of and it is", "en", "x", 1), (9003, " ...", "en", "x", 1), (None, f"one {shared} two", "en", "x", 1), (9004, f"three {shared} four and five", "en", "x", 1), (9004, "the same id but another text", "en", "x", 1)]
+    docs = some.unionByName(spark.createDataFrame(extra, some.schema))
+    renamed = docs.withColumnsRenamed({"source": "my col"}).withColumn("a.b", F.lit(1)).withColumn("n_bytes", F.lit("own")).withColumn("rest", F.lit(2)).withColumn("spans", F.lit(3)).withColumn("lang_pred", F.lit("p"))
+    stages = [s for _, s in corpus_pipeline.STAGES]
+    now, names = renamed, renamed.columns
+    key = lambda r: (str(r["doc_id"]), r["text"])
+    for k, stage in enumerate(stages[:-1]):
+        before = [(r["doc_id"], r["text"]) for r in now.select("doc_id", "text").collect()]
+        now = spark.createDataFrame(stage(spark, now, sf).collect(), now.schema)
+        after = sorted(key(r) for r in now.select("doc_id", "text").collect())
+        assert now.columns == names
+        if k == 0:
+            expected = [(d, t) for d, t in before if t and any(c.isalpha() for c in t)]
+        elif k == 1:
+            assert len(after) == len({r[1] if r[1] is not None else r for r in brute_join([(i, t) for i, (_, t) in enumerate(before)])})
+            expected = None
+        elif k == 2:
+            gone = {(str(d), n) for d, n, removed, *_ in brute_repeats(before) if not removed}
+            assert len(after) == len(before) and all((str(d), t) in after for d, t in before if (str(d), len(t.encode())) in gone)
+            assert sum(len(t.encode()) for _, t in after) <= sum(n - removed for _, n, removed, *_ in brute_repeats(before))
+            expected = None
+        else:
+            items = [tuple(r) for r in spark.read.parquet(f"{sf}/benchmark.parquet").select("item_id", "text").collect()]
+            bad = {i for i, *_, contaminated in brute_windows([(i, t) for i, (_, t) in enumerate(before)], items) if contaminated}
+            expected = [p for i, p in enumerate(before) if i not in bad]
+        if expected is not None:
+            assert after == sorted((str(d), t) for d, t in expected)
+    rows = stages[-1](spark, now, sf).toPandas()
+    tokenizer = Tokenizer.from_file(PATH)
+    total = sum(len(tokenizer.encode(r["text"], add_special_tokens=False).ids) + 1 for r in now.select("text").collect())
+    assert rows.length.sum() == total and rows.groupby("sequence_id").length.sum().max() <= 4096
