@@ -243,11 +243,14 @@ def w14(spark, d):
     return pr.preference_loss(sides).select(*[F.round(c, 6).alias(c) for c in ("loss", "margin", "accuracy")], "n")
 
 
-@query("m31_loss", "SELECT round(ln(2.0), 6) AS loss, 0.0 AS margin, 0.0 AS accuracy, count(*) AS n FROM documents")
+_LOGPROBS = {"pol_chosen": 17, "ref_chosen": 19, "pol_rejected": 23, "ref_rejected": 29}
+
+
+@query("m31_loss", f"WITH x AS (SELECT {', '.join(f'-(n_chars % {k}) / 2.0 AS {c}' for c, k in _LOGPROBS.items())} FROM documents), m AS (SELECT 0.1 * ((pol_chosen - ref_chosen) - (pol_rejected - ref_rejected)) AS m FROM x) SELECT round(avg(ln(1 + exp(-m))), 6) AS loss, round(avg(m), 6) AS margin, round(avg(CASE WHEN m > 0 THEN 1.0 ELSE 0.0 END), 6) AS accuracy, count(*) AS n FROM m")
 def m31(spark, d):
-    """Zero margins give the logarithm of two."""
-    zero = table(spark, d, "documents").select(*[(-F.col("n_chars") / 7.0).alias(c) for c in ("pol_chosen", "ref_chosen", "pol_rejected", "ref_rejected")])
-    return pr.preference_loss(zero).select(F.round("loss", 6).alias("loss"), F.round("margin", 6).alias("margin"), F.round("accuracy", 6).alias("accuracy"), "n")
+    """Log-probabilities made of remainders of the length, so that margins have both signs."""
+    made = table(spark, d, "documents").select(*[(-(F.col("n_chars") % k) / 2.0).alias(c) for c, k in _LOGPROBS.items()])
+    return pr.preference_loss(made).select(F.round("loss", 6).alias("loss"), F.round("margin", 6).alias("margin"), F.round("accuracy", 6).alias("accuracy"), "n")
 
 
 _NAMES = {"random": "b01_random", "dual": "b03_dual", "length": "b04_length", "complexity+dual": "b05_complexity_dual", "ifd+dual": "b06_ifd_dual", "length+embedding": "b07_length_embedding", "length+category": "b08_length_category", "length+dual": "b09_length_dual"}
