@@ -67,7 +67,8 @@ def test_sketches_find_all_containment_pairs(spark, sf):
     docs = spark.createDataFrame([(i, " ".join(t)) for i, t in enumerate(texts)], "doc_id long, text string")
     for rows in (docs, spark.read.parquet(f"{sf}/documents.parquet").select("doc_id", "text")):
         got = sorted(tuple(r) for r in dedup_minhash(rows, "doc_id", "text").collect())
-        assert got == sorted(tuple(r) for r in overlap_pairs(rows, "doc_id", "text").select("a", "b", "containment").collect())
+        # a cap that no gram reaches: all pairs by a join of all grams
+        assert got == sorted(tuple(r) for r in overlap_pairs(rows, "doc_id", "text", max_df=10**9).collect())
         assert rows is not docs or {(0, 1), (0, 2), (3, 4), (5, 6)} <= {r[:2] for r in got}
 
 
