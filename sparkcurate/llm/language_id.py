@@ -32,7 +32,7 @@ from sparkcurate.llm.textscan import slices
 SAMPLE_DOCUMENTS = 64
 SAMPLE_LETTERS = 20_000
 # texts that are parsed together at least, and the bytes of text of a slice
-LANES = 48
+LANES = 24
 PARSED_BYTES = 4 << 20
 # characters that are read, and letters that are parsed alone, at once
 _CHARACTERS = 1 << 20
@@ -158,10 +158,12 @@ class CrossParser:
             self.table[made[:, 0]] = made[:, 1]
         else:
             self.table = Transitions(made[:, 0], made[:, 1])
-        begun = self.table[self.roots[:, None] + np.arange(self.symbols)]
+        kind = np.int32 if cells <= dense_cells else np.int64
+        self.roots = self.roots.astype(kind)
+        begun = self.table[self.roots[:, None] + np.arange(self.symbols, dtype=kind)]
         # a letter that starts no phrase of its own is one
         self.alone = begun < 0
-        self.first = np.where(self.alone, self.roots[:, None], begun).astype(np.int64)
+        self.first = np.where(self.alone, self.roots[:, None], begun).astype(kind)
 
     def encode(self, low: np.ndarray) -> np.ndarray:
         out = self.numbers[np.minimum(low, _TABLE - 1)]
@@ -181,25 +183,30 @@ class CrossParser:
         flat = np.concatenate([coded[i] for i in order.tolist()])
         size = size[order]
         start = np.cumsum(size) - size
-        count = np.zeros((len(self.roots), len(coded)), np.int64)
-        state = np.repeat(self.roots[:, None], len(coded), axis=1)
-        root = self.roots[:, None]
+        roots, languages = self.roots, len(self.roots)
+        count = np.zeros((len(coded), languages), np.int32)
+        state = np.repeat(roots[None, :], len(coded), axis=0)
         going = len(size) - np.searchsorted(size[::-1], np.arange(int(size[min(lanes, len(size)) - 1]) + 1), "right")
         step = 0
         for step, n in enumerate(going.tolist()):  # noqa: B007
             if n < lanes:
                 break
             row = flat[start[:n] + step]
-            now = state[:, :n]
-            to = self.table[now + row]
-            failed = to < 0
-            count[:, :n] += (failed & (now != root)).view(np.int8) + (failed & self.alone[:, row]).view(np.int8)
-            state[:, :n] = np.where(failed, self.first[:, row], to)
+            now = state[:n]
+            to = self.table[now + row[:, None]]
+            # where no phrase goes on, one ends, and its letter begins the next
+            failed = np.flatnonzero(to < 0)
+            if len(failed):
+                text, language = np.divmod(failed, languages)
+                letter = row[text]
+                count.reshape(-1)[failed] += (now.reshape(-1)[failed] != roots[language]).view(np.int8) + self.alone[language, letter].view(np.int8)
+                to.reshape(-1)[failed] = self.first[language, letter]
+            state[:n] = to
         for i in range(int((size > step).sum())):
             for x in range(int(start[i]) + step, int(start[i] + size[i]), _CHARACTERS):
-                self._alone(flat[x : min(x + _CHARACTERS, int(start[i] + size[i]))].tolist(), state[:, i], count[:, i])
-        out = np.empty((len(coded), len(self.roots)), np.int64)
-        out[order] = (count + (state != root)).T
+                self._alone(flat[x : min(x + _CHARACTERS, int(start[i] + size[i]))].tolist(), state[i], count[i])
+        out = np.empty((len(coded), languages), np.int64)
+        out[order] = count + (state != roots)
         return out
 
     def _alone(self, codes: list[int], state: np.ndarray, count: np.ndarray) -> None:
