@@ -19,6 +19,7 @@ gives no rows; null doc_ids are packed like others; other columns are ignored.
 from __future__ import annotations
 
 import heapq
+import re
 import zlib
 from collections.abc import Iterator
 
@@ -39,6 +40,10 @@ REMEMBERED = 1_000_000
 # marks that are split off behind a letter
 MARKS = b".,;:!?"
 _SEQUENCES_BITS = 32
+# bytes of text that are encoded together: words that recur among them are looked up once
+PACKED_BYTES = 2 << 20
+# small letters of A-Z and of Latin above ASCII without the dotted I, and perhaps a mark behind them
+_PLAIN = re.compile(rb"((?:[a-z]|\xc3[\x80-\x96\x98-\xb6\xb8-\xbf]|\xc4[\x80-\xaf\xb1-\xbf]|[\xc5-\xc8][\x80-\xbf])+)[.,;:!?]?").fullmatch
 
 
 def partition(sizes: np.ndarray, windows: int) -> np.ndarray:
@@ -111,10 +116,18 @@ class WordEncoder:
 
     def _learn(self, words: list[bytes]) -> None:
         """Words of plain letters are encoded in one text and told apart by their closing tokens, others alone."""
-        plain: dict[bytes, str] = {}
+        plain: dict[bytes, None] = {}
         alone: dict[bytes, str] = {}
         marked: list[tuple[bytes, bytes]] = []
         for word in words:
+            if found := _PLAIN(word):
+                core = found[1]
+                if core != word:
+                    marked.append((word, core))
+                    if core in self.known:
+                        continue
+                plain[core] = None
+                continue
             core, mark = (word[:-1], word[-1:]) if word[-1:] in self.marks else (word, b"")
             text = core.decode()
             # a mark is a pre-token of its own behind a letter only, and a dotted I is lower-cased to a letter and a dot
@@ -124,21 +137,18 @@ class WordEncoder:
                 marked.append((word, core))
                 if core in self.known:
                     continue
-            if text.isalpha() and max(text) < "\u0250" and "\u0130" not in text:
-                plain[core] = text
-            else:
-                alone[core] = text
+            alone[core] = text
         cores = list(plain)
         for x in range(0, len(cores), 5000):
             some = cores[x : x + 5000]
-            ids = np.array(self.tokenizer.encode(" ".join(plain[c] for c in some), add_special_tokens=False).ids, "<u4")
+            ids = np.array(self.tokenizer.encode(b" ".join(some).decode(), add_special_tokens=False).ids, "<u4")
             ends = np.flatnonzero(self.closes[ids]) + 1
             if len(ends) == len(some):
                 data, at = ids.tobytes(), [0, *(4 * ends).tolist()]
                 for c, a, b in zip(some, at, at[1:], strict=False):
                     self.known[c] = data[a:b]
             else:
-                alone.update((c, plain[c]) for c in some)
+                alone.update((c, c.decode()) for c in some)
         for core, ids in zip(alone, self._encode(list(alone.values())), strict=True):
             self.known[core] = ids
         for word, core in marked:
@@ -150,11 +160,13 @@ class WordEncoder:
         whole = [any(literal in t for literal in self.special) for t in parts]
         parts = [[] if w else (t if b"\xcc" in t or b"\xcd" in t else low).split() for t, low, w in zip(texts, parts, whole, strict=True)]
         words = set().union(*parts)
-        new = words - self.known.keys()
-        if len(self.known) + len(new) > REMEMBERED:
-            self.known.clear()
-            new = words
-        self._learn(list(new))
+        known = self.known
+        # looked up word by word: a difference of sets would go through all that is remembered
+        new = [w for w in words if w not in known]
+        if len(known) + len(new) > REMEMBERED:
+            known.clear()
+            new = list(words)
+        self._learn(new)
         get = self.known.__getitem__
         for text, own, is_whole in zip(texts, parts, whole, strict=True):
             yield next(self._encode([text.decode()])) if is_whole else b"".join(map(get, own))
@@ -176,7 +188,7 @@ def _pieces(path: str, window: int, end_id: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         encode = _encoder(path)
         end = np.array([end_id], "<u4").tobytes()
-        for batch in slices(batches):
+        for batch in slices(batches, size=PACKED_BYTES):
             texts = pa.compute.fill_null(batch.column("text"), "").cast(pa.binary()).to_pylist()
             row, start, length, crc, total = [], [], [], [], []
             for i, ids in enumerate(encode(texts)):
