@@ -31,10 +31,13 @@ def range_join(points: DataFrame, ranges: DataFrame, point: str, low: str, high:
 
 
 def salted_join(left: DataFrame, right: DataFrame, key: str, salts: int = 16) -> DataFrame:
-    """Equi-join whose hot left keys are spread: left rows take a salt, right rows are repeated for each."""
+    """Equi-join whose hot left keys are spread: left rows take a salt, right rows are repeated for each.
+
+    Spark plans by the right side's size before it is repeated; the hint keeps the repeated rows out of a broadcast.
+    """
     salt: Column = F.pmod(F.xxhash64(*left.columns), F.lit(salts)).cast("int")
     wide = right.withColumn("__salt", F.explode(F.sequence(F.lit(0), F.lit(salts - 1))))
-    return left.withColumn("__salt", salt).join(wide, [key, "__salt"]).drop("__salt")
+    return left.withColumn("__salt", salt).join(wide.hint("merge"), [key, "__salt"]).drop("__salt")
 
 
 def count_before(left: DataFrame, right: DataFrame, value: str, name: str) -> DataFrame:

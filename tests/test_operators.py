@@ -174,6 +174,12 @@ def test_joins_equal_brute_force(spark):
     assert {r.id: r.n for r in count_before(a, b.select("t"), "t", "n").collect()} == {i: sum(u < t for _, u, _ in right) for i, _, t in left if t is not None}
 
 
+def test_salted_join_never_broadcasts_the_repeated_side(spark):
+    joined = salted_join(spark.range(1000).selectExpr("id % 7 AS k", "id"), spark.range(7).selectExpr("id AS k", "id AS v"), "k")
+    assert joined.count() == 1000 and joined.filter("k <> v").count() == 0
+    assert "Broadcast" not in joined._jdf.queryExecution().executedPlan().toString()
+
+
 def test_clients_and_verifiers(spark):
     assert last_program("x ```py\na\n``` ```\nb\n```") == "b\n" and last_program("```py\nnever closed") is None
     rows = spark.createDataFrame([(1, "```\nreturn 42\n```", "42"), (2, "no program 42", "42"), (3, None, "42"), (4, "```\n421\n```", "42"), (5, "```\n42\n```", None)], "id long, response string, truth string")
