@@ -14,7 +14,7 @@ from pyspark.sql import functions as F
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
 from sparkcurate.functions.arrow import ship_package
-from sparkcurate.functions.lineage import ensure_checkpoint_dir, shared_folder
+from sparkcurate.functions.lineage import shared_folder
 from sparkcurate.functions.text import grams
 from sparkcurate.operators.decontam import broadcast_side
 from sparkcurate.operators.select import top_per_group
@@ -30,14 +30,21 @@ def stream_table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def drain(stream: DataFrame, mode: str = "complete") -> DataFrame:
-    """Runs the stream over what is there and returns its result."""
+    """Runs the stream over what is there and returns its result; the rows lie in the shared folder and never in the driver."""
     spark = stream.sparkSession
-    ensure_checkpoint_dir(spark)
-    name = f"drained_{uuid.uuid4().hex}"
-    folder = f"{spark.sparkContext.getCheckpointDir()}/stream-{name}"
-    query = stream.writeStream.format("memory").queryName(name).outputMode(mode).option("checkpointLocation", folder).trigger(availableNow=True).start()
+    path = f"{shared_folder(spark)}/drained-{uuid.uuid4().hex}"
+    written: list[int] = []
+
+    def keep(batch: DataFrame, number: int) -> None:
+        batch.write.mode("overwrite").parquet(f"{path}/v{number}")
+        written.append(number)
+
+    query = stream.writeStream.foreachBatch(keep).outputMode(mode).option("checkpointLocation", f"{path}-state").trigger(availableNow=True).start()
     query.awaitTermination()
-    return spark.table(name)
+    if not written:
+        return spark.createDataFrame([], stream.schema)
+    # in complete mode each batch holds the whole result
+    return spark.read.schema(stream.schema).parquet(*[f"{path}/v{n}" for n in (written[-1:] if mode == "complete" else dict.fromkeys(written))])
 
 
 def drained_progress(stream: DataFrame, mode: str = "complete") -> tuple[int, int]:

@@ -246,3 +246,17 @@ def test_streams(spark, tmp_path):
     best = st.fill_quota(stream().select("event_type", "event_id", "value"), str(tmp_path / "quota"), "event_type", [F.desc("value"), F.col("event_id")], 3)
     assert {(r.event_type, r.event_id) for r in best.collect()} == {(t, i) for t in "ab" for *_, i in sorted((-v, i) for i, _, u, v in [*rows, *late, (200, "", "b", 1.0)] if u == t)[:3]}
     assert collections.Counter(r.event_type for r in st.drain(st.accept_within_quota(stream().select("event_type", "event_id"), "event_type", "event_id", 7), "append").collect()) == {"a": 7, "b": 7}
+
+
+def test_drained_rows_lie_in_files(spark, tmp_path):
+    rows = spark.range(30).selectExpr("id % 20 AS event_id", "timestamp'2024-01-01 00:00:00' AS ts", "'a' AS event_type", "1.0D AS value")
+    for k in range(3):
+        rows.filter(f"event_id % 3 = {k}").coalesce(1).write.mode("append").parquet(str(tmp_path / "in"))
+    stream = lambda: spark.readStream.schema(rows.schema).option("maxFilesPerTrigger", 1).parquet(str(tmp_path / "in"))
+    once = st.drain(st.distinct_events(stream()).select("event_id"), "append")
+    assert sorted(r.event_id for r in once.collect()) == list(range(20)) and once.inputFiles()
+    days = st.drain(st.tumbling(stream()))
+    assert [(r.event_type, r.n, r.total) for r in days.collect()] == [("a", 30, 30.0)] and days.inputFiles()
+    (tmp_path / "none").mkdir()
+    none = st.drain(st.tumbling(spark.readStream.schema(rows.schema).parquet(str(tmp_path / "none"))))
+    assert none.count() == 0 and none.columns == ["w", "event_type", "n", "total"]
