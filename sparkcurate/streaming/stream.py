@@ -14,18 +14,19 @@ from pyspark.sql import functions as F
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
 from sparkcurate.functions.arrow import ship_package
-from sparkcurate.functions.lineage import shared_folder
+from sparkcurate.functions.lineage import is_folder, shared_folder
 from sparkcurate.functions.text import grams
 from sparkcurate.operators.decontam import broadcast_side
 from sparkcurate.operators.select import top_per_group
 
 
 def stream_table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
-    """A table as a file stream with its explicit schema; ``ts`` becomes a timestamp so that it can carry a watermark."""
+    """A table, one file or a folder of files, as a file stream with its explicit schema; ``ts`` becomes a timestamp so that it can carry a watermark."""
     path = f"{sf_dir}/{name}.parquet"
-    schema = spark.read.parquet(path).schema
+    reader = spark.readStream.schema(spark.read.parquet(path).schema)
+    # a stream reads folders only: one file is picked from the folder that holds it
     parent, _, leaf = path.rpartition("/")
-    rows = spark.readStream.schema(schema).option("pathGlobFilter", leaf if not leaf.endswith("*") else "*.parquet").parquet(parent)
+    rows = reader.parquet(path) if is_folder(spark, path) else reader.option("pathGlobFilter", leaf).parquet(parent)
     return rows.withColumn("ts", F.col("ts").cast("timestamp")) if "ts" in rows.columns else rows
 
 

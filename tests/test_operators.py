@@ -21,6 +21,7 @@ from sparkcurate.operators.rules import annotate_domain, format_reasons
 from sparkcurate.operators.select import running_sum, sample_balanced, sample_nested
 from sparkcurate.operators.semantic import chunked_contamination, strict_pool
 from sparkcurate.plans.pipeline import distilled, ingest
+from sparkcurate.plans.queries_stream import decontaminate
 from sparkcurate.streaming import stream as st
 
 
@@ -260,3 +261,17 @@ def test_drained_rows_lie_in_files(spark, tmp_path):
     (tmp_path / "none").mkdir()
     none = st.drain(st.tumbling(spark.readStream.schema(rows.schema).parquet(str(tmp_path / "none"))))
     assert none.count() == 0 and none.columns == ["w", "event_type", "n", "total"]
+
+
+@pytest.mark.parametrize("parts", [1, 2])
+def test_streams_read_a_file_and_a_folder(spark, tmp_path, parts):
+    item = " ".join(f"w{i}" for i in range(16))
+    docs = spark.createDataFrame([(1, item), (2, "else " + item[:-4]), (3, None), (4, "w1 w2")], "doc_id long, text string")
+    for name, rows in (("documents", docs), ("benchmark", spark.createDataFrame([(1, item)], "item_id long, text string"))):
+        rows.repartition(parts, rows.columns[0]).write.parquet(str(tmp_path / "in" / f"{name}.parquet"))
+    if parts == 1:
+        (tmp_path / "one").mkdir()
+        for name in ("documents", "benchmark"):
+            next((tmp_path / "in" / f"{name}.parquet").glob("part-*.parquet")).rename(tmp_path / "one" / f"{name}.parquet")
+    at = str(tmp_path / ("one" if parts == 1 else "in"))
+    assert {(r.doc_id, r.hits) for r in decontaminate(spark, at).collect()} == {(1, 2), (2, 1)}
