@@ -1,7 +1,8 @@
 """Removal of records that overlap a held-out benchmark, lexically or by embedding.
 
 The benchmark's grams, 8 bytes and an item's id each, are broadcast while there are at most ``BROADCAST_GRAMS`` of
-them (32 MB); beyond that they are joined by a shuffle. Vectors go in blocks of ``BLOCK_ITEMS``.
+them (32 MB); beyond that they are joined by a shuffle. Vectors go in blocks of ``BLOCK_ITEMS``, and at
+most ``PRODUCTS`` cosines are held at a time.
 
 Defined cases, for all operators here: null and empty texts, and texts of fewer than ``n`` tokens, have no n-gram and
 are never contaminated; an empty benchmark contaminates nothing; zero and null vectors have cosine 0 with every item (-1
@@ -25,6 +26,7 @@ N = 15
 COSINE = 0.9
 BROADCAST_GRAMS = 2_000_000
 BLOCK_ITEMS = 20_000
+PRODUCTS = 4_000_000
 
 
 def broadcast_side(built: DataFrame, most: int = BROADCAST_GRAMS) -> DataFrame:
@@ -53,16 +55,20 @@ def decontaminate_ngrams(df: DataFrame, benchmark: DataFrame, key: str, text_col
 
 
 def _closest(items: np.ndarray, key: str):
-    norms = np.linalg.norm(items, axis=1)
-    unit = items / np.where(norms > 0, norms, 1)[:, None]
+    # products of whole numbers are exact, so divided last, as SQL does: a cosine of the threshold itself stays there
+    norms = np.sqrt((items * items).sum(axis=1))
+    norms = np.where(norms > 0, norms, 1)
+    step = max(1, PRODUCTS // len(items))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             vectors = np.array(batch.column("__vec").to_pylist(), np.float64).reshape(batch.num_rows, -1)
-            size = np.linalg.norm(vectors, axis=1)
+            size = np.sqrt((vectors * vectors).sum(axis=1))
+            size = np.where(size > 0, size, 1)
             best = np.full(batch.num_rows, -1.0)
-            if batch.num_rows:
-                best = (vectors @ unit.T).max(axis=1) / np.where(size > 0, size, 1)
+            for at in range(0, batch.num_rows, step):
+                some = slice(at, at + step)
+                best[some] = ((vectors[some] @ items.T) / (size[some, None] * norms)).max(axis=1)
             yield pa.RecordBatch.from_arrays([batch.column(key), pa.array(best)], [key, "cosine"])
 
     return run

@@ -173,6 +173,15 @@ def test_max_cosine_cases(spark):
     assert {r.cosine for r in max_cosine(vectors, items.limit(0), "id").collect()} == {-1.0}
 
 
+def test_cosines_of_whole_numbers_are_those_of_sql(spark):
+    dice = np.random.default_rng(1)
+    a, b = dice.integers(-9, 10, (200, 16)), dice.integers(-9, 10, (20, 16))
+    frame = lambda v: spark.createDataFrame([(i, [float(x) for x in r]) for i, r in enumerate(v)], "id long, embedding array<double>")
+    got = {r.id: r.cosine for r in max_cosine(frame(a), frame(b), "id").collect()}
+    # to the last bit: a cosine of 0.6 itself must not pass for more
+    assert got == {i: max(int(v @ w) / (math.sqrt(v @ v) * math.sqrt(w @ w)) for w in b) for i, v in enumerate(a)}
+
+
 def test_overlap_of_exactly_n_words(spark):
     item = " ".join(f"w{i}" for i in range(30))
     docs = spark.createDataFrame([(k, "Zz " + ", ".join(f"W{i}" for i in range(k)) + " yy") for k in (14, 15, 16)] + [(1, None), (2, "")], "doc_id long, text string")
