@@ -8,7 +8,7 @@ import __spark_entry__
 from sparkcurate.operators.components import connected_components
 from sparkcurate.operators.dedup import dedup_minhash, drop_by_pairs, duplicate_groups, overlap_pairs
 from sparkcurate.operators.difficulty import pass_at_k
-from sparkcurate.operators.evaluate import table_check
+from sparkcurate.operators.evaluate import baseline_table, published_table, table_check
 from sparkcurate.operators.mix import apportion, curriculum
 from sparkcurate.operators.prefs import build_pairs, preference_loss
 from sparkcurate.operators.quality import boxed_answer, normal_number
@@ -151,10 +151,19 @@ def test_pass_at_k(spark):
 
 
 def test_published_averages(spark):
-    wrong = [r.model for r in table_check(spark).collect() if not r.agrees]
+    wrong = [r.model for r in table_check(published_table(spark)).collect() if not r.agrees]
     assert wrong == ["distilled_7b"]
 
 
+def test_table_of_given_runs(spark, sf):
+    runs = spark.createDataFrame([("a", b, u, r, (b + u + r) % 3 == 0) for b in range(6) for u in range(2) for r in (1, 2)], "model string, benchmark int, problem_id long, run_id int, correct boolean")
+    shares = [25.0 * sum((b + u + r) % 3 == 0 for u in range(2) for r in ((1, 2) if b < 5 else (1,))) * (1 if b < 5 else 2) for b in range(6)]
+    row = baseline_table(runs).first()
+    assert tuple(row) == ("a", 22, *shares, round(sum(shares) / 6, 2)) and table_check(baseline_table(runs)).first().agrees
+    for name in ("b16_baselines",):
+        assert any("events.parquet" in f for f in __spark_entry__.queries()[name](spark, sf).inputFiles())
+
+
 def test_curriculum(spark):
     rows = spark.range(200).select(F.col("id").alias("doc_id"), F.when(F.col("id") % 3 == 0, "math").when(F.col("id") % 3 == 1, "code").otherwise("science").alias("domain"), (F.col("id") * 31 % 17).alias("n_chars"))
     got = curriculum(rows, "doc_id", "n_chars").toPandas()
