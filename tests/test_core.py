@@ -160,7 +160,7 @@ def test_table_of_given_runs(spark, sf):
     shares = [25.0 * sum((b + u + r) % 3 == 0 for u in range(2) for r in ((1, 2) if b < 5 else (1,))) * (1 if b < 5 else 2) for b in range(6)]
     row = baseline_table(runs).first()
     assert tuple(row) == ("a", 22, *shares, round(sum(shares) / 6, 2)) and table_check(baseline_table(runs)).first().agrees
-    for name in ("b16_baselines",):
+    for name in ("b16_baselines", "w11_table_check"):
         assert any("events.parquet" in f for f in __spark_entry__.queries()[name](spark, sf).inputFiles())
 
 
