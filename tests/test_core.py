@@ -8,7 +8,7 @@ import __spark_entry__
 from sparkcurate.operators.components import connected_components
 from sparkcurate.operators.dedup import dedup_minhash, drop_by_pairs, duplicate_groups, overlap_pairs
 from sparkcurate.operators.difficulty import pass_at_k
-from sparkcurate.operators.evaluate import baseline_table, published_table, table_check
+from sparkcurate.operators.evaluate import baseline_table, published_table, table_check, training_record
 from sparkcurate.operators.mix import apportion, curriculum
 from sparkcurate.operators.prefs import build_pairs, preference_loss
 from sparkcurate.operators.quality import boxed_answer, normal_number
@@ -164,6 +164,14 @@ def test_table_of_given_runs(spark, sf):
         assert any("events.parquet" in f for f in __spark_entry__.queries()[name](spark, sf).inputFiles())
 
 
+def test_training_record_counts_its_records(spark, sf):
+    settings = spark.createDataFrame([("x", 3, 4), ("y", 2, 4)], "stage string, epochs int, batch int")
+    texts = {"x": spark.createDataFrame([("ab",), (None,)] + [("c",)] * 4, "text string"), "y": spark.createDataFrame([], "text string")}
+    assert sorted(map(tuple, training_record(settings, texts).collect())) == [("x", 3, 4, 5, 6, 6, 18), ("y", 2, 4, 0, None, 0, None)]
+    read = " ".join(__spark_entry__.queries()["s10_training_record"](spark, sf).inputFiles())
+    assert "documents.parquet" in read and "conversations.parquet" in read
+
+
 def test_curriculum(spark):
     rows = spark.range(200).select(F.col("id").alias("doc_id"), F.when(F.col("id") % 3 == 0, "math").when(F.col("id") % 3 == 1, "code").otherwise("science").alias("domain"), (F.col("id") * 31 % 17).alias("n_chars"))
     got = curriculum(rows, "doc_id", "n_chars").toPandas()
