@@ -25,7 +25,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 from pyspark.sql.types import DoubleType, StringType, StructField, StructType
 
-from sparkcurate.functions.arrow import map_arrow
+from sparkcurate.functions.arrow import kept, map_arrow
 from sparkcurate.llm.native import quoted
 from sparkcurate.llm.textscan import slices
 
@@ -241,17 +241,12 @@ class CrossParser:
         return names, scores
 
 
-@lru_cache(maxsize=4)
-def _parser(samples: tuple[tuple[str, str], ...]) -> CrossParser:
-    return CrossParser(samples)
-
-
 def _predict(samples: tuple[tuple[str, str], ...], column: str = "text"):
     """Adds lang_pred and score; a plain text column goes, one inside a struct stays."""
     outer, _, inner = column.partition(".")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        parser = _parser(samples)
+        parser = kept(CrossParser, samples)
         for batch in slices(batches, column, PARSED_BYTES):
             text = batch.column(outer).field(inner) if inner else batch.column(outer)
             names, scores = parser.predict(text.to_pylist())

@@ -8,7 +8,7 @@ partitions with the largest imbalance are merged again and again, the fullest wi
 emptiest of the other, until one near-equal partition is left. The window count starts at the least
 possible and rises while the fullest window exceeds the capacity.
 
-Words between ASCII white space are encoded once a task and remembered (at most ``REMEMBERED`` of
+Words between ASCII white space are encoded once a worker and remembered (at most ``REMEMBERED`` of
 them); the tokenizer drops white space, so a text's ids are those of its words in turn. A text that holds the
 literal of a special token, in any case, is encoded whole.
 
@@ -19,6 +19,7 @@ gives no rows; null doc_ids are packed like others; other columns are ignored.
 from __future__ import annotations
 
 import heapq
+import os
 import re
 import zlib
 from collections.abc import Iterator
@@ -29,7 +30,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from sparkcurate.functions.arrow import map_arrow, ship_package
+from sparkcurate.functions.arrow import kept, map_arrow, ship_package
 from sparkcurate.functions.lineage import cut
 from sparkcurate.llm.textscan import slices
 
@@ -172,16 +173,9 @@ class WordEncoder:
             yield next(self._encode([text.decode()])) if is_whole else b"".join(map(get, own))
 
 
-_encoders: dict[str, WordEncoder] = {}
-
-
 def _encoder(path: str) -> WordEncoder:
-    if path not in _encoders:
-        import os
-
-        os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
-        _encoders[path] = WordEncoder(path)
-    return _encoders[path]
+    os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
+    return kept(WordEncoder, path)
 
 
 def _pieces(path: str, window: int, end_id: int):

@@ -48,7 +48,7 @@ SMALLEST = -(1 << 63)
 # documents of a trigger from which its phrases are combined before they meet
 HOT = 8192
 # phrases that are sent, and phrases that are ordered, at once
-_ROWS = 40_000
+_ROWS = 20_000
 
 
 def _window_minima(data: np.ndarray, offsets: np.ndarray, span: int, gram: int):
